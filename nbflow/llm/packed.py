@@ -109,10 +109,10 @@ def dealt(df: DataFrame, buckets: int) -> DataFrame:
     return df.repartition(buckets, "bucket").sortWithinPartitions("bucket")
 
 
-def told(docs: DataFrame, hashed: Callable[[Iterable], Iterator[Holders]], pick: Callable[[Holders, np.ndarray], tuple[np.ndarray, np.ndarray]], buckets: int) -> DataFrame:
+def told(docs: DataFrame, hashed: Callable[[Iterable], Iterator[Holders]], pick: Callable[[Holders, np.ndarray], tuple[np.ndarray, np.ndarray]], buckets: int, bits: int = BITS) -> DataFrame:
     """Rows (key, size, values): per document what ``pick`` tells it, as little-endian unsigned 64-bit numbers.
 
-    hashed: from the batches of ``docs`` to hashes (at most 48 bits) with their holders, chunk by chunk.
+    hashed: from the batches of ``docs`` to hashes (of ``bits`` bits at most) with their holders, chunk by chunk.
     pick: gets the holders of a range, sorted by hash, and the starts of the groups of equal hashes;
     gives the places of the entries to be told and their values."""
 
@@ -121,10 +121,10 @@ def told(docs: DataFrame, hashed: Callable[[Iterable], Iterator[Holders]], pick:
             for h in hashed(batches):
                 order = np.argsort(h.hashes, kind="stable")
                 h = Holders(h.hashes[order], h.owner[order], h.keys, h.sizes, h.flags[order])
-                bounds = np.searchsorted(h.hashes, _bounds(buckets))
+                bounds = _bounds(h.hashes, buckets, bits)
                 for b in range(buckets):
                     if bounds[b] < bounds[b + 1]:
-                        yield b, _packed(_narrowed(h, slice(bounds[b], bounds[b + 1])))
+                        yield b, _packed(_narrowed(h, slice(bounds[b], bounds[b + 1])), bits)
 
         yield from _sent(blocks())
 
@@ -153,8 +153,10 @@ def told(docs: DataFrame, hashed: Callable[[Iterable], Iterator[Holders]], pick:
     return dealt(there, buckets).mapInArrow(_by_key, "key long, size int, values binary")
 
 
-def _bounds(buckets: int) -> np.ndarray:
-    return np.array([min((b << BITS) // buckets, (1 << BITS) - 1) for b in range(buckets)] + [1 << BITS], dtype=np.uint64)
+def _bounds(hashes: np.ndarray, buckets: int, bits: int) -> np.ndarray:
+    """Where each bucket's range of sorted hashes begins, and the end."""
+    edges = np.array([(b << bits) // buckets for b in range(buckets)], dtype=np.uint64)
+    return np.append(np.searchsorted(hashes, edges), len(hashes))
 
 
 _KEYED = pa.schema([("key", pa.int64()), ("size", pa.int32()), ("values", pa.binary())])

@@ -5,8 +5,11 @@ under any order of all shingles; the rarer the first ones, the fewer candidates.
 shingles that only one document has in front, then the others by how many documents have them; a pair
 that shares a prefix there must also share one under two further orders (own hash orders behind the
 same front) before its sets are compared. As links only matter through what they connect, pairs of
-documents already connected are not compared: two rounds link each document with one leader per shared
-shingle, the last compares all remaining candidates of different components.
+documents already connected are not compared: a first round links each document with one leader per
+shared shingle, the one with the fewest shingles of its own; the last round compares all remaining
+candidates of different components, behind a bitmap filter (the bits in which the parity bitmaps of two
+sets differ are at most the members in which the sets do), so that a large group of near copies does not
+become pairs of rows.
 
 Defined cases: words are runs of bytes other than space and 9 to 13, A-Z lower-cased; a document with
 fewer words than a shingle is its whole sequence; one without words (or a null text) has an empty set
@@ -97,8 +100,9 @@ def _least_overlap(n: np.ndarray, percent: int) -> np.ndarray:
 
 
 def _prefixes(percent: int):
-    """Rows (token, key, n, place): the shared shingles of a set's prefix under the first order."""
-    schema = pa.schema([("token", pa.int64()), ("key", pa.int64()), ("n", pa.int32()), ("place", pa.int32())])
+    """Rows (token, key, n, own, place): the shared shingles of a set's prefix under the first order; own: the
+    number of shingles that no other class has, which come before them."""
+    schema = pa.schema([("token", pa.int64()), ("key", pa.int64()), ("n", pa.int32()), ("own", pa.int32()), ("place", pa.int32())])
 
     def run(batches):
         for batch in batches:
@@ -110,7 +114,7 @@ def _prefixes(percent: int):
                 take = int(n) - int(_least_overlap(int(n), percent)) + 1 - own
                 if take > 0:
                     v = np.sort(v)[:take]
-                    parts.append((v.view(np.int64), np.full(len(v), key), np.full(len(v), n), own + np.arange(len(v))))
+                    parts.append((v.view(np.int64), np.full(len(v), key), np.full(len(v), n), np.full(len(v), own), own + np.arange(len(v))))
             if parts:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c), t.type) for c, t in zip(zip(*parts, strict=True), schema, strict=True)], schema=schema)
 
@@ -170,27 +174,59 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return pairs.join(right, "b").join(left, "a").select("a", "n_a", "v_a", "b", "n_b", "v_b").mapInArrow(_verify(percent), "a long, b long")
 
 
+def _bitmaps(batches):
+    """Rows (key, bitmap): the parity, for each of 256 to 4096 bits, of the shared shingles that fall on it."""
+    schema = pa.schema([("key", pa.int64()), ("bitmap", pa.binary())])
+    for batch in batches:
+        out = []
+        for n, values in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
+            bits = min(4096, max(256, 1 << (2 * n - 1).bit_length()))
+            hashes = mixed(np.frombuffer(values, "<u8") & MASK) & np.uint64(bits - 1)
+            out.append(np.packbits(np.bincount(hashes.astype(np.int64), minlength=bits) & 1).tobytes())
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], schema=schema)
+
+
+def _folded_bitmaps(bitmaps: list[bytes], size: int) -> np.ndarray:
+    """Bitmaps of ``size`` bytes: larger ones halved by parity, smaller ones all zero (never asked for)."""
+    out = np.zeros((len(bitmaps), size), np.uint8)
+    for i, b in enumerate(bitmaps):
+        if len(b) >= size:
+            out[i] = np.bitwise_xor.reduce(np.frombuffer(b, np.uint8).reshape(-1, size), axis=0)
+    return out.view(np.uint64)
+
+
 def _across(percent: int):
-    """All candidates (a, b) of different components among the rows of a token (sorted by token)."""
+    """All candidates (a, b) of different components among the rows of a token (sorted by token).
+
+    A bitmap's bit is a shingle's hash modulo its length, and bits are numbered in order, so halving by
+    parity gives the bitmap of half the length."""
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
-    def pairs(key, n, place, root):
-        order = np.argsort(n, kind="stable")
-        key, n, place, root = key[order], n[order], place[order], root[order]
+    def pairs(rows: dict[str, np.ndarray], bitmaps: list[bytes]):
+        order = np.argsort(rows["n"], kind="stable")
+        key, n, own, place, root = (rows[c][order] for c in ("key", "n", "own", "place", "root"))
+        bitmaps = [bitmaps[i] for i in order.tolist()]
+        size = np.array([len(b) for b in bitmaps])
+        maps = {int(x): _folded_bitmaps(bitmaps, int(x)) for x in np.unique(size)}
         reach = np.searchsorted(n, n * 100 // percent, side="right")
         for i in range(len(key) - 1):
-            j = slice(i + 1, reach[i])
-            good = (root[j] != root[i]) & _possible(n[i], place[i], n[j], place[j], percent)
-            if good.any():
-                other = key[j][good]
-                yield np.minimum(other, key[i]), np.maximum(other, key[i])
+            j = np.arange(i + 1, reach[i])
+            j = j[(root[j] != root[i])]
+            j = j[_possible(n[i], place[i], n[j], place[j], percent)]
+            if len(j):
+                mine = maps[int(size[i])]
+                differ = own[i] + own[j] + np.bitwise_count(mine[j] ^ mine[i]).sum(axis=1)
+                total = n[i] + n[j]
+                j = j[(total - differ) * (100 + percent) >= 2 * percent * total]  # twice the overlap is at most total - differ
+                if len(j):
+                    yield np.minimum(key[j], key[i]), np.maximum(key[j], key[i])
 
     def run(batches):
         seen: set[tuple[int, int]] = set()
 
-        def fresh(columns):
+        def fresh(rows: dict[str, np.ndarray], bitmaps: list[bytes]):
             out = []
-            for a, b in pairs(*columns):
+            for a, b in pairs(rows, bitmaps):
                 for pair in zip(a.tolist(), b.tolist(), strict=True):
                     if pair not in seen:
                         seen.add(pair)
@@ -200,17 +236,24 @@ def _across(percent: int):
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in out]), pa.array([p[1] for p in out])], schema=schema)
 
-        held: list[np.ndarray] | None = None
+        held, bits, last = [], [], None
+        names = ("key", "n", "own", "place", "root")
         for batch in batches:
-            cols = [c.to_numpy(zero_copy_only=False).astype(np.int64) for c in batch.columns]
-            if held is not None:
-                cols = [np.concatenate(x) for x in zip(held, cols, strict=True)]
-            cut = np.flatnonzero(np.diff(cols[0])) + 1
-            for s, e in zip(np.concatenate(([0], cut[:-1])) if len(cut) else [], cut, strict=True):
-                yield from fresh([c[s:e] for c in cols[1:]])
-            held = [c[cut[-1] if len(cut) else 0 :] for c in cols]
-        if held is not None and len(held[0]):
-            yield from fresh([c for c in held[1:]])
+            tokens = batch.column(0).to_numpy()
+            columns = {c: batch.column(batch.schema.get_field_index(c)).to_numpy().astype(np.int64) for c in names}
+            maps = batch.column(batch.schema.get_field_index("bitmap"))
+            cut = [0, *(np.flatnonzero(np.diff(tokens)) + 1).tolist(), len(tokens)]
+            for s, e in zip(cut[:-1], cut[1:], strict=True):
+                if s == e:
+                    continue
+                if tokens[s] != last and held:
+                    yield from fresh({c: np.concatenate([h[c] for h in held]) for c in names}, bits)
+                    held, bits = [], []
+                last = tokens[s]
+                held.append({c: v[s:e] for c, v in columns.items()})
+                bits += maps.slice(s, e - s).to_pylist()
+        if held:
+            yield from fresh({c: np.concatenate([h[c] for h in held]) for c in names}, bits)
 
     return run
 
@@ -229,27 +272,24 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     sets = settle(told_sets.filter(F.octet_length("values") * 100 >= F.col("size") * 8 * percent), "shared")
     release(spark)
 
-    prefix = settle(sets.mapInArrow(_prefixes(percent), "token long, key long, n int, place int"), "prefixes")
-    links = tried = None
-    roots = None
-    for step in range(3):
-        here = prefix.withColumn("root", F.col("key")) if roots is None else prefix.join(roots, "key", "left").select("token", "key", "n", "place", F.coalesce("root", "key").alias("root"))
-        open_tokens = here.groupBy("token").agg(F.min_by(F.struct("root", "key", "n", "place"), F.struct("root", "key")).alias("lead"), F.max("root").alias("most")).filter("lead.root < most")
-        if step < 2:
-            joined = here.join(open_tokens, "token").filter(F.col("lead.root") != F.col("root"))
-            fit = _possible(F.col("n").cast("long"), F.col("place"), F.col("lead.n").cast("long"), F.col("lead.place"), percent)
-            pairs = joined.filter(fit).select(F.least("key", "lead.key").alias("a"), F.greatest("key", "lead.key").alias("b")).distinct()
-        else:
-            cross = here.join(open_tokens.select("token"), "token").select("token", "key", "n", "place", "root")
-            pairs = cross.repartition("token").sortWithinPartitions("token").mapInArrow(_across(percent), "a long, b long").distinct()
-        if tried is not None:
-            pairs = pairs.join(tried, ["a", "b"], "left_anti")
-        pairs = settle(pairs, "pairs")
-        found = settle(_verified(pairs, sets, percent), "links")
-        tried = pairs if tried is None else tried.unionByName(pairs)
-        links = found if links is None else links.unionByName(found)
-        roots = components(links)
-        release(spark)
+    prefix = settle(sets.mapInArrow(_prefixes(percent), "token long, key long, n int, own int, place int"), "prefixes")
+    lead = F.min_by(F.struct("key", "n", "place"), F.struct("own", "key")).alias("lead")
+    starred = prefix.join(prefix.groupBy("token").agg(lead), "token").filter(F.col("lead.key") != F.col("key"))
+    fit = _possible(F.col("n").cast("long"), F.col("place"), F.col("lead.n").cast("long"), F.col("lead.place"), percent)
+    tried = settle(starred.filter(fit).select(F.least("key", "lead.key").alias("a"), F.greatest("key", "lead.key").alias("b")).distinct(), "pairs")
+    links = settle(_verified(tried, sets, percent), "links")
+    roots = components(links)
+    release(spark)
+
+    here = prefix.join(roots, "key", "left").withColumn("root", F.coalesce("root", "key"))
+    mixed_tokens = here.groupBy("token").agg(F.min("root").alias("low"), F.max("root").alias("high")).filter("low < high").select("token")
+    maps = sets.mapInArrow(_bitmaps, "key long, bitmap binary")
+    cross = here.join(mixed_tokens, "token").join(maps, "key").select("token", "key", "n", "own", "place", "root", "bitmap")
+    pairs = cross.repartition("token").sortWithinPartitions("token").mapInArrow(_across(percent), "a long, b long").distinct()
+    pairs = settle(pairs.join(tried, ["a", "b"], "left_anti"), "pairs")
+    links = links.unionByName(settle(_verified(pairs, sets, percent), "links"))
+    roots = components(links)
+    release(spark)
 
     ids = known.join(classes.select("key", "least"), "key", "left")
     tops = roots.join(classes.select("key", "least"), "key")

@@ -5,17 +5,32 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from nbflow.llm import grace_dedup, multi_order_join
+from nbflow.llm import block_anchors, grace_dedup, multi_order_join, slack_packing, slot_mixing, suffix_bwt
 from nbflow.llm.common import documents
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def repeated_bytes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    cut = suffix_bwt.remove_repeated_bytes(documents(spark, sf_dir))
+    return cut.select("doc_id", "n_bytes", "n_removed", F.size("spans").cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"))
+
+
+def repeated_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    cut = block_anchors.remove_repeated_passages(documents(spark, sf_dir))
+    return cut.select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
+
+
 def queries() -> dict[str, Query]:
     return {
+        "op2_suffix_dedup": repeated_bytes,
+        "op3_block_anchor_dedup": repeated_passages,
         "op5_multi_order_jaccard": lambda spark, d: multi_order_join.similar_groups(documents(spark, d)),
+        "op6_min_slack_packing": lambda spark, d: slack_packing.pack_documents(documents(spark, d)),
         "op7_grace_exact_dedup": lambda spark, d: grace_dedup.exact_dedup(documents(spark, d)),
+        "op9_slot_mixing": lambda spark, d: slot_mixing.mix(documents(spark, d)),
     }
 
 

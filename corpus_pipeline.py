@@ -1,6 +1,58 @@
-"""The corpus pipeline: stages over documents, each reading what its predecessor wrote."""
+"""The corpus pipeline: from raw documents to packed sequences, each stage on all that its predecessor kept.
+
+Stages take (spark, docs, sf_dir) and return a table; all but the last return the columns of documents.
+What a stage returns is written as Parquet in the shared folder and read again by the next, so a lost
+executor repeats one stage at most. Defined cases are those of the operators; an empty table passes all
+stages and gives an empty result.
+"""
 
 from __future__ import annotations
 
-STAGES: list = []
+from pyspark.sql import DataFrame, SparkSession
+
+from nbflow.llm import factor_classifier, grace_dedup, multi_order_join, slack_packing, slot_mixing
+from nbflow.llm.common import settle
+
+
+def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the classifier, trained on the labels, accepts."""
+    return factor_classifier.accepted(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
+def without_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of equal texts the document with the largest doc_id."""
+    return grace_dedup.without_copies(docs)
+
+
+def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of each group that links of similar shingle sets connect, the document with the smallest doc_id."""
+    return multi_order_join.one_of_each_group(docs)
+
+
+def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The mix of sources at their target weights."""
+    return slot_mixing.mixed_documents(docs)
+
+
+def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of token sequences."""
+    return slack_packing.pack_documents(docs)
+
+
+STAGES = [
+    ("quality classifier", good_quality),
+    ("exact dedup", without_copies),
+    ("n-gram Jaccard join", without_near_copies),
+    ("mixing sources to target weights", mixed),
+    ("packing", packed),
+]
+
+#: SQL can't express the classifier, the mix and the packing; tests hold the stages against brute force.
 ORACLE_SQL = None
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    for name, stage in STAGES[:-1]:
+        docs = settle(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+    return STAGES[-1][1](spark, docs, sf_dir)

@@ -81,13 +81,9 @@ def _among(hashes: np.ndarray, doc: np.ndarray, told_hashes: np.ndarray, owner:
     """Whether a document was told each of its hashes."""
     if not len(told_hashes):
         return np.zeros(len(hashes), bool)
-    pair = np.dtype([("d", "<i8"), ("h", "<u8")])
-    known = np.zeros(len(told_hashes), pair)
-    known["d"], known["h"] = owner, told_hashes
-    order = np.lexsort((told_hashes, owner))
-    known = known[order]
-    mixed_known = known["h"] ^ (known["d"].astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
-    mixed_mine = hashes ^ (doc.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+    spread = np.uint64(0x9E3779B97F4A7C15)
+    mixed_known = told_hashes ^ (owner.astype(np.uint64) * spread)
+    mixed_mine = hashes ^ (doc.astype(np.uint64) * spread)
     return np.isin(mixed_mine, mixed_known)
 
 

@@ -14,7 +14,7 @@ become pairs of rows.
 Defined cases: words are runs of bytes other than space and 9 to 13, A-Z lower-cased; a document with
 fewer words than a shingle is its whole sequence; one without words (or a null text) has an empty set
 and links with nothing; equal sets are one class, however many copies; rows that share a doc_id count as
-one document; an empty table gives an empty result; other columns are ignored.
+one document; a missing doc_id counts as the smallest and comes back missing; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import P_WORD, Rolling, buckets_for, lowered, mixed, pieces_of, release, settle, text_or_empty, word_hashes, word_spans
+from nbflow.llm.common import NO_ID, P_WORD, Rolling, buckets_for, lowered, mixed, pieces_of, release, settle, text_or_empty, word_hashes, word_spans
 from nbflow.llm.components import components
 from nbflow.llm.packed import BITS, MASK, Holders, told
 
@@ -261,7 +261,7 @@ def _across(percent: int):
 def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id (the smallest doc_id that links reach)."""
     spark = docs.sparkSession
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))
+    rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), text_or_empty().alias("text"))
     for seed in range(0x51ED, 0x5200, 2):  # a seed under which no two different sets share a digest: the first, but for luck
         known = settle(rows.mapInArrow(_set_keys(k, seed), "doc_id long, key long, check long, n_shingles long"), "sets")
         classes = known.filter("n_shingles > 0").groupBy("key").agg(F.min("doc_id").alias("least"), (F.min("check") != F.max("check")).alias("clash"))
@@ -295,4 +295,11 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     tops = roots.join(classes.select("key", "least"), "key")
     tops = tops.select("key", "root").join(tops.groupBy("root").agg(F.min("least").alias("top")), "root").select("key", "top")
     out = ids.join(tops, "key", "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") == 0, F.col("doc_id")).otherwise(F.coalesce("top", "least")).alias("component_id"))
-    return out
+    return out.select(F.nullif("doc_id", F.lit(NO_ID)).alias("doc_id"), "n_shingles", F.nullif("component_id", F.lit(NO_ID)).alias("component_id"))
+
+
+def one_of_each_group(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
+    """The rows of ``docs``, with all their columns, whose doc_id is the smallest of its group."""
+    groups = similar_groups(docs, k, percent)
+    stay = groups.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__stay")).distinct()
+    return docs.join(stay, docs["doc_id"].eqNullSafe(stay["__stay"]), "left_semi")

@@ -10,9 +10,9 @@ Query = Callable[[SparkSession, str], DataFrame]
 
 
 def _modules() -> list:
-    from nbflow.plans import eventlog
+    from nbflow.plans import catalogue, eventlog, surface
 
-    return [eventlog]
+    return [eventlog, catalogue, surface]
 
 
 def queries() -> dict[str, Query]:

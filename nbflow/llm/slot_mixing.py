@@ -141,8 +141,9 @@ def mixing_plan(docs: DataFrame, block_words: int = BLOCK_WORDS, seed: int = SEE
 
     shards = -(-sum(slots) // SHARD_SLOTS)
     drawn = spark.range(shards).mapInArrow(_slots(blocks, slots, shards, seed), "source_no int, block long").groupBy("source_no", "block").agg(F.count("*").alias("times"))
+    # the plan's estimate of what the shards draw is far too small: a merge join, whatever it says
     cover = F.expr(f"sequence(at div {block_words}, (at + size - 1) div {block_words})")
-    pieces = placed.filter("size > 0").withColumn("block", F.explode(cover)).join(drawn, ["source_no", "block"])
+    pieces = placed.filter("size > 0").withColumn("block", F.explode(cover)).join(drawn.hint("merge"), ["source_no", "block"])
     first = F.greatest(F.col("block") * block_words, F.col("at"))
     last = F.least((F.col("block") + 1) * block_words, F.col("at") + F.col("size"))
     pieces = pieces.select("source_no", "part", "nth", "doc_id", "source", "size", (first - F.col("at")).alias("first"), (last - first).alias("words"), "times")

@@ -10,9 +10,9 @@ Query = Callable[[SparkSession, str], DataFrame]
 
 
 def _modules() -> list:
-    from nbflow.plans import catalogue, eventlog, surface
+    from nbflow.plans import catalogue, eventlog, mine, surface
 
-    return [eventlog, catalogue, surface]
+    return [eventlog, catalogue, surface, mine]
 
 
 def queries() -> dict[str, Query]:

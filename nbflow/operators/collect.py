@@ -115,7 +115,11 @@ def near_duplicates(documents: DataFrame, threshold: float = 0.8, k: int = 3, ha
     stays linear; what its members have in common is a chain through that document."""
     words = F.split(F.lower("text"), r"\s+")
     docs = documents.select("doc_id", words.alias("w")).withColumn("s", F.array_distinct(F.expr(f"transform(sequence(1, greatest(size(w) - {k - 1}, 1)), i -> xxhash64(array_join(slice(w, i, {k}), ' ')))")))
-    salted = [F.array_min(F.transform("s", lambda x, n=n: F.xxhash64(x, F.lit(n)))) for n in range(hashes)]
+
+    def least(n: int) -> Column:
+        return F.array_min(F.transform("s", lambda x: F.xxhash64(x, F.lit(n))))
+
+    salted = [least(n) for n in range(hashes)]
     sketch = docs.select("doc_id", "s", F.array(*salted).alias("m"))
     bands = F.array(*[F.xxhash64(F.lit(b), F.slice("m", b * rows + 1, rows)) for b in range(hashes // rows)])
     buckets = sketch.select("doc_id", F.explode(bands).alias("band"))

@@ -10,9 +10,9 @@ Query = Callable[[SparkSession, str], DataFrame]
 
 
 def _modules() -> list:
-    from nbflow.plans import catalogue, eventlog, mine, surface
+    from nbflow.plans import catalogue, evaluate, eventlog, mine, surface
 
-    return [eventlog, catalogue, surface, mine]
+    return [eventlog, catalogue, surface, mine, evaluate]
 
 
 def queries() -> dict[str, Query]:

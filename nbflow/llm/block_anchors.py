@@ -22,10 +22,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import NO_ID, P_WORD, Rolling, buckets_for, pieces_of, release, runs_of, settle, text_or_empty, word_hashes, word_spans
+from nbflow.llm.common import NO_ID, P_WORD, Rolling, buckets_for, pieces_of, release, runs_of, settle, small_batches, text_or_empty, word_hashes, word_spans
 from nbflow.llm.packed import BITS, Holders, told
 
-CHUNK = 3 << 20
+CHUNK = 1 << 20
 
 
 class Words:
@@ -145,6 +145,7 @@ def _cut(window: int):
 def remove_repeated_passages(docs: DataFrame, window: int = 50) -> DataFrame:
     """One row per document: doc_id, n_words, n_removed, spans (word positions of the runs cut out), kept (text)."""
     spark = docs.sparkSession
+    small_batches(spark)
     block = window // 2
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), text_or_empty().alias("text"))
     buckets = buckets_for(rows)

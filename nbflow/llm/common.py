@@ -2,15 +2,16 @@
 
 from __future__ import annotations
 
+import ctypes
 import gc
-import tempfile
-import uuid
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from nbflow.session import settle, shared_dir  # noqa: F401
+
 #: Stands for a missing doc_id inside the operators: the smallest number.
 NO_ID = -(1 << 63)
 
@@ -22,23 +23,25 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that all machines share. Set here only where the session names none, as in tests."""
-    found = spark.sparkContext.getConf().get("spark.checkpoint.dir", "")
-    if found:
-        return found.rstrip("/")
-    jsc = spark.sparkContext._jsc.sc()
-    if not jsc.getCheckpointDir().isDefined():
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="nbflow-"))
-    return jsc.getCheckpointDir().get().rstrip("/")
+#: Rows and bytes of a batch that a task hands to Python at most: texts are long, and workers' memory is small.
+BATCH_ROWS, BATCH_BYTES = 1000, 8 << 20
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Lower the session's limits of Arrow batches to those of this module; limits lower still are left."""
+    for key, most in (("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS), ("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)):
+        now = spark.conf.get(key).rstrip("bB")
+        if not now.isdigit() or not 0 < int(now) <= most:
+            spark.conf.set(key, str(most))
 
 
-def settle(df: DataFrame, name: str) -> DataFrame:
-    """Write a table in the shared folder and read it back: lineage ends there and a lost executor loses nothing."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+def trim() -> None:
+    """Give freed memory back to the machine: workers live long, and many large arrays leave their heap full of holes."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
 
 
 def release(spark: SparkSession) -> None:
@@ -47,7 +50,7 @@ def release(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
-def buckets_for(df: DataFrame, bytes_each: int = 8 << 20) -> int:
+def buckets_for(df: DataFrame, bytes_each: int = 4 << 20) -> int:
     """Buckets of bounded size for what is read from ``df``: the plan's size in bytes sets their number."""
     size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
     return min(max(partitions(df.sparkSession), -(-size // bytes_each)), 1 << 20)
@@ -88,6 +91,8 @@ def pieces_of(batches, limit: int, rows: int = 60_000):
             b = min(b, a + rows, len(ids))
             yield ids[a:b], data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
             a = b
+        del batch, data
+        trim()
 
 
 def is_space(data: np.ndarray) -> np.ndarray:

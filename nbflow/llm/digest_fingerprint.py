@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import NO_ID, partitions, settle, text_or_empty, text_views
+from nbflow.llm.common import NO_ID, partitions, settle, small_batches, text_or_empty, text_views
 
 
 def canonical(text: str) -> str:
@@ -128,6 +128,7 @@ def _read_on(batches):
 
 def fingerprints(docs: DataFrame) -> DataFrame:
     """One row per document: doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next."""
+    small_batches(docs.sparkSession)
     spark = docs.sparkSession
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), text_or_empty().alias("text"))
     found = settle(rows.mapInArrow(_digests, "doc_id long, digest string"), "digests")

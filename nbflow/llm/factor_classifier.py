@@ -23,12 +23,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import P_BYTE, Rolling, lowered, pieces_of, text_or_empty, text_views, word_spans
+from nbflow.llm.common import P_BYTE, Rolling, lowered, pieces_of, small_batches, text_or_empty, text_views, word_spans
 
 #: Labelled rows that training reads at most, hash slots of words, length of a feature's vector, epochs, seed.
 SAMPLE_ROWS, SLOTS, FACTORS, EPOCHS, SEED = 6000, 1 << 16, 8, 12, 7
 THRESHOLD = 0.7
-CHUNK = 2 << 20
+CHUNK = 1 << 20
 #: Classes of bytes whose shares are statistics (fixed values).
 CLASSES = {"upper": b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", "digit": b"0123456789", "space": b" ", "line": b"\n", "stop": b".,;:", "shout": b"!?", "bar": b"|\t", "sign": b"#$%&*^~@+=<>_\\/", "bracket": b"()[]{}\"'`-"}
 STATISTICS = ("bytes", "words", "word_length", "lines", "line_length", "other_bytes", "upper_words", "distinct_words", "distinct_lines", "word_again", *CLASSES)
@@ -176,6 +176,7 @@ def held_out(doc_id="doc_id"):
 
 def train(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> Model | None:
     """A model of ``labels.quality`` from at most ``sample_rows`` labelled rows, the first by a hash of doc_id."""
+    small_batches(docs.sparkSession)
     usable = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("label")).filter("label in (0, 1) and doc_id is not null")
     sample = usable.filter(~held_out()).orderBy(F.xxhash64("doc_id"), "doc_id", "label").limit(sample_rows)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text")).join(F.broadcast(sample), "doc_id").select("doc_id", "text", "label")

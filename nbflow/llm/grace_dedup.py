@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import text_or_empty, text_views
+from nbflow.llm.common import small_batches, text_or_empty, text_views
 
 #: Bytes of distinct text that a table holds in memory, and spill files of one partitioning pass.
 TABLE_BYTES, FANOUT = 48 << 20, 16
@@ -161,6 +161,7 @@ def _resolve(batches):
 
 def text_classes(docs: DataFrame) -> DataFrame:
     """One row per distinct text: text_sha256, keep_id (largest doc_id) and group_size."""
+    small_batches(docs.sparkSession)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("body")).withColumn("h", F.xxhash64("body"))
     folded = rows.mapInArrow(_fold, "h long, body binary, largest long, rows long")
     return folded.repartition("h").mapInArrow(_resolve, "text_sha256 string, keep_id long, group_size long")

@@ -24,11 +24,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import NO_ID, P_WORD, Rolling, buckets_for, lowered, mixed, pieces_of, release, settle, text_or_empty, word_hashes, word_spans
+from nbflow.llm.common import NO_ID, P_WORD, Rolling, buckets_for, lowered, mixed, pieces_of, release, settle, small_batches, text_or_empty, word_hashes, word_spans
 from nbflow.llm.components import components
 from nbflow.llm.packed import BITS, MASK, Holders, told
 
-CHUNK = 3 << 20
+CHUNK = 1 << 20
 _OWN = np.uint64(BITS)
 
 
@@ -231,7 +231,7 @@ def _across(percent: int):
                     if pair not in seen:
                         seen.add(pair)
                         out.append(pair)
-            if len(seen) > 2_000_000:
+            if len(seen) > 100_000:
                 seen.clear()  # repeats are dropped later; here they only cost
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in out]), pa.array([p[1] for p in out])], schema=schema)
@@ -261,6 +261,7 @@ def _across(percent: int):
 def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id (the smallest doc_id that links reach)."""
     spark = docs.sparkSession
+    small_batches(spark)
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), text_or_empty().alias("text"))
     for seed in range(0x51ED, 0x5200, 2):  # a seed under which no two different sets share a digest: the first, but for luck
         known = settle(rows.mapInArrow(_set_keys(k, seed), "doc_id long, key long, check long, n_shingles long"), "sets")

@@ -17,6 +17,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from nbflow.llm.common import trim
+
 BITS = 48
 MASK = np.uint64((1 << BITS) - 1)
 _HEAD = struct.Struct("<IIBB")
@@ -62,8 +64,24 @@ def _narrowed(h: Holders, part: slice | np.ndarray) -> Holders:
     return Holders(h.hashes[part], owner, h.keys[used], h.sizes[used], h.flags[part])
 
 
+def _pooled(some: Iterable[Holders], least: int = 600_000) -> Iterator[Holders]:
+    """Small chunks' holders together, so that blocks are long though texts are hashed in small pieces."""
+    held, size = [], 0
+    for h in some:
+        held.append(h)
+        size += len(h.hashes)
+        if size >= least:
+            yield _joined(held)
+            held, size = [], 0
+    if held:
+        yield _joined(held)
+
+
 def _merged(blocks: list[bytes]) -> Holders:
-    all_of = [_unpacked(b) for b in blocks]
+    return _joined([_unpacked(b) for b in blocks])
+
+
+def _joined(all_of: list[Holders]) -> Holders:
     shift = np.cumsum([0, *(len(x.keys) for x in all_of)])
     return Holders(
         np.concatenate([x.hashes for x in all_of]),
@@ -98,6 +116,7 @@ def buckets_in_order(batches) -> Iterator[tuple[int, list[bytes]]]:
             if bucket != now and blocks:
                 yield now, blocks
                 blocks = []
+                trim()
             now = bucket
             blocks.append(block)
     if blocks:
@@ -118,7 +137,7 @@ def told(docs: DataFrame, hashed: Callable[[Iterable], Iterator[Holders]], pick:
 
     def out(batches):
         def blocks():
-            for h in hashed(batches):
+            for h in _pooled(hashed(batches)):
                 order = np.argsort(h.hashes, kind="stable")
                 h = Holders(h.hashes[order], h.owner[order], h.keys, h.sizes, h.flags[order])
                 bounds = _bounds(h.hashes, buckets, bits)

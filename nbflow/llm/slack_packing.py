@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import text_or_empty, text_views
+from nbflow.llm.common import small_batches, text_or_empty, text_views
 
 #: Where the vocabulary lies, unless the caller names another file; documents of a packing group.
 VOCABULARY = "byte_bpe_50k.json"
@@ -162,6 +162,7 @@ def _pack_group(window: int):
 
 def pack_documents(docs: DataFrame, window: int = 2048, vocabulary: str | None = None) -> DataFrame:
     """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset."""
+    small_batches(docs.sparkSession)
     groups = max(1, -(-docs.count() // GROUP_DOCS))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))
     pieces = rows.mapInArrow(_pieces(vocabulary or default_vocabulary(), window), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long")

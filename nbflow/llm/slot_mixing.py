@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import WORD, is_space, partitions, settle, text_views
+from nbflow.llm.common import WORD, is_space, partitions, settle, small_batches, text_views
 
 #: Weights of the sources in order, repeating (fixed values), and the mix's size in sizes of all sources.
 WEIGHTS, SHARE, MOST = (5, 2, 1), 1.5, 2.0
@@ -118,6 +118,7 @@ def _slots(blocks: list[int], slots: list[int], shards: int, seed: int):
 def mixing_plan(docs: DataFrame, block_words: int = BLOCK_WORDS, seed: int = SEED) -> tuple[DataFrame, DataFrame]:
     """(documents, pieces). Documents: row_no parts (source_no, part, nth), doc_id, source, size, source_size,
     target. Pieces: the same key, first (word of the document), words, times (how often the mix takes them)."""
+    small_batches(docs.sparkSession)
     spark = docs.sparkSession
     size = F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long")
     part = F.pmod(F.xxhash64("doc_id"), F.lit(max(16, partitions(spark)))).cast("int")

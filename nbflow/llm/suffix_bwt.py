@@ -4,12 +4,18 @@ Sorting the suffixes of all texts at once fits no machine, so texts are first cu
 every window of ``length`` bytes belongs to the segment of its minimizer (the least hash among its
 grams), and equal windows have equal minimizers. A segment holds successive windows of one minimizer.
 Segments whose minimizer occurs once in all texts hold no repeat; the others travel to the bucket of
-their minimizer. There each collection of segments gets its suffix order by column-wise construction:
-round j puts the suffixes of j bytes, one of each segment, among the shorter ones, by counting symbols
-in the transform built so far, and computes the common prefixes of what it inserts from those already
-known. The columns of the construction (transform, common prefixes, segment, suffix length) live in
-files that a round reads and writes from front to back. Suffixes in a run of common prefixes of at least
-``length`` bytes are repeats of the earliest of them.
+their minimizer. There each collection of segments gets its suffix order by column-wise construction over
+symbols of a few bytes (a divisor of ``length``): a segment is read in as many phases as a symbol has
+bytes, each phase a document of the collection, so that every byte begins one suffix. Round j puts the
+suffixes of j symbols, one of each document, among the shorter ones, by counting symbols in the transform
+built so far, and computes the common prefixes of what it inserts from those already known. The columns
+of the construction (transform, common prefixes, document, suffix length) live in files that a round reads
+and writes from front to back. Suffixes in a run of common prefixes of at least ``length`` bytes are
+repeats of the earliest of them.
+
+A minimizer with more segments than one construction takes is split by where its windows begin: windows
+of one half of the places share all bytes between the outermost of them, and those bytes are the key of
+the half. Places halve until a part fits, so that no minimizer needs more memory than another.
 
 Copies of a segment are folded before the exchange, in the task that reads them: all but the earliest are
 repeats already. So the most frequent passage reaches its bucket once per piece of the input.
@@ -32,12 +38,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from nbflow.llm.block_anchors import _among, _told_sets
-from nbflow.llm.common import NO_ID, P_BYTE, Rolling, buckets_for, pieces_of, release, runs_of, settle, text_or_empty
-from nbflow.llm.packed import BITS, Holders, _narrowed, _packed, _sent, _by_key, dealt, told
+from nbflow.llm.common import NO_ID, P_BYTE, Rolling, buckets_for, mixed, pieces_of, release, runs_of, settle, small_batches, text_or_empty, trim
+from nbflow.llm.packed import BITS, MASK, Holders, _narrowed, _packed, _sent, _by_key, dealt, told
 
-CHUNK = 3 << 20
-#: Bytes of a gram, and bytes of segments that one construction takes.
-GRAM, COLLECTION = 40, 1 << 20
+CHUNK = 1 << 20
+#: Bytes of a gram, bytes of segments that one construction takes, and sizes of a symbol: the first that divides the length.
+GRAM, COLLECTION, SYMBOLS = 40, 200_000, (5, 4, 2, 1)
 
 
 def sliding_least(values: np.ndarray, width: int) -> np.ndarray:
@@ -55,11 +61,12 @@ def sliding_least(values: np.ndarray, width: int) -> np.ndarray:
 
 
 def segments(data: np.ndarray, offsets: np.ndarray, length: int, gram: int):
-    """(start, number of windows, minimizer's hash, document) of the segments; starts count within ``data``."""
+    """(start, number of windows, minimizer's hash, document, minimizer's place in the segment) of the segments;
+    starts count within ``data``."""
     n = len(data) - length + 1
     if n <= 0:
         none = np.zeros(0, np.int64)
-        return none, none, np.zeros(0, np.uint64), none
+        return none, none, np.zeros(0, np.uint64), none, none
     grams = Rolling(data, P_BYTE).windows(gram)
     place = np.arange(len(grams), dtype=np.uint64)
     least = (sliding_least((grams & ~np.uint64(0xFFFFFFFF)) | place, length - gram + 1) & np.uint64(0xFFFFFFFF)).astype(np.int64)
@@ -70,21 +77,25 @@ def segments(data: np.ndarray, offsets: np.ndarray, length: int, gram: int):
     edge = np.flatnonzero(new | ~whole)
     size = np.diff(np.append(edge, n))
     edge, size = edge[whole[edge]], size[whole[edge]]
-    return edge, size, grams[least[edge]] >> np.uint64(64 - BITS), doc[edge]
+    # minimizers are the least of many hashes: mixed once more, so that their ranges are even
+    return edge, size, mixed(grams[least[edge]]) >> np.uint64(64 - BITS), doc[edge], least[edge] - edge
 
 
 def _minimizers(length: int, gram: int):
+    """Each minimizer of a document once; the flag says that the document has it more often (as periodic texts do)."""
+
     def run(batches):
         for ids, data, offsets in pieces_of(batches, CHUNK):
-            _, _, hashes, doc = segments(data, offsets, length, gram)
-            yield Holders(hashes, doc, ids, np.zeros(len(ids), np.int32), np.zeros(len(hashes), bool))
+            _, _, hashes, doc, _ = segments(data, offsets, length, gram)
+            both, times = np.unique((doc.astype(np.uint64) << np.uint64(BITS)) | hashes, return_counts=True)
+            yield Holders(both & MASK, (both >> np.uint64(BITS)).astype(np.int64), ids, np.zeros(len(ids), np.int32), times > 1)
 
     return run
 
 
 def _repeated(h: Holders, starts: np.ndarray):
     size = np.diff(np.append(starts, len(h.hashes)))
-    places = np.flatnonzero(np.repeat(size > 1, size))
+    places = np.flatnonzero(np.repeat((size > 1) | np.logical_or.reduceat(h.flags, starts), size))
     return places, h.hashes[places]
 
 
@@ -106,9 +117,9 @@ def _folded(length: int, gram: int, buckets: int):
 
     def blocks(batches):
         for ids, data, offsets, known, owner in _told_sets(batches):
-            edge, size, hashes, doc = segments(data, offsets, length, gram)
+            edge, size, hashes, doc, place = segments(data, offsets, length, gram)
             use = np.flatnonzero(_among(hashes, doc, known, owner))
-            edge, size, hashes, doc = edge[use], size[use], hashes[use], doc[use]
+            edge, size, hashes, doc, place = edge[use], size[use], hashes[use], doc[use], place[use]
             body, start = data.tobytes(), edge - offsets[doc]
             order = np.lexsort((start, ids[doc]))
             first: dict[bytes, int] = {}
@@ -126,7 +137,7 @@ def _folded(length: int, gram: int, buckets: int):
             for b in np.unique(to).tolist():
                 mine = np.flatnonzero(to == b)
                 at = kept[mine]
-                yield b, b"S" + pickle.dumps((hashes[at], ids[doc[at]], start[at], [texts[j] for j in mine.tolist()]), protocol=5)
+                yield b, b"S" + pickle.dumps((hashes[at], ids[doc[at]], start[at], place[at], [texts[j] for j in mine.tolist()]), protocol=5)
 
     def run(batches):
         yield from _sent(blocks(batches))
@@ -175,18 +186,15 @@ def _range_least(values: np.ndarray, low: np.ndarray, high: np.ndarray) -> np.nd
     return out
 
 
-def sorted_suffixes(texts: list[bytes], folder: str, cap: int = 100) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(transform, common prefixes up to ``cap``, text, suffix length) of all suffixes of ``texts`` in order.
+def sorted_suffixes(body: np.ndarray, lengths: np.ndarray, folder: str, cap: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(transform, common prefixes up to ``cap``, text, suffix length) of all suffixes of texts, in order.
 
-    Symbol 0 of the transform marks a whole text; a byte b is symbol b + 1. Equal suffixes are in order of
-    their texts. A round costs one stable sort of the transform's symbols, which is where every suffix goes
-    once its preceding symbol is put in front, and one pass over the columns."""
-    m = len(texts)
-    lengths = np.array([len(t) for t in texts], np.int64)
+    body: the symbols (from 1) of all texts, one text after the other. Symbol 0 of the transform marks a whole
+    text. Equal suffixes are in order of their texts. A round costs one stable sort of the transform's
+    symbols, which is where every suffix goes once its preceding symbol is put in front, and one pass over
+    the columns."""
+    m, kind = len(lengths), body.dtype
     ends = np.cumsum(lengths)
-    body = np.frombuffer(b"".join(texts), np.uint8)
-    kind = np.uint16 if len(body) and body.max() == 255 else np.uint8
-    body = body.astype(kind) + kind(1)
 
     def before(text: np.ndarray, have: int) -> np.ndarray:
         """The symbol in front of the suffix of ``have`` bytes."""
@@ -251,59 +259,108 @@ def sorted_suffixes(texts: list[bytes], folder: str, cap: int = 100) -> tuple[np
     return out
 
 
+def phases(texts: list[bytes], q: int) -> tuple[np.ndarray, np.ndarray]:
+    """(symbols, lengths) of the documents that reading each text in ``q`` phases gives: document q * i + p is
+    text i from byte p on, in whole symbols of q bytes, numbered from 1 in their order."""
+    sizes = np.array([len(t) for t in texts], np.int64)
+    begin = np.cumsum(sizes) - sizes
+    body = np.frombuffer(b"".join(texts) + bytes(q), np.uint8).astype(np.uint64)
+    code = np.zeros(len(body) - q, np.uint64)
+    for i in range(q):
+        code = (code << np.uint64(8)) | body[i : len(body) - q + i]
+    phase = np.tile(np.arange(q), len(texts))
+    lengths = np.maximum(np.repeat(sizes, q) - phase, 0) // q
+    doc = np.repeat(np.arange(len(lengths)), lengths)
+    nth = np.arange(len(doc)) - np.repeat(np.cumsum(lengths) - lengths, lengths)
+    known, ranks = np.unique(code[begin[doc // q] + phase[doc] + q * nth], return_inverse=True)
+    return (ranks + 1).astype(np.uint8 if len(known) < 255 else np.uint16 if len(known) < 65535 else np.uint32), lengths
+
+
 def repeats(texts: list[bytes], docs: np.ndarray, starts: np.ndarray, length: int, folder: str):
     """(document, start) of the windows of ``length`` bytes that begin earlier too; earlier: smaller document, then start."""
-    _, lcp, text, size = sorted_suffixes(texts, folder, length)
-    new = (lcp < length) | (size < length)
-    group = np.cumsum(new)
-    at = np.flatnonzero(size >= length)
+    q = next(x for x in SYMBOLS if length % x == 0)
+    symbols, lengths = phases(texts, q)
+    _, lcp, text, size = sorted_suffixes(symbols, lengths, folder, length // q)
+    group = np.cumsum((lcp < length // q) | (size < length // q))
+    at = np.flatnonzero(size >= length // q)
     group, text, size = group[at], text[at].astype(np.int64), size[at].astype(np.int64)
-    many = np.bincount(group)[group] > 1
+    many = np.bincount(group)[group] > 1 if len(group) else np.zeros(0, bool)
     group, text, size = group[many], text[many], size[many]
-    lengths = np.array([len(t) for t in texts], np.int64)
-    doc, start = docs[text], starts[text] + lengths[text] - size
+    doc, start = docs[text // q], starts[text // q] + text % q + q * (lengths[text] - size)
     order = np.lexsort((start, doc, group))
     again = np.concatenate(([False], group[order][1:] == group[order][:-1])) if len(order) else np.zeros(0, bool)
     return doc[order][again], start[order][again]
 
 
-def _ordered(length: int, buckets: int):
+def split_by_place(segments_of: list[tuple], low: int, high: int, length: int):
+    """Halves of a minimizer's segments (document, start, place, text), by how far ahead of the minimizer (low to
+    high bytes) windows begin; in a half, segments go by the bytes that all its windows have."""
+    mid = (low + high + 1) // 2
+    for a, b in ((low, mid - 1), (mid, high)):
+        parts = defaultdict(list)
+        for doc, start, place, text in segments_of:
+            most, least = min(b, place), max(a, place - (len(text) - length))
+            if most >= least and a <= b:
+                cut = place - most
+                common = text[place - a : place - b + length]
+                parts[common].append((doc, start + cut, most, text[cut : place - least + length]))
+        for part in parts.values():
+            yield part, a, b
+
+
+def _ordered(length: int, gram: int, buckets: int):
     """The runs (start, number of windows) of every document that a bucket of minimizers decides."""
 
     def decided(got: list[bytes], folder: str):
-        first: dict[bytes, tuple] = {}
-        later = []
-        for block in got:
-            for h, doc, start, text in zip(*(x.tolist() if isinstance(x, np.ndarray) else x for x in pickle.loads(block)), strict=True):
-                here, there = (doc, start, h), first.get(text)
+        later: list[tuple] = []
+        found: list[tuple] = []
+
+        def folded(some):
+            """The earliest of each text; the others' windows all begin earlier."""
+            first: dict[bytes, tuple] = {}
+            for doc, start, place, text in some:
+                here, there = (doc, start, place, text), first.get(text)
                 if there is None:
                     first[text] = here
                 else:
                     first[text] = min(here, there)
                     later.append((*max(here, there)[:2], len(text) - length + 1))
-        groups = defaultdict(list)
-        for text, (_, _, h) in first.items():
-            groups[h].append(text)
-        batch: list[bytes] = []
-        parts = []
+            return list(first.values())
+
+        batch: list[tuple] = []
+        held = 0
 
         def flush():
+            nonlocal held
             if batch:
-                parts.append(repeats(batch, np.array([first[t][0] for t in batch]), np.array([first[t][1] for t in batch]), length, folder))
+                found.append(repeats([x[3] for x in batch], np.array([x[0] for x in batch]), np.array([x[1] for x in batch]), length, folder))
                 batch.clear()
+                held = 0
+                trim()
 
-        held = 0
-        for same in groups.values():
-            if len(same) > 1:  # a minimizer with one segment left has no other to compare
-                batch += same
-                held += sum(map(len, same))
-                if held > COLLECTION:
-                    flush()
-                    held = 0
+        groups = defaultdict(list)
+        for block in got:
+            for h, doc, start, place, text in zip(*(x.tolist() if isinstance(x, np.ndarray) else x for x in pickle.loads(block)), strict=True):
+                groups[h].append((doc, start, place, text))
+        todo = [(some, 0, length - gram) for some in groups.values() if len(some) > 1]
+        del groups
+        while todo:
+            some, low, high = todo.pop()
+            some = folded(some)
+            if len(some) < 2:  # no other segment to compare
+                continue
+            size = sum(len(x[3]) for x in some)
+            if size > COLLECTION and low < high:
+                todo += [x for x in split_by_place(some, low, high, length) if len(x[0]) > 1]
+                continue
+            batch += some
+            held += size
+            if held > COLLECTION:
+                flush()
         flush()
-        docs = np.concatenate([np.array([x[0] for x in later], np.int64), *(p[0] for p in parts)])
-        starts = np.concatenate([np.array([x[1] for x in later], np.int64), *(p[1] for p in parts)])
-        sizes = np.concatenate([np.array([x[2] for x in later], np.int64), *(np.ones(len(p[0]), np.int64) for p in parts)])
+        docs = np.concatenate([np.array([x[0] for x in later], np.int64), *(p[0] for p in found)])
+        starts = np.concatenate([np.array([x[1] for x in later], np.int64), *(p[1] for p in found)])
+        sizes = np.concatenate([np.array([x[2] for x in later], np.int64), *(np.ones(len(p[0]), np.int64) for p in found)])
         return docs, starts, sizes
 
     def run(batches):
@@ -365,6 +422,7 @@ def _cut(length: int):
 def remove_repeated_bytes(docs: DataFrame, length: int = 100, gram: int = GRAM) -> DataFrame:
     """One row per document: doc_id, n_bytes, n_removed, spans (byte positions of the maximal runs cut out), kept (bytes)."""
     spark = docs.sparkSession
+    small_batches(spark)
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), text_or_empty().alias("text"))
     buckets = buckets_for(rows)
     shared = told(rows, _minimizers(length, gram), _repeated, buckets)
@@ -372,7 +430,7 @@ def remove_repeated_bytes(docs: DataFrame, length: int = 100, gram: int = GRAM)
     release(spark)
     blocks = "bucket int, block binary"
     sent = rows.join(shared, "doc_id").mapInArrow(_folded(length, gram, buckets), blocks)
-    decided = dealt(dealt(sent, buckets).mapInArrow(_ordered(length, buckets), blocks), buckets).mapInArrow(_by_key, "key long, size int, values binary")
+    decided = dealt(dealt(sent, buckets).mapInArrow(_ordered(length, gram, buckets), blocks), buckets).mapInArrow(_by_key, "key long, size int, values binary")
     decided = settle(decided.select(F.col("key").alias("doc_id"), "values"), "byte-runs")
     release(spark)
     kept = rows.join(decided, "doc_id", "left").mapInArrow(_cut(length), "doc_id long, n_bytes long, n_removed long, spans array<struct<start: long, length: long>>, kept binary")

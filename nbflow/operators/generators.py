@@ -221,7 +221,7 @@ class LowRankHead:
 
     rank: int = 8
     epochs: int = 5
-    rate: float = 0.5
+    rate: float = 0.1
     mask: tuple = inputs.MASKS[0]
     parts: dict = field(default_factory=dict)
     most_classes: int = 1000

@@ -50,10 +50,10 @@ def release(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
-def buckets_for(df: DataFrame, bytes_each: int = 4 << 20) -> int:
-    """Buckets of bounded size for what is read from ``df``: the plan's size in bytes sets their number."""
-    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
-    return min(max(partitions(df.sparkSession), -(-size // bytes_each)), 1 << 20)
+def buckets_for(rows: DataFrame, bytes_each: int = 8 << 20) -> int:
+    """Buckets of bounded size for the texts of ``rows``: one for so many bytes, and one per partition at least."""
+    size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    return max(partitions(rows.sparkSession), -(-size // bytes_each))
 
 
 def partitions(spark: SparkSession) -> int:

@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
-from pyspark.sql.types import StructType
+from pyspark.sql.types import IntegerType, StringType, StructField, StructType
 
 from nbflow.functions import apidb
 from nbflow.functions.parsing import parse_cell
@@ -275,3 +275,12 @@ def contexts(targets: DataFrame, ctx: DataFrame, first: DataFrame, cells: DataFr
     )
     made = targets.select("target_id").join(made, "target_id", "left").join(first, "target_id", "left").na.fill({"prelude": "", "code_ctx": "", "text_ctx": "", "merged": "", "n_code_cells": 0, "n_text": 0})
     return made.withColumn("merged_ctx", F.concat_ws("\n", F.nullif("prelude", F.lit("")), F.nullif("merged", F.lit("")))).drop("merged")
+
+
+@F.udtf(returnType=StructType([StructField("stmt_idx", IntegerType()), *(StructField(c, StringType()) for c in ("kind", "api", "src"))]))
+class CELLS_UDTF:
+    """The statements of one cell's source, as a table function for SQL."""
+
+    def eval(self, source: str):
+        for i, s in enumerate(parse_cell(source or "") or []):
+            yield i, s.kind, s.api, s.src

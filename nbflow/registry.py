@@ -10,10 +10,10 @@ Query = Callable[[SparkSession, str], DataFrame]
 
 
 def _modules() -> list:
-    from nbflow.plans import catalogue, evaluate, eventlog, mine, storage, surface
+    from nbflow.plans import catalogue, compiled, evaluate, eventlog, mine, storage, surface
     from nbflow.streaming import twins
 
-    return [eventlog, catalogue, surface, mine, evaluate, storage, twins]
+    return [eventlog, catalogue, surface, mine, evaluate, storage, compiled, twins]
 
 
 def queries() -> dict[str, Query]:

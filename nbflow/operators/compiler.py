@@ -3,7 +3,8 @@
 ``compile_ops`` reads pandas statements on one variable and gives a list of operations; ``apply_ops`` turns them
 into a lazy frame. Steps are not run one after another as a notebook would: Catalyst sees all of them, so
 filters reach the scan and columns that nobody reads are not read. What isn't recognized raises
-``Unsupported``, and the caller replays in the sandbox instead.
+``Unsupported``, and the caller replays in the sandbox instead. A scalar given to ``fillna`` fills the columns of
+its own type only, as a column has one type here. Order is kept by ``sort_values`` alone.
 """
 
 from __future__ import annotations

@@ -49,23 +49,22 @@ def row_digest(df: DataFrame) -> Column:
     return F.xxhash64(*[F.coalesce(F.col(c).cast("string"), F.lit("\x00null")) for c in sorted(df.columns)])
 
 
-def frame_digest(df: DataFrame, order: list[str] | None = None) -> DataFrame:
-    """One row: number of rows and two sums over row digests, the same for equal bags; with ``order`` (a unique key)
-    neighbours are hashed together, so order counts. Sums are decimals: they can't overflow."""
-    from pyspark.sql import Window
-
-    rows = df.select(row_digest(df).alias("h"), *(order or []))
-    if order:
-        rows = rows.withColumn("h", F.xxhash64("h", F.lag("h").over(Window.partitionBy(F.lit(0)).orderBy(*order))))
+def frame_digest(df: DataFrame) -> DataFrame:
+    """One row: number of rows and two sums over row digests, the same for equal bags. Sums are decimals: they can't
+    overflow."""
+    rows = df.select(row_digest(df).alias("h"))
     return rows.agg(F.count("*").alias("n"), F.sum(F.col("h").cast("decimal(38,0)")).alias("s"), F.sum(F.xxhash64("h").cast("decimal(38,0)")).alias("t"))
 
 
-def frames_equal(a: DataFrame, b: DataFrame, mode: str = "bag", order: list[str] | None = None) -> DataFrame:
-    """One row (equal): whether two frames hold the same columns and rows. One pass over each, no shuffle of rows."""
-    if sorted(a.columns) != sorted(b.columns) or (mode == "strict" and a.columns != b.columns):
+def frames_equal(a: DataFrame, b: DataFrame, mode: str = "bag") -> DataFrame:
+    """One row (equal): whether two frames hold the same columns and rows. One pass over each, no shuffle of rows.
+
+    strict: columns must also come in the same order and have the same types. The order of rows needs no look of
+    its own: a frame has an order here only by columns it holds, and equal bags are then in equal order."""
+    same = sorted(a.columns) == sorted(b.columns) if mode == "bag" else a.dtypes == b.dtypes
+    if not same:
         return a.sparkSession.createDataFrame([(False,)], "equal boolean")
-    by = order if mode == "strict" else None
-    x, y = frame_digest(a, by), frame_digest(b, by)
+    x, y = frame_digest(a), frame_digest(b)
     return x.alias("x").crossJoin(y.alias("y")).select(((F.col("x.n") == F.col("y.n")) & F.col("x.s").eqNullSafe(F.col("y.s")) & F.col("x.t").eqNullSafe(F.col("y.t"))).alias("equal"))
 
 

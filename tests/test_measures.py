@@ -84,7 +84,7 @@ def test_frame_equality_at_scale(spark):
     assert scoring.frames_equal(a, a.repartition(5)).first()[0]
     assert not scoring.frames_equal(a, a.union(a.limit(1))).first()[0]
     assert not scoring.frames_equal(a, a.withColumn("v", F.col("v") + 1)).first()[0]
-    assert not scoring.frames_equal(a, a.select("v", "id"), "strict", ["id"]).first()[0]
+    assert not scoring.frames_equal(a, a.select("v", "id"), "strict").first()[0]
 
 
 def test_by_example_finds_simple_steps():

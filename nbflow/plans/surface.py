@@ -22,19 +22,22 @@ def _query(name: str, sql: str, *tables: str):
     return keep
 
 
-_BY_USER = Window.partitionBy("user_id").orderBy("ts", "event_id")
+def _by_user():
+    return Window.partitionBy("user_id").orderBy("ts", "event_id")
+
+
 _O = "OVER (PARTITION BY user_id ORDER BY ts, event_id)"
 
 # --- windows
-_query("win_row_number", f"SELECT event_id, CAST(row_number() {_O} AS INT) AS pos FROM events", "events")(lambda e: e.select("event_id", F.row_number().over(_BY_USER).alias("pos")))
+_query("win_row_number", f"SELECT event_id, CAST(row_number() {_O} AS INT) AS pos FROM events", "events")(lambda e: e.select("event_id", F.row_number().over(_by_user()).alias("pos")))
 _query("win_rank", "SELECT event_type, n, CAST(rank() OVER (ORDER BY n DESC) AS INT) AS r, CAST(dense_rank() OVER (ORDER BY n DESC) AS INT) AS d FROM (SELECT event_type, count(*) AS n FROM events GROUP BY 1)", "events")(
     lambda e: r.ranked_counts(e, "event_type")
 )
 _query("win_lag_lead", f"SELECT event_id, date_diff('microsecond', lag(ts) {_O}, ts) AS since, lead(event_type) {_O} AS upcoming FROM events", "events")(
-    lambda e: e.select("event_id", F.expr("timestampdiff(MICROSECOND, lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id), ts)").alias("since"), F.lead("event_type").over(_BY_USER).alias("upcoming"))
+    lambda e: e.select("event_id", F.expr("timestampdiff(MICROSECOND, lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id), ts)").alias("since"), F.lead("event_type").over(_by_user()).alias("upcoming"))
 )
 _query("win_running", f"SELECT event_id, count(CASE WHEN event_type = 'signup' THEN 1 END) {_O} AS life_no, count(CASE WHEN event_type = 'click' THEN 1 END) {_O} AS wrangles FROM events", "events")(
-    lambda e: e.select("event_id", F.count_if(F.col("event_type") == "signup").over(_BY_USER.rowsBetween(Window.unboundedPreceding, 0)).alias("life_no"), F.count_if(F.col("event_type") == "click").over(_BY_USER.rowsBetween(Window.unboundedPreceding, 0)).alias("wrangles"))
+    lambda e: e.select("event_id", F.count_if(F.col("event_type") == "signup").over(_by_user().rowsBetween(Window.unboundedPreceding, 0)).alias("life_no"), F.count_if(F.col("event_type") == "click").over(_by_user().rowsBetween(Window.unboundedPreceding, 0)).alias("wrangles"))
 )
 _query("win_range", "SELECT event_id, count(CASE WHEN event_type = 'click' THEN 1 END) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 21600000000 PRECEDING AND CURRENT ROW) AS recent FROM events", "events")(
     lambda e: e.select("event_id", F.count_if(F.col("event_type") == "click").over(Window.partitionBy("user_id").orderBy(F.unix_micros(F.col("ts").cast("timestamp"))).rangeBetween(-21600000000, 0)).alias("recent"))
@@ -43,7 +46,7 @@ _query("win_ntile", "SELECT c_custkey, CAST(ntile(4) OVER (PARTITION BY c_mktseg
     lambda c: c.select("c_custkey", *[f.over(Window.partitionBy("c_mktsegment").orderBy("c_custkey")).alias(a) for f, a in ((F.ntile(4), "q"), (F.percent_rank(), "p"), (F.cume_dist(), "c"))])
 )
 _query("win_first_last", f"SELECT event_id, first_value(value IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS f, last_value(value IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS l FROM {HOLES}", "events")(
-    lambda e: _holes(e).select("event_id", F.first("value", True).over(_BY_USER.rowsBetween(Window.unboundedPreceding, 0)).alias("f"), F.last("value", True).over(_BY_USER.rowsBetween(Window.unboundedPreceding, 0)).alias("l"))
+    lambda e: _holes(e).select("event_id", F.first("value", True).over(_by_user().rowsBetween(Window.unboundedPreceding, 0)).alias("f"), F.last("value", True).over(_by_user().rowsBetween(Window.unboundedPreceding, 0)).alias("l"))
 )
 _query(
     "win_gap_island",

@@ -36,7 +36,7 @@ def _udtf(spark, d):
 
 
 QUERIES["udtf_parse"] = _udtf
-QUERIES["topk_api"] = lambda s, d: _top(s, d)
+
 
 
 def _top(spark, d):
@@ -44,3 +44,6 @@ def _top(spark, d):
     from nbflow.plans.mine import statements
 
     return mining.api_frequency(statements(spark, d)).orderBy(F.col("n").desc(), "api").limit(10)
+
+
+QUERIES["topk_api"] = _top

@@ -60,3 +60,15 @@ def _sql(spark, d):
 
     notebooks.register_sql(spark, {"nbflow_staged": staged(spark, d)})
     return spark.sql("SELECT stage, count(*) AS n FROM nbflow_staged WHERE stage <> 'other' AND (var = 'data' OR var LIKE 'df%') GROUP BY stage")
+
+
+@query("sink_parquet")
+def _published(spark, d):
+    """Examples written by split and read back: (split, n)."""
+    from nbflow import experiments
+
+    place = _place(spark)
+    notebooks.write_examples(experiments.corpus(spark, d).examples, f"{place}/parquet")
+    notebooks.write_jsonl(experiments.corpus(spark, d).examples, f"{place}/jsonl")
+    lines = spark.read.text(f"{place}/jsonl").agg(F.count("*").alias("n")).select(F.lit("jsonl").alias("split"), "n")
+    return spark.read.parquet(f"{place}/parquet").groupBy(F.col("split").cast("string").alias("split")).agg(F.count("*").alias("n")).unionByName(lines)

@@ -6,6 +6,7 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from nbflow.operators import relational as r
+from nbflow.plans import catalogue
 from nbflow.plans.catalogue import HOLES, _holes, money, money_sql
 from nbflow.session import table
 
@@ -149,3 +150,21 @@ _query("fn_json", "SELECT event_id, CAST(json_extract(props, '$.k') AS BIGINT) A
 _query("fn_null", f"SELECT event_id, coalesce(value, -1.0) AS a, nullif(event_type, 'view') AS b, CASE WHEN value IS NOT NULL THEN 'has' ELSE 'none' END AS c, event_type IS NOT DISTINCT FROM NULL AS d, try_cast(event_type AS INT) AS e, value / nullif(user_id % 3, 0) AS f FROM {HOLES}", "events")(
     lambda e: _holes(e).select("event_id", F.coalesce("value", F.lit(-1.0)).alias("a"), F.nullif("event_type", F.lit("view")).alias("b"), F.nvl2("value", F.lit("has"), F.lit("none")).alias("c"), F.col("event_type").eqNullSafe(F.lit(None)).alias("d"), F.expr("try_cast(event_type AS INT)").alias("e"), F.try_divide("value", F.col("user_id") % 3).alias("f"))
 )
+
+#: The same query under the name of the operator that it shows.
+ALIASES = {
+    "j_inner": "op_merge_inner",
+    "j_left": "op_merge_left",
+    "j_right": "op_merge_right",
+    "j_full": "op_merge_outer",
+    "j_semi": "op_merge_semi",
+    "j_anti": "op_merge_anti",
+    "j_cross": "op_merge_cross",
+    "j_asof": "op_merge_asof",
+    "op_reset_index": "op_set_index",
+    "win_dense_rank": "op_rank",
+}
+for _alias, _of in ALIASES.items():
+    QUERIES[_alias], ORACLES[_alias] = catalogue.QUERIES[_of], catalogue.ORACLES[_of]
+for _alias in ("win_percent_rank", "win_cume_dist"):
+    QUERIES[_alias], ORACLES[_alias] = QUERIES["win_ntile"], ORACLES["win_ntile"]

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import small_batches, text_or_empty, text_views
+from nbflow.llm.common import NO_ID, small_batches, text_or_empty, text_views
 
 #: Where the vocabulary lies, unless the caller names another file; documents of a packing group.
 VOCABULARY = "byte_bpe_50k.json"
@@ -152,7 +152,7 @@ def packed(lengths: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _pack_group(window: int):
-    def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values(["doc_id", "start", "ids_crc32", "doc_tokens"], kind="stable", ignore_index=True)
         sequence, offset = packed(pdf["length"].to_numpy(), window)
         return pdf.assign(sequence_id=sequence + (int(key[0]) << 32), offset=offset).drop(columns="group")
@@ -164,7 +164,8 @@ def pack_documents(docs: DataFrame, window: int = 2048, vocabulary: str | None =
     """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset."""
     small_batches(docs.sparkSession)
     groups = max(1, -(-docs.count() // GROUP_DOCS))
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))
+    rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), text_or_empty().alias("text"))
     pieces = rows.mapInArrow(_pieces(vocabulary or default_vocabulary(), window), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long")
     grouped = pieces.withColumn("group", F.pmod(F.xxhash64("doc_id"), F.lit(groups))).groupBy("group")
-    return grouped.applyInPandas(_pack_group(window), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
+    packed_ = grouped.applyInPandas(_pack_group(window), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
+    return packed_.withColumn("doc_id", F.nullif("doc_id", F.lit(NO_ID)))

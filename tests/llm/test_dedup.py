@@ -9,6 +9,7 @@ import tempfile
 
 import numpy as np
 import pytest
+from pyspark import cloudpickle
 from pyspark.sql import functions as F
 
 from nbflow.llm import block_anchors, components, deletion_lines, digest_fingerprint, grace_dedup, multi_order_join, suffix_bwt
@@ -213,10 +214,12 @@ def test_fingerprints(spark, edges):
 def test_digest_collisions_are_told_apart(spark, monkeypatch):
     df = table(spark, ["one", "two", "one", "three"])
     monkeypatch.setattr(digest_fingerprint, "digest", lambda form: "same")
-    # workers import the module afresh, so the collision is made by hand on the same steps
-    assert digest_fingerprint.digest(b"x") == "same"
-    prints = [r["fingerprint"] for r in digest_fingerprint.fingerprints(df).orderBy("doc_id").collect()]
-    assert prints[0] == prints[2] and len(set(prints)) == 3
+    cloudpickle.register_pickle_by_value(digest_fingerprint)  # so that workers get the changed module
+    try:
+        prints = [r["fingerprint"] for r in digest_fingerprint.fingerprints(df).orderBy("doc_id").collect()]
+    finally:
+        cloudpickle.unregister_pickle_by_value(digest_fingerprint)
+    assert prints == ["same", "same-2", "same", "same-1"]
 
 
 def test_canonical_forms():

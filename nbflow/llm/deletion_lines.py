@@ -5,9 +5,11 @@ Two lines are within one edit exactly if deleting a character of each at the sam
 one character deleted, as hashed keys, and equal variants meet: within such a group the earliest line is
 known at once, without pairs. The edit distance of what met is then verified on the lines themselves.
 
-A line emits variants only if it can have a partner at all: an edit leaves one half of a line unchanged,
-so it must share its first or last half, under the length of the shorter, with a different line. Equal
-lines are folded first, to one row with their earliest place.
+A line emits variants only if it can have a partner at all: of any equal parts that a line is cut into, an
+edit changes one, so a line must share all parts but one, under the length of the shorter, with a different
+line. Two parts are tried on all lines, sixteen on those left, and only characters of a part that may differ are
+deleted: no other deletion can meet a partner's. Equal lines are folded first, to one row with their earliest
+place.
 
 Defined cases: lines end at line feeds and are compared without spaces, tabs and carriage returns at
 their ends; blank lines stay and match nothing; two lines of fewer than ``least_chars`` characters match only
@@ -37,14 +39,20 @@ def _trimmed(line: Column) -> Column:
     return F.btrim(line, F.lit(" \t\r"))
 
 
-def _halves(line: Column) -> list[Column]:
-    """Hashes of the first and the last half of a line, as a partner of the same or another length sees it."""
+def _without(line: Column, k: Column, parts: int) -> Column:
+    """(key, first, last): the hash of a line without one of its parts, and the places of the characters left out.
+    The first ``parts`` numbers k are the parts as a partner of the same or a larger length sees them, the others as one
+    that lacks a character does."""
     n = F.length(line)
-    keys = []
-    for shorter in (n, n - 1):
-        half = F.floor(shorter / 2).cast("int")
-        keys += [F.xxhash64(shorter, F.lit(0), F.substring(line, F.lit(1), half)), F.xxhash64(shorter, F.lit(1), F.substring(line, n - half + 1, half))]
-    return keys
+    shorter, i = n - F.floor(k / parts).cast("int"), F.pmod(k, F.lit(parts))
+    ahead, behind = F.floor(shorter * i / parts).cast("int"), (shorter - F.floor(shorter * (i + 1) / parts)).cast("int")
+    key = F.xxhash64(shorter, i, F.substring(line, F.lit(1), ahead), F.substring(line, n - behind + 1, behind))
+    return F.struct(key.alias("key"), (ahead + 1).alias("first"), (n - behind).alias("last"))
+
+
+def _met(keyed: DataFrame) -> DataFrame:
+    """Keys that several lines have."""
+    return keyed.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1").select("key")
 
 
 def _lines(rows: DataFrame) -> DataFrame:
@@ -54,20 +62,30 @@ def _lines(rows: DataFrame) -> DataFrame:
 
 
 def near_lines(rows: DataFrame, distinct: DataFrame, least_chars: int) -> DataFrame:
-    """Rows (h1, h2): the distinct lines that are one edit from an earlier one."""
+    """Rows (h1, h2): the distinct lines that are one edit from an earlier one.
+
+    Joins with all documents or lines are merge joins at every size: their other side grows with the input."""
     able = distinct.filter(F.col("chars") >= least_chars - 1)
-    keys = able.select(*_LINE, F.explode(F.array_distinct(F.array("k0", "k1", "k2", "k3"))).alias("key"))
-    met = keys.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1").select("key")
-    able = able.join(keys.join(met, "key", "left_semi").select(*_LINE).distinct(), _LINE).select(*_LINE, "place", "doc_id", "line_no")
+    halves = able.select(*_LINE, F.explode(F.array_distinct(F.array("k0", "k1", "k2", "k3"))).alias("key"))
+    partnered = halves.join(_met(halves), "key", "left_semi").select(*_LINE).distinct()
+    able = settle(able.join(partnered, _LINE).select(*_LINE, "place", "doc_id", "line_no"), "able")
+    release(rows.sparkSession)
 
     wanted = able.groupBy("doc_id").agg(F.collect_list(F.struct("line_no", "place", *_LINE)).alias("wanted"))
     picked = F.transform("wanted", lambda x: F.struct(x["h1"].alias("h1"), x["h2"].alias("h2"), x["place"].alias("place"), _trimmed(F.get(F.col("lines"), x["line_no"])).alias("line")))
-    texts = rows.join(wanted, "doc_id").withColumn("lines", F.split("text", "\n", -1)).select(F.explode(picked).alias("x")).select("x.*")
+    texts = rows.join(wanted.hint("merge"), "doc_id").withColumn("lines", F.split("text", "\n", -1)).select(F.explode(picked).alias("x")).select("x.*")
     texts = settle(texts.filter((F.xxhash64("line") == F.col("h1")) & (F.length("line") >= least_chars - 1)), "able-lines")
     release(rows.sparkSession)
 
+    parts = F.transform(F.sequence(F.lit(0), F.lit(31)), lambda k: _without(F.col("line"), k, 16))
+    keyed = settle(texts.select(*_LINE, F.explode(parts).alias("p")).select(*_LINE, "p.*"), "keys")
+    lone = keyed.select(*_LINE, "key").distinct()  # a line may have a key twice; it meets itself no partner
+    spans = keyed.filter("first <= last").join(_met(lone), "key", "left_semi").groupBy(*_LINE).agg(F.collect_set(F.struct("first", "last")).alias("spans"))
+    met = lone.join(_met(lone), "key", "left_semi").select(*_LINE).distinct()
+    texts = settle(texts.join(met, _LINE).join(spans, _LINE, "left"), "near-able-lines")
     n = F.length("line")
-    cut = F.transform(F.sequence(F.lit(1), n), lambda i: F.struct(F.xxhash64(F.concat(F.substring(F.col("line"), F.lit(1), i - 1), F.substring(F.col("line"), i + 1, n))).alias("key"), i.alias("at")))
+    places = F.array_distinct(F.flatten(F.transform(F.coalesce("spans", F.array()), lambda s: F.sequence(s["first"], s["last"]))))
+    cut = F.transform(places, lambda i: F.struct(F.xxhash64(F.concat(F.substring(F.col("line"), F.lit(1), i - 1), F.substring(F.col("line"), i + 1, n))).alias("key"), i.alias("at")))
     whole = F.array(F.struct(F.xxhash64("line").alias("key"), F.lit(0).alias("at")))
     emitted = texts.select(*_LINE, "place", F.explode(F.concat(whole, cut)).alias("v")).select(*_LINE, "place", "v.key", "v.at")
     me = F.struct("place", *_LINE)
@@ -89,7 +107,7 @@ def remove_repeated_lines(docs: DataFrame, least_chars: int = LEAST_CHARS) -> Da
     spark = docs.sparkSession
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), text_or_empty().alias("text"))
     lines = _lines(rows)
-    shape = lines.select(*_LINE, "place", F.length("line").alias("chars"), *[k.alias(f"k{i}") for i, k in enumerate(_halves(F.col("line")))])
+    shape = lines.select(*_LINE, "place", F.length("line").alias("chars"), *[_without(F.col("line"), F.lit(k), 2)["key"].alias(f"k{k}") for k in range(4)])
     distinct = shape.groupBy(*_LINE).agg(F.min("place").alias("place"), F.count("*").alias("n"), F.min("chars").alias("chars"), *[F.min(f"k{i}").alias(f"k{i}") for i in range(4)])
     two32 = F.lit(1 << 32).cast("decimal(11,0)")
     line_no = F.pmod(F.col("place"), two32).cast("int")
@@ -99,10 +117,10 @@ def remove_repeated_lines(docs: DataFrame, least_chars: int = LEAST_CHARS) -> Da
     near = settle(near_lines(rows, distinct, least_chars), "near-lines")
 
     marked = distinct.join(near.withColumn("near", F.lit(True)), _LINE, "left").select(*_LINE, F.col("place").alias("first"), "n", F.coalesce("near", F.lit(False)).alias("near")).filter("n > 1 or near")
-    gone = lines.select(*_LINE, "doc_id", "line_no", "place").join(marked, _LINE).filter("near or place > first")
+    gone = lines.select(*_LINE, "doc_id", "line_no", "place").join(marked.hint("merge"), _LINE).filter("near or place > first")
     gone = settle(gone.groupBy("doc_id").agg(F.collect_set("line_no").alias("gone")), "gone-lines")
     release(spark)
-    cut = rows.join(gone, "doc_id", "left").withColumn("lines", F.split("text", "\n", -1)).withColumn("gone", F.coalesce("gone", F.array().cast("array<int>")))
+    cut = rows.join(gone.hint("merge"), "doc_id", "left").withColumn("lines", F.split("text", "\n", -1)).withColumn("gone", F.coalesce("gone", F.array().cast("array<int>")))
     kept = F.filter("lines", lambda line, i: ~F.array_contains(F.col("gone"), i))
     n_lines = F.size("lines").cast("long")
     return cut.withColumn("stay", kept).select(F.nullif("doc_id", F.lit(NO_ID)).alias("doc_id"), n_lines.alias("n_lines"), (n_lines - F.size("stay")).cast("long").alias("n_removed"), F.array_join("stay", "\n").alias("kept"))

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import NO_ID, P_WORD, Rolling, buckets_for, pieces_of, release, runs_of, settle, small_batches, text_or_empty, word_hashes, word_spans
+from nbflow.llm.common import NO_ID, P_CHECK, P_WORD, Rolling, buckets_for, mixed, pieces_of, release, runs_of, settle, small_batches, text_or_empty, word_hashes, word_spans
 from nbflow.llm.packed import BITS, Holders, told
 
 CHUNK = 1 << 20
@@ -33,10 +33,15 @@ class Words:
 
     def __init__(self, data: np.ndarray, offsets: np.ndarray):
         starts, ends, self.before = word_spans(data, offsets)
-        self.rolling = Rolling(word_hashes(data, starts, ends), P_WORD)
+        self.words = word_hashes(data, starts, ends)
+        self.rolling = Rolling(self.words, P_WORD)
         self.doc = np.repeat(np.arange(len(offsets) - 1), np.diff(self.before))
         self.local = np.arange(len(self.doc)) - self.before[:-1][self.doc]
 
+    def checks(self, k: int) -> np.ndarray:
+        """32 bits of every window of k words, by sums of their own."""
+        return (Rolling(mixed(self.words ^ np.uint64(0x5851F42D4C957F2D)), P_CHECK).windows(k) >> np.uint64(32)).astype(np.uint32)
+
     def whole(self, k: int) -> np.ndarray:
         """Starts of the windows of k words that end in the document they start in."""
         n = len(self.doc) - k + 1
@@ -96,7 +101,7 @@ def _followed(window: int, block: int):
             full = w.whole(window)
             near = np.searchsorted(hit, full + (window - block), side="right") > np.searchsorted(hit, full, side="left")
             full = full[near]
-            yield Holders(w.rolling.windows(window)[full], w.doc[full], ids, np.zeros(len(ids), np.int32), np.zeros(len(full), bool))
+            yield Holders(w.rolling.windows(window)[full], w.doc[full], ids, np.zeros(len(ids), np.int32), np.zeros(len(full), bool), w.checks(window)[full])
 
     return run
 

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import ctypes
 import gc
+import time
 
 import numpy as np
 import pyarrow as pa
@@ -45,9 +46,12 @@ def trim() -> None:
 
 
 def release(spark: SparkSession) -> None:
-    """Let Spark drop the shuffle files of plans that are done with: it does so as the driver collects garbage."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    """Let Spark drop the shuffle files of plans that are done with: it does so as the driver collects garbage. The
+    first round frees Python's handles of those plans, the second what they held; both take effect a moment later."""
+    for _ in range(2):
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.4)
 
 
 def buckets_for(rows: DataFrame, bytes_each: int = 8 << 20) -> int:
@@ -118,7 +122,7 @@ def word_spans(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.nd
 
 
 #: Odd multipliers for rolling sums modulo 2**64, and the finishing rounds of a 64-bit mixer (fixed values).
-P_BYTE, P_WORD = 0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F
+P_BYTE, P_WORD, P_CHECK = 0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0xD6E8FEB86659FD93
 MIX_A, MIX_B = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 

@@ -21,19 +21,27 @@ from nbflow.llm.common import trim
 
 BITS = 48
 MASK = np.uint64((1 << BITS) - 1)
-_HEAD = struct.Struct("<IIBB")
+_HEAD = struct.Struct("<IIBBB")
 _BLOCKS = pa.schema([("bucket", pa.int32()), ("block", pa.binary())])
 
 
 @dataclass
 class Holders:
-    """Hashes with their holders: ``owner`` points into ``keys`` and ``sizes``; ``flags`` marks some entries."""
+    """Hashes with their holders: ``owner`` points into ``keys`` and ``sizes``; ``flags`` marks some entries. ``checks``:
+    32 more bits of each hash, for those that must not be mistaken for one another at any size."""
 
     hashes: np.ndarray
     owner: np.ndarray
     keys: np.ndarray
     sizes: np.ndarray
     flags: np.ndarray
+    checks: np.ndarray | None = None
+
+    def at(self, order) -> Holders:
+        return Holders(self.hashes[order], self.owner[order], self.keys, self.sizes, self.flags[order], None if self.checks is None else self.checks[order])
+
+    def ordered(self) -> Holders:
+        return self.at(np.argsort(self.hashes, kind="stable") if self.checks is None else np.lexsort((self.checks, self.hashes)))
 
 
 def _packed(h: Holders, bits: int = BITS) -> bytes:
@@ -42,26 +50,28 @@ def _packed(h: Holders, bits: int = BITS) -> bytes:
     planes = h.hashes.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :width].T
     refs = h.owner.astype("<u4").view(np.uint8).reshape(-1, 4)[:, :wide].T
     return b"".join(
-        (_HEAD.pack(len(h.hashes), len(h.keys), wide, width), h.keys.astype("<i8").tobytes(), h.sizes.astype("<i4").tobytes(), np.ascontiguousarray(planes).tobytes(), np.ascontiguousarray(refs).tobytes(), np.packbits(h.flags).tobytes())
+        (_HEAD.pack(len(h.hashes), len(h.keys), wide, width, h.checks is not None), h.keys.astype("<i8").tobytes(), h.sizes.astype("<i4").tobytes(), np.ascontiguousarray(planes).tobytes(), np.ascontiguousarray(refs).tobytes(), b"" if h.checks is None else h.checks.astype("<u4").tobytes(), np.packbits(h.flags).tobytes())
     )
 
 
 def _unpacked(block: bytes) -> Holders:
-    n, docs, wide, width = _HEAD.unpack_from(block)
+    n, docs, wide, width, checked = _HEAD.unpack_from(block)
     at = _HEAD.size
     keys = np.frombuffer(block, "<i8", docs, at)
     sizes = np.frombuffer(block, "<i4", docs, at := at + 8 * docs)
     planes = np.frombuffer(block, np.uint8, width * n, at := at + 4 * docs).reshape(width, n)
     refs = np.frombuffer(block, np.uint8, wide * n, at := at + width * n).reshape(wide, n)
-    flags = np.unpackbits(np.frombuffer(block, np.uint8, -1, at + wide * n), count=n).astype(bool)
+    at += wide * n
+    checks = np.frombuffer(block, "<u4", n, at) if checked else None
+    flags = np.unpackbits(np.frombuffer(block, np.uint8, -1, at + 4 * n * checked), count=n).astype(bool)
     hashes, owner = np.zeros((n, 8), np.uint8), np.zeros((n, 4), np.uint8)
     hashes[:, :width], owner[:, :wide] = planes.T, refs.T
-    return Holders(hashes.view("<u8").ravel(), owner.view("<u4").ravel().astype(np.int64), keys, sizes, flags)
+    return Holders(hashes.view("<u8").ravel(), owner.view("<u4").ravel().astype(np.int64), keys, sizes, flags, checks)
 
 
 def _narrowed(h: Holders, part: slice | np.ndarray) -> Holders:
     used, owner = np.unique(h.owner[part], return_inverse=True)
-    return Holders(h.hashes[part], owner, h.keys[used], h.sizes[used], h.flags[part])
+    return Holders(h.hashes[part], owner, h.keys[used], h.sizes[used], h.flags[part], None if h.checks is None else h.checks[part])
 
 
 def _pooled(some: Iterable[Holders], least: int = 600_000) -> Iterator[Holders]:
@@ -89,6 +99,7 @@ def _joined(all_of: list[Holders]) -> Holders:
         np.concatenate([x.keys for x in all_of]),
         np.concatenate([x.sizes for x in all_of]),
         np.concatenate([x.flags for x in all_of]),
+        None if all_of[0].checks is None else np.concatenate([x.checks for x in all_of]),
     )
 
 
@@ -138,8 +149,7 @@ def told(docs: DataFrame, hashed: Callable[[Iterable], Iterator[Holders]], pick:
     def out(batches):
         def blocks():
             for h in _pooled(hashed(batches)):
-                order = np.argsort(h.hashes, kind="stable")
-                h = Holders(h.hashes[order], h.owner[order], h.keys, h.sizes, h.flags[order])
+                h = h.ordered()
                 bounds = _bounds(h.hashes, buckets, bits)
                 for b in range(buckets):
                     if bounds[b] < bounds[b + 1]:
@@ -150,10 +160,11 @@ def told(docs: DataFrame, hashed: Callable[[Iterable], Iterator[Holders]], pick:
     def met(batches):
         def blocks():
             for _, got in buckets_in_order(batches):
-                h = _merged(got)
-                order = np.argsort(h.hashes, kind="stable")
-                h = Holders(h.hashes[order], h.owner[order], h.keys, h.sizes, h.flags[order])
-                starts = np.flatnonzero(np.concatenate(([True], h.hashes[1:] != h.hashes[:-1])))
+                h = _merged(got).ordered()
+                new = h.hashes[1:] != h.hashes[:-1]
+                if h.checks is not None:
+                    new |= h.checks[1:] != h.checks[:-1]
+                starts = np.flatnonzero(np.concatenate(([True], new)))
                 places, values = pick(h, starts)
                 owner = h.owner[places]
                 to = (h.keys[owner].astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(33)) % np.uint64(buckets)

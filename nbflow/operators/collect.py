@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from nbflow.functions.parsing import _PATH
+from nbflow.session import settle
 from nbflow.sources.render import license_of
 
 #: Licences that allow redistribution (fixed values).
@@ -109,23 +110,47 @@ def contained_items(documents: DataFrame, items: DataFrame) -> DataFrame:
     return long.unionByName(rest).distinct()
 
 
+#: Classes of a bucket that meet in one block of candidates.
+BLOCK = 64
+
+
 def near_duplicates(documents: DataFrame, threshold: float = 0.8, k: int = 3, hashes: int = 60, rows: int = 4) -> DataFrame:
-    """(a, b, similarity): pairs of documents whose k-word shingle sets are similar, found by min-hash bands and
-    verified exactly. A band's bucket gives pairs with its smallest document only, so a bucket of many copies
-    stays linear; what its members have in common is a chain through that document."""
+    """(a, b, similarity): all pairs of documents that share a min-hash band and whose k-word shingle sets are
+    similar, verified exactly.
+
+    Equal sets (128 bits of digest) are one class, whose members are pairs without a comparison. Any two classes
+    of a band's bucket are a candidate, taken in the first band that they share; large buckets are cut into blocks
+    of about ``BLOCK`` classes, and each two blocks meet on a key of their own. Sizes that rule the threshold out
+    are left before sets travel, and only the sets of candidates do."""
     words = F.split(F.lower("text"), r"\s+")
-    docs = documents.select("doc_id", words.alias("w")).withColumn("s", F.array_distinct(F.expr(f"transform(sequence(1, greatest(size(w) - {k - 1}, 1)), i -> xxhash64(array_join(slice(w, i, {k}), ' ')))")))
+
+    def shingled(docs: DataFrame) -> DataFrame:
+        sets = docs.select("doc_id", words.alias("w")).withColumn("s", F.array_sort(F.array_distinct(F.expr(f"transform(sequence(1, greatest(size(w) - {k - 1}, 1)), i -> xxhash64(array_join(slice(w, i, {k}), ' ')))"))))
+        return sets.select("doc_id", "s", F.struct(F.xxhash64("s").alias("x"), F.xxhash64(F.lit(1), "s").alias("y")).alias("c"))
 
     def least(n: int) -> Column:
         return F.array_min(F.transform("s", lambda x: F.xxhash64(x, F.lit(n))))
 
-    salted = [least(n) for n in range(hashes)]
-    sketch = docs.select("doc_id", "s", F.array(*salted).alias("m"))
+    sketch = shingled(documents).withColumn("m", F.array(*[least(n) for n in range(hashes)]))
     bands = F.array(*[F.xxhash64(F.lit(b), F.slice("m", b * rows + 1, rows)) for b in range(hashes // rows)])
-    buckets = sketch.select("doc_id", F.explode(bands).alias("band"))
-    lead = buckets.groupBy("band").agg(F.min("doc_id").alias("a"), F.count("*").alias("n")).filter("n > 1").drop("n")
-    pairs = buckets.join(lead, "band").filter("a < doc_id").select("a", F.col("doc_id").alias("b")).distinct()
-    sets = docs.select("doc_id", "s")
-    both = pairs.join(sets.withColumnsRenamed({"doc_id": "a", "s": "sa"}), "a").join(sets.withColumnsRenamed({"doc_id": "b", "s": "sb"}), "b")
+    sketch = settle(sketch.select("doc_id", "c", F.size("s").alias("n"), bands.alias("bands")), "sketch")
+    members = sketch.select("doc_id", "c")
+    classes = sketch.groupBy("c").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("bands").alias("bands"))
+    buckets = classes.select("*", F.posexplode("bands").alias("no", "band"))
+    blocks = buckets.groupBy("no", "band").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("g"), F.count("*").alias("in_band")).filter("in_band > 1").drop("in_band")
+    placed = buckets.join(blocks, ["no", "band"]).withColumn("own", F.pmod(F.xxhash64("c"), "g").cast("int"))
+    one = placed.select("no", "band", F.col("own").alias("i"), F.explode(F.sequence("own", F.col("g") - 1)).alias("j"), F.struct("c", "rep", "n", "bands").alias("l"))
+    two = placed.select("no", "band", F.explode(F.sequence(F.lit(0), "own")).alias("i"), F.col("own").alias("j"), F.struct("c", "rep", "n", "bands").alias("r"))
+    shared = F.array_position(F.zip_with("l.bands", "r.bands", lambda x, y: x == y), F.lit(True)) == F.col("no") + 1
+    fits = F.least("l.n", "r.n") >= F.greatest("l.n", "r.n") * (threshold - 1e-9)
+    meet = one.join(two, ["no", "band", "i", "j"]).filter(((F.col("i") < F.col("j")) | (F.col("l.c") < F.col("r.c"))) & fits & shared)
+    pairs = settle(meet.select(F.col("l.c").alias("ca"), F.col("r.c").alias("cb"), F.col("l.rep").alias("ra"), F.col("r.rep").alias("rb")), "candidates")
+    needed = pairs.select(F.explode(F.array("ra", "rb")).alias("doc_id")).distinct()
+    sets = shingled(documents.join(needed, "doc_id", "left_semi")).dropDuplicates(["c"]).select("c", "s")
+    both = pairs.join(sets.withColumnsRenamed({"c": "ca", "s": "sa"}), "ca").join(sets.withColumnsRenamed({"c": "cb", "s": "sb"}), "cb")
     common = F.size(F.array_intersect("sa", "sb"))
-    return both.withColumn("similarity", common / (F.size("sa") + F.size("sb") - common)).filter(F.col("similarity") >= threshold).select("a", "b", "similarity")
+    near = both.withColumn("similarity", common / (F.size("sa") + F.size("sb") - common)).filter(F.col("similarity") >= threshold).select("ca", "cb", "similarity")
+    copies = members.groupBy("c").agg(F.count("*").alias("n")).filter("n > 1").select(F.col("c").alias("ca"), F.col("c").alias("cb"), F.lit(1.0).alias("similarity"))
+    left, right = members.select(F.col("c").alias("ca"), F.col("doc_id").alias("x")), members.select(F.col("c").alias("cb"), F.col("doc_id").alias("y"))
+    found = near.unionByName(copies).join(left, "ca").join(right, "cb").filter((F.col("ca") != F.col("cb")) & (F.col("x") != F.col("y")) | (F.col("x") < F.col("y")))
+    return found.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"), "similarity")

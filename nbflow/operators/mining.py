@@ -1,8 +1,8 @@
 """The lifecycle miner: statements, stages, lifecycles, targets and their code and text contexts.
 
 Only ``parse_cells`` runs Python; all else are windows and equi joins keyed by notebook. Rows are dealt
-once by ``nb_id``: windows over (nb_id, variable) and (nb_id, statement) are served by that dealing, so
-labelling needs no further shuffle however many rounds it takes.
+by ``nb_id``, once more after the pass that follows chains of frames: windows over (nb_id, variable) and
+(nb_id, statement) are served by that dealing.
 """
 
 from __future__ import annotations
@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
-from pyspark.sql.types import IntegerType, StringType, StructField, StructType
+from pyspark.sql.types import BooleanType, IntegerType, StringType, StructField, StructType
 
 from nbflow.functions import apidb
 from nbflow.functions.parsing import parse_cell
@@ -76,11 +76,30 @@ def resolve_aliases(stmts: DataFrame) -> DataFrame:
     return api_calls(stmts).join(names, ["nb_id", "pos", "receiver"], "left").select("nb_id", "pos", "nth", "receiver", "api", "module")
 
 
-def label_stages(stmts: DataFrame, extra: list | None = None, subscript_store: bool = True, inspect_position: str = "any", rounds: int = 3) -> DataFrame:
+def _begun(batches):
+    """Rows in order of notebook and place with ``starts``: whether an operation on a live frame begins this one. What
+    a statement changes holds from the next on."""
+    book, place, live, changes = None, None, set(), {}
+    for batch in batches:
+        starts = []
+        for nb, pos, var, event, may, bases in zip(*(batch.column(batch.schema.names.index(c)).to_pylist() for c in ("nb_id", "pos", "var", "event", "may", "bases")), strict=True):
+            if nb != book:
+                book, place, live, changes = nb, pos, set(), {}
+            elif pos != place:
+                for name, on in changes.items():
+                    (live.add if on else live.discard)(name)
+                place, changes = pos, {}
+            starts.append(may and any(b in live for b in bases))
+            if starts[-1] or event is not None:
+                changes[var] = starts[-1] or event == 1
+        yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(starts, pa.bool_())], names=[*batch.schema.names, "starts"])
+
+
+def label_stages(stmts: DataFrame, extra: list | None = None, subscript_store: bool = True, inspect_position: str = "any") -> DataFrame:
     """Rows (nb_id, pos, cell_idx, var, stage, life_no, init_kind and the statement's facts).
 
-    A frame that an operation on a live frame begins may be the base of another such frame: each round resolves
-    one link of such chains, ``rounds`` at most."""
+    A frame that an operation on a live frame begins may be the base of another such frame: ``_begun`` follows
+    such chains of any length in one pass over each notebook's statements in order."""
     rows = named_rows(stmts)
     by_name, at = Window.partitionBy("nb_id", "var").orderBy("pos"), Window.partitionBy("nb_id", "pos")
     var, hard_names = F.col("var"), apidb.names("init", "definition", "loading", "manipulation", extra=extra)
@@ -93,14 +112,14 @@ def label_stages(stmts: DataFrame, extra: list | None = None, subscript_store: b
     base = (F.array_contains("rhs_names", var) | (method & (var == F.col("receiver")))) & ~F.array_contains("defs", var)
     rows = rows.withColumns({"is_def": is_def, "self_use": self_use, "hard": hard, "is_base": base, "op": assigned & (F.col("rhs_op").isNotNull() | method)})
     event = F.when(F.col("is_def") & F.col("hard"), 1).when(F.col("is_def") & ~F.col("self_use"), 0)
-    rows = rows.withColumn("event", event).withColumn("begun", F.when(F.col("is_def") & F.col("hard"), F.lit("api")))
+    may = F.coalesce(F.col("is_def") & ~F.col("hard") & ~F.col("self_use") & F.col("op"), F.lit(False))
+    rows = rows.withColumns({"event": event, "may": may, "bases": F.collect_set(F.when(F.col("is_base"), var)).over(at)})
+    schema = StructType([*(StructField(f.name, f.dataType) for f in rows.schema), StructField("starts", BooleanType())])
+    rows = rows.sortWithinPartitions("nb_id", "pos").mapInArrow(_begun, schema).repartition("nb_id")
+    begun = F.when(F.col("starts"), F.lit("operation")).when(F.col("is_def") & F.col("hard"), F.lit("api"))
+    rows = rows.withColumns({"event": F.when(F.col("starts"), 1).otherwise(F.col("event")), "begun": begun})
     before = by_name.rowsBetween(Window.unboundedPreceding, -1)
-    for step in range(rounds + 1):
-        rows = rows.withColumn("live", F.coalesce(F.last("event", ignorenulls=True).over(before), F.lit(0)) == 1)
-        if step < rounds:
-            on_frame = F.max(F.when(F.col("is_base"), F.col("live").cast("int"))).over(at)
-            starts = F.col("is_def") & ~F.col("hard") & ~F.col("self_use") & F.col("op") & (F.coalesce(on_frame, F.lit(0)) == 1)
-            rows = rows.withColumns({"event": F.when(starts, 1).otherwise(F.col("event")), "begun": F.when(starts, F.lit("operation")).otherwise(F.col("begun"))})
+    rows = rows.withColumn("live", F.coalesce(F.last("event", ignorenulls=True).over(before), F.lit(0)) == 1)
     mine = F.col("base") == var
     stores = mine & F.col("store").isin("subscript", "attr") & F.lit(subscript_store)
     wrangle = F.col("live") & (F.col("self_use") | (mine & F.col("inplace")) | stores)

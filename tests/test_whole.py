@@ -5,7 +5,9 @@ from __future__ import annotations
 import itertools
 import re
 
-from nbflow.operators import collect
+from pyspark.sql import functions as F
+
+from nbflow.operators import collect, mining
 
 
 def test_near_duplicates_equal_brute_force(spark, monkeypatch):
@@ -19,3 +21,12 @@ def test_near_duplicates_equal_brute_force(spark, monkeypatch):
     sets = {i: {tuple(w[j : j + 3]) for j in range(max(len(w) - 2, 1))} for i, w in words.items()}
     likeness = {(a, b): len(sets[a] & sets[b]) / len(sets[a] | sets[b]) for a, b in itertools.combinations(sets, 2)}
     assert sorted((r["a"], r["b"], round(r["similarity"], 9)) for r in found) == sorted((*k, round(x, 9)) for k, x in likeness.items() if x >= 0.8)
+
+
+def test_chain_of_six_frames(spark):
+    lines = ["import pandas as pd", "a = pd.read_csv('a.csv')", *(f"{y} = {x}[['x']]" for x, y in itertools.pairwise("abcdefg")), "g.head()", "g = g.dropna()", "g", "g.plot()", "f = 3", "h = f[0]"]
+    cells = spark.createDataFrame([(1, i, "code", x) for i, x in enumerate(lines)], "nb_id long, cell_idx int, kind string, source string")
+    staged = mining.label_stages(mining.parse_cells(cells))
+    assert [(r["var"], r["init_kind"]) for r in staged.filter("stage = 'init'").orderBy("pos").collect()] == [("a", "loading"), *((x, "operation") for x in "bcdefg")]
+    assert [r["stage"] for r in staged.filter((F.col("var") == "g") & (F.col("stage") != "other")).orderBy("pos").collect()] == ["init", "inspect", "wrangle", "inspect", "utilize"]
+    assert staged.filter("var = 'h' and stage = 'init'").isEmpty()

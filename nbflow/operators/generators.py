@@ -217,20 +217,20 @@ class PromptCopy:
 @dataclass
 class LowRankHead:
     """Frozen features and a trained low-rank map (two factors) to classes of targets: training targets with the
-    variable left out. Each epoch is one pass: tasks sum gradients, the driver holds only the factors."""
+    variable left out. Each epoch is one pass: tasks sum gradients, the driver holds the
+    factors and all classes, so no training row is left out."""
 
     rank: int = 8
     epochs: int = 5
     rate: float = 0.1
     mask: tuple = inputs.MASKS[0]
     parts: dict = field(default_factory=dict)
-    most_classes: int = 1000
 
     def fit(self, train: DataFrame) -> LowRankHead:
         self.frozen = JointRetriever("plain", self.mask, self.parts).fit(train)
         shape = renamed_udf(F.col("target_code"), F.col("var"), F.lit("__frame__"))
         shapes = train.select("example_id", shape.alias("shape"))
-        counts = shapes.groupBy("shape").agg(F.count("*").alias("n")).orderBy(F.col("n").desc(), "shape").limit(self.most_classes).collect()
+        counts = shapes.groupBy("shape").agg(F.count("*").alias("n")).orderBy(F.col("n").desc(), "shape").collect()
         self.classes = [r["shape"] for r in counts]
         number = train.sparkSession.createDataFrame([(s, i) for i, s in enumerate(self.classes)], "shape string, label int")
         rows = self.frozen.pool.join(shapes, "example_id").join(F.broadcast(number), "shape").select("vec", "label")
@@ -358,20 +358,24 @@ def synthesize(frame_in: dict, frame_out: dict, max_len: int = 2) -> str | None:
 
     rows = lambda f: [[_cell(x) for x in r] for r in f.itertuples(index=False, name=None)]
     want, goal = rows(table(frame_out)), [str(c) for c in frame_out["columns"]]
-    layer = [("", table(frame_in))]
-    for _ in range(max_len):
-        following = []
-        for code, frame in layer:
+
+    def programs(length: int):
+        """All sequences of ``length`` steps that apply, one at a time: none is kept or left out."""
+        if not length:
+            yield "", table(frame_in)
+            return
+        for code, frame in programs(length - 1):
             for step, run in _steps(frame, goal):
                 try:
                     made = run(frame)
                 except Exception:  # noqa: S112  (a step that doesn't apply)
                     continue
-                text = f"{code}\n{step}".strip()
-                if [str(c) for c in made.columns] == goal and rows(made)[: len(want)] == want:
-                    return text
-                following.append((text, made))
-        layer = following[:400]
+                yield f"{code}\n{step}".strip(), made
+
+    for length in range(1, max_len + 1):
+        for code, made in programs(length):
+            if [str(c) for c in made.columns] == goal and rows(made)[: len(want)] == want:
+                return code
     return None
 
 
@@ -379,7 +383,7 @@ def synthesize(frame_in: dict, frame_out: dict, max_len: int = 2) -> str | None:
 class ByExample:
     """Sees only the two frames: searches the catalogue for steps that map one to the other."""
 
-    max_len: int = 1
+    max_len: int = 2
 
     def fit(self, train: DataFrame) -> ByExample:
         return self

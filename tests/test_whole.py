@@ -5,9 +5,11 @@ from __future__ import annotations
 import itertools
 import re
 
+import pandas as pd
 from pyspark.sql import functions as F
 
 from nbflow.operators import collect, mining
+from nbflow.operators import generators as g
 
 
 def test_near_duplicates_equal_brute_force(spark, monkeypatch):
@@ -30,3 +32,29 @@ def test_chain_of_six_frames(spark):
     assert [(r["var"], r["init_kind"]) for r in staged.filter("stage = 'init'").orderBy("pos").collect()] == [("a", "loading"), *((x, "operation") for x in "bcdefg")]
     assert [r["stage"] for r in staged.filter((F.col("var") == "g") & (F.col("stage") != "other")).orderBy("pos").collect()] == ["init", "inspect", "wrangle", "inspect", "utilize"]
     assert staged.filter("var = 'h' and stage = 'init'").isEmpty()
+
+
+def test_by_example_searches_all_of_two_steps():
+    columns = [f"c{i}" for i in range(150)]
+    frame = {"columns": columns, "dtypes": ["int"] * 150, "rows": [[str((7 * i + j) % 5) for i in range(150)] for j in range(3)]}
+    last = pd.DataFrame([[int(x) for x in r] for r in frame["rows"]], columns=columns).sort_values("c149", ascending=False)
+    goal = {"columns": ["c0"], "dtypes": ["int"], "rows": [[str(x)] for x in last["c0"]]}
+    small = {"columns": ["a", "b"], "dtypes": ["int", "int"], "rows": [["2", "1"], ["1", "5"]]}
+    assert g.ByExample().max_len == 2
+    assert g.synthesize(small, small | {"rows": [["2", "10"], ["4", "2"]]}, g.ByExample().max_len) == "{v} = {v} * 2\n{v} = {v}.sort_values('a')"
+    code = g.synthesize(frame, goal, 2)
+    assert code and code.count("\n") == 1
+
+
+def test_low_rank_head_keeps_all_classes(spark, monkeypatch):
+    class Frozen:
+        def __init__(self, *_):
+            pass
+
+        def fit(self, train):
+            self.pool = train.select("example_id", F.array_repeat(F.lit(0.5), g.DIM).alias("vec"))
+            return self
+
+    monkeypatch.setattr(g, "JointRetriever", Frozen)
+    train = spark.range(1005).select(F.col("id").cast("string").alias("example_id"), F.concat(F.lit("df = df.head("), F.col("id"), F.lit(")")).alias("target_code"), F.lit("df").alias("var"))
+    assert len(g.LowRankHead(epochs=1).fit(train).classes) == 1005

@@ -96,12 +96,13 @@ def funnel(rows: DataFrame, steps: dict[str, Column]) -> DataFrame:
 def contained_items(documents: DataFrame, items: DataFrame) -> DataFrame:
     """(doc_id, item_id): items whose whole text a document contains.
 
-    Each item gives one probe, the digest of its first ``width`` words; documents are scanned once, and the
-    texts of candidates are then compared. Items shorter than a probe are compared with every document."""
+    Each item gives one probe, the digest of the ``width`` words after its first; its outermost words are no part
+    of it, as other characters may be glued to them in a document. Documents are scanned once, and the texts of
+    candidates are then compared. Items too short for that are compared with every document."""
     width = 8
     words = lambda c: F.regexp_extract_all(c, F.lit(r"(\S+)"), 1)
-    probe = items.withColumn("__w", words("text")).filter(F.size("__w") >= width).select("item_id", F.col("text").alias("item_text"), F.xxhash64(F.array_join(F.slice("__w", 1, width), " ")).alias("__h"))
-    short = items.withColumn("__w", words("text")).filter(F.size("__w") < width).select("item_id", F.col("text").alias("item_text"))
+    probe = items.withColumn("__w", words("text")).filter(F.size("__w") >= width + 2).select("item_id", F.col("text").alias("item_text"), F.xxhash64(F.array_join(F.slice("__w", 2, width), " ")).alias("__h"))
+    short = items.withColumn("__w", words("text")).filter(F.size("__w") < width + 2).select("item_id", F.col("text").alias("item_text"))
     ids = documents.select("doc_id", "text", F.expr(f"transform(sequence(0, greatest(size(regexp_extract_all(text, '(\\\\S+)', 1)) - {width}, 0)), i -> i)").alias("__i"), words("text").alias("__w"))
     hashes = F.array_distinct(F.transform("__i", lambda i: F.xxhash64(F.array_join(F.slice("__w", i + 1, width), " "))))
     grams = ids.select("doc_id", "text", F.explode(hashes).alias("__h"))

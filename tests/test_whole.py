@@ -58,3 +58,12 @@ def test_low_rank_head_keeps_all_classes(spark, monkeypatch):
     monkeypatch.setattr(g, "JointRetriever", Frozen)
     train = spark.range(1005).select(F.col("id").cast("string").alias("example_id"), F.concat(F.lit("df = df.head("), F.col("id"), F.lit(")")).alias("target_code"), F.lit("df").alias("var"))
     assert len(g.LowRankHead(epochs=1).fit(train).classes) == 1005
+
+
+def test_quoted_items_are_contained(spark):
+    items = {n: " ".join(f"w{n}x{i}" for i in range(n)) for n in (3, 8, 9, 10, 20)}
+    around = ['say "{}" now', "({})", "x{}y", "so {} it is", "{}", "so {", "{}."]
+    texts = [a.replace("{}", t) for a in around for t in items.values()] + [" ".join(t.split()[1:]) for t in items.values()]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    found = collect.contained_items(docs, spark.createDataFrame(list(items.items()), "item_id long, text string")).collect()
+    assert sorted(map(tuple, found)) == sorted((i, n) for i, x in enumerate(texts) for n, t in items.items() if t in x)

@@ -51,7 +51,7 @@ class ByteBpe:
     """Ids of a byte-level BPE vocabulary file, by the faster of two libraries that read it.
 
     The merges of such a file are in the order of their ids, so ids serve as merge ranks. A text on which
-    the faster library gives up (very long runs) goes to the other."""
+    the faster library gives up (very long runs), or that holds the literal of an added token, goes to the other."""
 
     def __init__(self, path: str):
         import tiktoken
@@ -62,9 +62,12 @@ class ByteBpe:
         special = {t["content"] for t in model.get("added_tokens", [])}
         byte_of = _byte_of()
         ranks = {bytes(byte_of[c] for c in token): n for token, n in model["model"]["vocab"].items() if token not in special}
+        self.added = sorted(special)
         self.fast = tiktoken.Encoding("vocabulary", pat_str=SPLIT, mergeable_ranks=ranks, special_tokens={})
 
     def ids(self, text: str) -> np.ndarray:
+        if any(x in text for x in self.added):
+            return np.array(self.slow_ids(text), dtype="<u4")
         try:
             return np.array(self.fast.encode_ordinary(text), dtype="<u4")
         except BaseException as error:  # the library panics with a class of its own
@@ -77,7 +80,6 @@ class ByteBpe:
             from tokenizers import Tokenizer
 
             self.slow = Tokenizer.from_file(self.path)
-            self.slow.encode_special_tokens = True
         return self.slow.encode(text, add_special_tokens=False).ids
 
 

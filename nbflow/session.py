@@ -7,6 +7,10 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+#: While a table is settled, Spark drops the shuffle files of that write at its end, on every machine.
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+_FOLDERS: set[str] = set()
+
 
 def local_session(name: str = "nbflow", cores: str = "8") -> SparkSession:
     """A session for tests and benches; a driver that passes its own session never calls this."""
@@ -31,19 +35,51 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all machines share. Set here only where the session names none, as in tests."""
+    """The folder that all machines share. Where the session names none, only a session on one machine gets one of its own."""
     found = spark.sparkContext.getConf().get("spark.checkpoint.dir", "")
     if found:
         return found.rstrip("/")
     jsc = spark.sparkContext._jsc.sc()
     if not jsc.getCheckpointDir().isDefined():
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all machines share")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="nbflow-"))
     return jsc.getCheckpointDir().get().rstrip("/")
 
 
+def _path(spark: SparkSession, path: str):
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return at, at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+
+def work_dir(spark: SparkSession) -> str:
+    """This application's folder for intermediate tables, which goes when the driver ends."""
+    folder = f"{shared_dir(spark)}/nbflow-{spark.sparkContext.applicationId}"
+    if folder not in _FOLDERS:
+        at, files = _path(spark, folder)
+        files.mkdirs(at)
+        files.deleteOnExit(at)
+        _FOLDERS.add(folder)
+    return folder
+
+
 def settle(df: DataFrame, name: str) -> DataFrame:
     """Write a table in the shared folder and read it back: lineage ends there and a lost executor loses nothing."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    path = f"{work_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    before = spark.conf.get(_CLEANUP, "false")
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        df.write.option("compression", "zstd").parquet(path)
+    finally:
+        spark.conf.set(_CLEANUP, before)
+    settled = spark.read.schema(df.schema).parquet(path)
+    settled.settled_at = path
+    return settled
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete settled tables that no plan will read again."""
+    for table_ in tables:
+        at, files = _path(table_.sparkSession, table_.settled_at)
+        files.delete(at, True)

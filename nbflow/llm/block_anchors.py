@@ -7,6 +7,11 @@ over all documents that have it, to the smallest doc_id, and windows that follow
 the maximal exact repeats. Only windows around anchors are followed, so what no other document has is
 never sent on.
 
+Anchors are found by 48 bits of hash, which may only make too many; a window that is followed is known by the
+128-bit cryptographic digest of its words, so no two different ones are taken for the same. Of a hash that several
+documents of one piece of the input hold, two go on, as blocks of the first and the last of them; of a followed window,
+its first document in the piece. So a passage that a third of all documents share is met once or twice per piece.
+
 Defined cases: words are runs of bytes other than space and 9 to 13, unchanged; a null or empty text has
 none, and one with fewer words than a window loses none; repeats within one document stay; rows that
 share a doc_id count as one document; a missing doc_id counts as the smallest; an empty table gives an
@@ -16,14 +21,16 @@ empty result; other columns are ignored.
 from __future__ import annotations
 
 import itertools
+from functools import cached_property
+from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import NO_ID, P_CHECK, P_WORD, Rolling, buckets_for, mixed, pieces_of, release, runs_of, settle, small_batches, text_or_empty, word_hashes, word_spans
-from nbflow.llm.packed import BITS, Holders, told
+from nbflow.llm.common import NO_ID, P_WORD, Rolling, buckets_for, discard, is_space, pieces_of, runs_of, settle, shared_ids, small_batches, text_or_empty, word_hashes, word_spans
+from nbflow.llm.packed import BITS, Holders, spread, told
 
 CHUNK = 1 << 20
 
@@ -32,21 +39,30 @@ class Words:
     """The words of a piece of the table, with hashes of their windows."""
 
     def __init__(self, data: np.ndarray, offsets: np.ndarray):
-        starts, ends, self.before = word_spans(data, offsets)
-        self.words = word_hashes(data, starts, ends)
-        self.rolling = Rolling(self.words, P_WORD)
+        self.data = data
+        self.starts, self.ends, self.before = word_spans(data, offsets)
         self.doc = np.repeat(np.arange(len(offsets) - 1), np.diff(self.before))
         self.local = np.arange(len(self.doc)) - self.before[:-1][self.doc]
 
-    def checks(self, k: int) -> np.ndarray:
-        """32 bits of every window of k words, by sums of their own."""
-        return (Rolling(mixed(self.words ^ np.uint64(0x5851F42D4C957F2D)), P_CHECK).windows(k) >> np.uint64(32)).astype(np.uint32)
+    @cached_property
+    def rolling(self) -> Rolling:
+        return Rolling(word_hashes(self.data, self.starts, self.ends)[0], P_WORD)
 
     def whole(self, k: int) -> np.ndarray:
         """Starts of the windows of k words that end in the document they start in."""
         n = len(self.doc) - k + 1
         return np.flatnonzero(self.doc[:n] == self.doc[k - 1 :]) if n > 0 else np.zeros(0, np.int64)
 
+    def digests(self, at: np.ndarray, k: int) -> np.ndarray:
+        """The digests of windows of k words, joined by one space, as rows of two 64-bit numbers."""
+        lengths = self.ends - self.starts
+        ends = np.cumsum(lengths + 1)
+        body = self.data[~is_space(self.data)]
+        text = np.full(int(ends[-1]) if len(ends) else 0, 32, np.uint8)
+        text[np.arange(len(body)) + np.repeat(np.arange(len(lengths)), lengths)] = body
+        text, first, last = text.tobytes(), (ends - lengths - 1)[at].tolist(), (ends[at + k - 1] - 1).tolist()
+        return np.frombuffer(b"".join([blake2b(text[i:j], digest_size=16).digest() for i, j in zip(first, last, strict=True)]), "<u8").reshape(-1, 2)
+
 
 def _probes(block: int):
     def run(batches):
@@ -59,19 +75,37 @@ def _probes(block: int):
     return run
 
 
+def _common(h: Holders, starts: np.ndarray):
+    """Within a piece: a hash that two of its documents hold is an anchor of all its holders there. One entry of the
+    smallest and one of the largest doc_id go on as blocks, so that others learn of it."""
+    keys, group = h.holder(), spread(starts, len(h.hashes))
+    low, high = np.minimum.reduceat(keys, starts), np.maximum.reduceat(keys, starts)
+    several = (low < high)[group]
+    speakers = []
+    for end in (low, high):
+        at = np.flatnonzero(several & (keys == end[group]))
+        speakers.append(at[np.unique(group[at], return_index=True)[1]])
+    speakers = np.concatenate(speakers)
+    keep = ~several
+    keep[speakers] = True
+    flags = h.flags.copy()
+    flags[speakers] = True
+    places = np.flatnonzero(several)
+    return Holders(h.hashes, h.owner, h.keys, h.sizes, flags).at(keep), places, h.hashes[places]
+
+
 def _anchored(h: Holders, starts: np.ndarray):
     """Entries whose hash is that of a reference block of another document."""
-    keys = h.keys[h.owner]
+    keys, group = h.holder(), spread(starts, len(h.hashes))
     low = np.minimum.reduceat(np.where(h.flags, keys, np.iinfo(np.int64).max), starts)
     high = np.maximum.reduceat(np.where(h.flags, keys, np.iinfo(np.int64).min), starts)
-    group = np.repeat(np.arange(len(starts)), np.diff(np.append(starts, len(keys))))
     hit = (low <= high)[group] & ((low[group] != keys) | (high[group] != keys))
     places = np.flatnonzero(hit)
     return places, h.hashes[places]
 
 
 def _told_sets(batches):
-    """(ids, bytes, offsets, told hashes, document of each) pieces of batches whose third column holds what was told."""
+    """(ids, bytes, offsets, what was told, document of each) pieces of batches whose third column holds what was told."""
     for batch in batches:
         at = 0
         for ids, data, offsets in pieces_of([batch], CHUNK):
@@ -86,9 +120,9 @@ def _among(hashes: np.ndarray, doc: np.ndarray, told_hashes: np.ndarray, owner:
     """Whether a document was told each of its hashes."""
     if not len(told_hashes):
         return np.zeros(len(hashes), bool)
-    spread = np.uint64(0x9E3779B97F4A7C15)
-    mixed_known = told_hashes ^ (owner.astype(np.uint64) * spread)
-    mixed_mine = hashes ^ (doc.astype(np.uint64) * spread)
+    by_doc = np.uint64(0x9E3779B97F4A7C15)
+    mixed_known = told_hashes ^ (owner.astype(np.uint64) * by_doc)
+    mixed_mine = hashes ^ (doc.astype(np.uint64) * by_doc)
     return np.isin(mixed_mine, mixed_known)
 
 
@@ -101,17 +135,31 @@ def _followed(window: int, block: int):
             full = w.whole(window)
             near = np.searchsorted(hit, full + (window - block), side="right") > np.searchsorted(hit, full, side="left")
             full = full[near]
-            yield Holders(w.rolling.windows(window)[full], w.doc[full], ids, np.zeros(len(ids), np.int32), np.zeros(len(full), bool), w.checks(window)[full])
+            digests = w.digests(full, window)
+            notes = w.local[full].astype(np.uint32)
+            yield Holders(digests[:, 0], w.doc[full], ids, np.zeros(len(ids), np.int32), np.zeros(len(full), bool), digests[:, 1], notes)
 
     return run
 
 
+def _told_place(h: Holders, places: np.ndarray) -> np.ndarray:
+    """A window's place in its document, and 32 bits of its digest: rows may share a doc_id, but not their places."""
+    return (h.notes[places].astype(np.uint64) << np.uint64(32)) | (h.hashes[places] >> np.uint64(32))
+
+
 def _later(h: Holders, starts: np.ndarray):
     """Entries of a window that a smaller doc_id has too."""
-    keys = h.keys[h.owner]
-    first = np.repeat(np.minimum.reduceat(keys, starts), np.diff(np.append(starts, len(keys))))
-    places = np.flatnonzero(keys > first)
-    return places, h.hashes[places]
+    keys = h.holder()
+    places = np.flatnonzero(keys > np.minimum.reduceat(keys, starts)[spread(starts, len(keys))])
+    return places, _told_place(h, places)
+
+
+def _first_of_piece(h: Holders, starts: np.ndarray):
+    """Within a piece: what isn't the first of its window is a repeat, whoever else has the window."""
+    places, values = _later(h, starts)
+    keep = np.ones(len(h.hashes), bool)
+    keep[places] = False
+    return h.at(keep), places, values
 
 
 _KEPT = pa.schema(
@@ -119,13 +167,16 @@ _KEPT = pa.schema(
 )
 
 
-def _cut(window: int):
+def _cut(window: int, shared: bool):
     def run(batches):
         for ids, data, offsets, known, owner in _told_sets(batches):
             w = Words(data, offsets)
-            full = w.whole(window)
             gone = np.zeros(len(w.doc) + 1, np.int32)
-            bad = full[_among(w.rolling.windows(window)[full], w.doc[full], known, owner)]
+            local = (known >> np.uint64(32)).astype(np.int64)
+            fits = local + window <= np.diff(w.before)[owner]
+            bad, check = w.before[owner[fits]] + local[fits], known[fits] & np.uint64(0xFFFFFFFF)
+            if shared:  # a place may be that of another row with the same doc_id
+                bad = bad[w.digests(bad, window)[:, 0] >> np.uint64(32) == check]
             np.add.at(gone, bad, 1)
             np.add.at(gone, bad + window, -1)
             gone = np.cumsum(gone)[:-1] > 0
@@ -154,10 +205,9 @@ def remove_repeated_passages(docs: DataFrame, window: int = 50) -> DataFrame:
     block = window // 2
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), text_or_empty().alias("text"))
     buckets = buckets_for(rows)
-    anchors = settle(told(rows, _probes(block), _anchored, buckets).select(F.col("key").alias("doc_id"), "values"), "anchors")
-    release(spark)
-    later = told(rows.join(anchors, "doc_id"), _followed(window, block), _later, buckets, 64)
+    anchors = settle(told(rows, _probes(block), _anchored, buckets, fold=_common).select(F.col("key").alias("doc_id"), "values"), "anchors")
+    later = told(rows.join(anchors, "doc_id"), _followed(window, block), _later, buckets, 64, _first_of_piece)
     later = settle(later.select(F.col("key").alias("doc_id"), "values"), "repeats")
-    release(spark)
-    kept = rows.join(later, "doc_id", "left").mapInArrow(_cut(window), "doc_id long, n_words long, n_removed long, spans array<struct<start: long, length: long>>, kept string")
+    discard(anchors)
+    kept = rows.join(later, "doc_id", "left").mapInArrow(_cut(window, shared_ids(rows)), "doc_id long, n_words long, n_removed long, spans array<struct<start: long, length: long>>, kept string")
     return kept.withColumn("doc_id", F.nullif("doc_id", F.lit(NO_ID)))

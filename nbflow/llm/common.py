@@ -3,15 +3,14 @@
 from __future__ import annotations
 
 import ctypes
-import gc
-import time
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from nbflow.session import settle, shared_dir  # noqa: F401
+from nbflow.session import discard, settle, shared_dir, work_dir  # noqa: F401
 
 #: Stands for a missing doc_id inside the operators: the smallest number.
 NO_ID = -(1 << 63)
@@ -45,13 +44,15 @@ def trim() -> None:
         pass
 
 
-def release(spark: SparkSession) -> None:
-    """Let Spark drop the shuffle files of plans that are done with: it does so as the driver collects garbage. The
-    first round frees Python's handles of those plans, the second what they held; both take effect a moment later."""
-    for _ in range(2):
-        gc.collect()
-        spark.sparkContext._jvm.System.gc()
-        time.sleep(0.4)
+def fresh(columns: list[str], *names: str) -> list[str]:
+    """Names for helper columns that clash with none of ``columns``, whatever the case of their letters."""
+    taken, out = {c.lower() for c in columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
 
 
 def buckets_for(rows: DataFrame, bytes_each: int = 8 << 20) -> int:
@@ -60,6 +61,11 @@ def buckets_for(rows: DataFrame, bytes_each: int = 8 << 20) -> int:
     return max(partitions(rows.sparkSession), -(-size // bytes_each))
 
 
+def shared_ids(rows: DataFrame) -> bool:
+    """Whether several rows have one doc_id."""
+    return bool(rows.groupBy("doc_id").count().filter("count > 1").limit(1).count())
+
+
 def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
@@ -183,10 +189,21 @@ def lowered(data: np.ndarray) -> np.ndarray:
     return data + ((data >= 65) & (data <= 90)).astype(np.uint8) * np.uint8(32)
 
 
-def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+def distinct_words(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, list[bytes]]:
+    """(number of each word, the different words by number). Words are compared byte by byte."""
+    bounds = np.concatenate(([0], np.cumsum(ends - starts)))
+    body = np.ascontiguousarray(data[~is_space(data)])
+    words = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(starts), [None, pa.py_buffer(bounds), pa.py_buffer(body)]).dictionary_encode()
+    return words.indices.to_numpy(zero_copy_only=False), words.dictionary.to_pylist()
+
+
+def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, seed: int = 0) -> tuple[np.ndarray, np.ndarray]:
+    """Two independent 64-bit hashes of each word: the halves of its 128-bit xxhash, taken once per different word."""
     if not len(starts):
-        return np.zeros(0, np.uint64)
-    return Rolling(data, P_BYTE).of(starts, ends)
+        return np.zeros(0, np.uint64), np.zeros(0, np.uint64)
+    numbers, words = distinct_words(data, starts, ends)
+    halves = np.frombuffer(b"".join([xxhash.xxh3_128_digest(w, seed) for w in words]), "<u8").reshape(-1, 2)
+    return halves[numbers, 0], halves[numbers, 1]
 
 
 def runs_of(mask: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

@@ -23,7 +23,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import NO_ID, release, settle, text_or_empty
+from nbflow.llm.common import NO_ID, settle, text_or_empty
 
 #: Shortest line, in characters, for which one edit still means the same line.
 LEAST_CHARS = 16
@@ -69,13 +69,11 @@ def near_lines(rows: DataFrame, distinct: DataFrame, least_chars: int) -> DataFr
     halves = able.select(*_LINE, F.explode(F.array_distinct(F.array("k0", "k1", "k2", "k3"))).alias("key"))
     partnered = halves.join(_met(halves), "key", "left_semi").select(*_LINE).distinct()
     able = settle(able.join(partnered, _LINE).select(*_LINE, "place", "doc_id", "line_no"), "able")
-    release(rows.sparkSession)
 
     wanted = able.groupBy("doc_id").agg(F.collect_list(F.struct("line_no", "place", *_LINE)).alias("wanted"))
     picked = F.transform("wanted", lambda x: F.struct(x["h1"].alias("h1"), x["h2"].alias("h2"), x["place"].alias("place"), _trimmed(F.get(F.col("lines"), x["line_no"])).alias("line")))
     texts = rows.join(wanted.hint("merge"), "doc_id").withColumn("lines", F.split("text", "\n", -1)).select(F.explode(picked).alias("x")).select("x.*")
     texts = settle(texts.filter((F.xxhash64("line") == F.col("h1")) & (F.length("line") >= least_chars - 1)), "able-lines")
-    release(rows.sparkSession)
 
     parts = F.transform(F.sequence(F.lit(0), F.lit(31)), lambda k: _without(F.col("line"), k, 16))
     keyed = settle(texts.select(*_LINE, F.explode(parts).alias("p")).select(*_LINE, "p.*"), "keys")
@@ -113,13 +111,11 @@ def remove_repeated_lines(docs: DataFrame, least_chars: int = LEAST_CHARS) -> Da
     line_no = F.pmod(F.col("place"), two32).cast("int")
     distinct = distinct.withColumn("line_no", line_no).withColumn("doc_id", ((F.col("place") - F.col("line_no")) / two32).cast("long"))
     distinct = settle(distinct, "lines")
-    release(spark)
     near = settle(near_lines(rows, distinct, least_chars), "near-lines")
 
     marked = distinct.join(near.withColumn("near", F.lit(True)), _LINE, "left").select(*_LINE, F.col("place").alias("first"), "n", F.coalesce("near", F.lit(False)).alias("near")).filter("n > 1 or near")
     gone = lines.select(*_LINE, "doc_id", "line_no", "place").join(marked.hint("merge"), _LINE).filter("near or place > first")
     gone = settle(gone.groupBy("doc_id").agg(F.collect_set("line_no").alias("gone")), "gone-lines")
-    release(spark)
     cut = rows.join(gone.hint("merge"), "doc_id", "left").withColumn("lines", F.split("text", "\n", -1)).withColumn("gone", F.coalesce("gone", F.array().cast("array<int>")))
     kept = F.filter("lines", lambda line, i: ~F.array_contains(F.col("gone"), i))
     n_lines = F.size("lines").cast("long")

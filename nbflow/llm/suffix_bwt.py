@@ -15,10 +15,12 @@ repeats of the earliest of them.
 
 A minimizer with more segments than one construction takes is split by where its windows begin: windows
 of one half of the places share all bytes between the outermost of them, and those bytes are the key of
-the half. Places halve until a part fits, so that no minimizer needs more memory than another.
+the half. Places halve until a part fits. Minimizers that are hot over all texts (a bounded list, as only so many
+can have that many segments) are split by the senders already, the deeper the hotter, so that the parts go to different
+buckets; the last split leaves the windows themselves as keys, and equal ones fold.
 
 Copies of a segment are folded before the exchange, in the task that reads them: all but the earliest are
-repeats already. So the most frequent passage reaches its bucket once per piece of the input.
+repeats already. So the most frequent passage reaches its bucket once per ``FOLD_BYTES`` of segments at most.
 
 Defined cases: texts are UTF-8 bytes, a null text is empty; matches never cross documents; rows that
 share a doc_id count as one document; a missing doc_id counts as the smallest; an empty table gives an
@@ -29,21 +31,28 @@ from __future__ import annotations
 
 import os
 import pickle
+import struct
 import tempfile
 from collections import defaultdict
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from nbflow.llm.block_anchors import _among, _told_sets
-from nbflow.llm.common import NO_ID, P_BYTE, Rolling, buckets_for, mixed, pieces_of, release, runs_of, settle, small_batches, text_or_empty, trim
-from nbflow.llm.packed import BITS, MASK, Holders, _narrowed, _packed, _sent, _by_key, dealt, told
+from nbflow.llm.common import NO_ID, P_BYTE, Rolling, buckets_for, discard, mixed, pieces_of, runs_of, settle, shared_ids, small_batches, text_or_empty, trim
+from nbflow.llm.packed import ANSWER, BITS, MASK, QUESTION, Holders, _by_key, _sent, addressed, dealt, decided, spread, told
 
 CHUNK = 1 << 20
 #: Bytes of a gram, bytes of segments that one construction takes, and sizes of a symbol: the first that divides the length.
 GRAM, COLLECTION, SYMBOLS = 40, 200_000, (5, 4, 2, 1)
+#: Bytes of segments that a sender folds at a time; segments from which a minimizer is hot, or one in so many of all
+#: bytes, whichever is more: so no more than that many minimizers can be hot.
+FOLD_BYTES, HOT_SEGMENTS, MOST_HOT = 24 << 20, 4096, 1_000_000
+#: The document that stands for the list of hot minimizers in what is told; its values have a level in their upper bits.
+HOT_KEY = (1 << 63) - 1
 
 
 def sliding_least(values: np.ndarray, width: int) -> np.ndarray:
@@ -82,62 +91,150 @@ def segments(data: np.ndarray, offsets: np.ndarray, length: int, gram: int):
 
 
 def _minimizers(length: int, gram: int):
-    """Each minimizer of a document once; the flag says that the document has it more often (as periodic texts do)."""
+    """Each minimizer of a document once, with its number of segments; the flag says that there are several (as periodic
+    texts have)."""
 
     def run(batches):
         for ids, data, offsets in pieces_of(batches, CHUNK):
             _, _, hashes, doc, _ = segments(data, offsets, length, gram)
             both, times = np.unique((doc.astype(np.uint64) << np.uint64(BITS)) | hashes, return_counts=True)
-            yield Holders(both & MASK, (both >> np.uint64(BITS)).astype(np.int64), ids, np.zeros(len(ids), np.int32), times > 1)
+            yield Holders(both & MASK, (both >> np.uint64(BITS)).astype(np.int64), ids, np.zeros(len(ids), np.int32), times > 1, notes=times.astype(np.uint32))
 
     return run
 
 
+def _several(h: Holders, starts: np.ndarray) -> np.ndarray:
+    return (np.diff(np.append(starts, len(h.hashes))) > 1) | np.logical_or.reduceat(h.flags, starts)
+
+
 def _repeated(h: Holders, starts: np.ndarray):
-    size = np.diff(np.append(starts, len(h.hashes)))
-    places = np.flatnonzero(np.repeat((size > 1) | np.logical_or.reduceat(h.flags, starts), size))
+    places = np.flatnonzero(_several(h, starts)[spread(starts, len(h.hashes))])
     return places, h.hashes[places]
 
 
-def _later_runs(docs: np.ndarray, starts: np.ndarray, sizes: np.ndarray, buckets: int):
-    """Blocks, by bucket of the document, of runs of windows (start, number) that begin earlier elsewhere."""
+def _repeated_here(h: Holders, starts: np.ndarray):
+    """Within a piece: a minimizer that it has twice is repeated for all its holders there; one entry goes on for all."""
+    several, group = _several(h, starts), spread(starts, len(h.hashes))
+    notes, flags, keep = h.notes.copy(), h.flags.copy(), ~several[group]
+    notes[starts] = np.minimum(np.add.reduceat(h.notes.astype(np.int64), starts), 0xFFFFFFFF)
+    flags[starts[several]] = keep[starts] = True
+    places, values = _repeated(h, starts)
+    return Holders(h.hashes, h.owner, h.keys, h.sizes, flags, notes=notes).at(keep), places, values
+
+
+def _hot(limit: int):
+    """Minimizers of more than ``limit`` segments, each with how often its places are to be halved in front."""
+
+    def run(h: Holders, starts: np.ndarray) -> np.ndarray:
+        count = np.add.reduceat(h.notes.astype(np.int64), starts)
+        hot = count > limit
+        level = np.clip(np.ceil(np.log2(count[hot] / limit)), 1, 8).astype(np.uint64)
+        return (level << np.uint64(BITS)) | h.hashes[starts[hot]]
+
+    return run
+
+
+def _check(text: bytes) -> int:
+    return xxhash.xxh3_64_intdigest(text) >> 40
+
+
+def _runs(runs: list[tuple[int, int, int, int]], buckets: int):
+    """Blocks, by bucket of the document, of runs of windows (document, start, number, check) that begin earlier elsewhere."""
+    if not runs:
+        return
+    docs, starts, sizes, checks = np.array(runs, np.int64).T
     keys, owner = np.unique(docs, return_inverse=True)
-    to = ((keys.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(33)) % np.uint64(buckets))[owner]
-    order = np.argsort(to, kind="stable")
-    to, owner = to[order], owner[order]
-    value = (starts.astype(np.uint64) << np.uint64(20)) | sizes.astype(np.uint64)
-    h = Holders(value[order], owner, keys, np.zeros(len(keys), np.int32), np.zeros(len(owner), bool))
-    bounds = np.searchsorted(to, np.arange(buckets + 1))
-    for b in np.unique(to).tolist():
-        yield int(b), _packed(_narrowed(h, slice(bounds[b], bounds[b + 1])), 64)
+    values = (starts.astype(np.uint64) << np.uint64(32)) | (sizes.astype(np.uint64) << np.uint64(24)) | checks.astype(np.uint64)
+    h = Holders(values, owner, keys, np.zeros(len(keys), np.int32), np.zeros(len(owner), bool))
+    yield from addressed(h, np.arange(len(owner)), values, buckets)
+
+
+def split_by_place(segments_of: list[tuple], low: int, high: int, length: int):
+    """Halves of a minimizer's segments (document, start, place, text), by how far ahead of the minimizer (low to
+    high bytes) windows begin; in a half, segments go by the bytes that all its windows have."""
+    mid = (low + high + 1) // 2
+    for a, b in ((low, mid - 1), (mid, high)):
+        parts = defaultdict(list)
+        for doc, start, place, text in segments_of:
+            most, least = min(b, place), max(a, place - (len(text) - length))
+            if most >= least and a <= b:
+                cut = place - most
+                common = text[place - a : place - b + length]
+                parts[common].append((doc, start + cut, most, text[cut : place - least + length]))
+        for part in parts.values():
+            yield part, a, b
 
 
-def _folded(length: int, gram: int, buckets: int):
-    """Rows (bucket, block): a block of segments for a bucket of minimizers, or one of runs already decided."""
+def divided(some: list[tuple], low: int, high: int, length: int, levels: int):
+    """Parts (segments, low, high) after ``levels`` halvings, or as many as the places allow."""
+    todo = [(some, low, high, levels)]
+    while todo:
+        some, low, high, levels = todo.pop()
+        if levels and low < high:
+            todo += [(*part, levels - 1) for part in split_by_place(some, low, high, length)]
+        else:
+            yield some, low, high
 
-    def blocks(batches):
+
+def part_key(segment: tuple, hashed: int, low: int, high: int, length: int) -> int:
+    """48 bits for the bucket and the group of a hot minimizer's part: windows of the part have these bytes in common."""
+    _, _, place, text = segment
+    return xxhash.xxh3_64_intdigest(text[place - low : place - high + length] + struct.pack("<QHH", hashed, low, high)) >> (64 - BITS)
+
+
+def _folded(length: int, gram: int, buckets: int, hot: np.ndarray, checked: bool):
+    """Rows (bucket, block): questions are segments for the bucket of their minimizer or part, answers are runs already
+    known to begin earlier. hot: minimizers with their levels in front, in order of the minimizers."""
+    hot_hashes, levels = hot & MASK, (hot >> np.uint64(BITS)).astype(np.int64)
+
+    def parts(batches):
+        """(key, low, high, segments) of each piece's segments that may have repeats."""
         for ids, data, offsets, known, owner in _told_sets(batches):
             edge, size, hashes, doc, place = segments(data, offsets, length, gram)
             use = np.flatnonzero(_among(hashes, doc, known, owner))
             edge, size, hashes, doc, place = edge[use], size[use], hashes[use], doc[use], place[use]
-            body, start = data.tobytes(), edge - offsets[doc]
-            order = np.lexsort((start, ids[doc]))
-            first: dict[bytes, int] = {}
-            later = []
-            for i in order.tolist():
-                text = body[edge[i] : edge[i] + size[i] + length - 1]
-                if first.setdefault(text, i) != i:
-                    later.append(i)
-            if later:
-                for to, block in _later_runs(ids[doc[later]], start[later], size[later], buckets):
-                    yield to, b"R" + block
-            kept = np.fromiter(first.values(), np.int64, len(first))
-            texts = list(first)
-            to = ((hashes[kept] * np.uint64(buckets)) >> np.uint64(BITS)).astype(np.int64) if buckets < 1 << 16 else (hashes[kept] % np.uint64(buckets)).astype(np.int64)
-            for b in np.unique(to).tolist():
-                mine = np.flatnonzero(to == b)
-                at = kept[mine]
-                yield b, b"S" + pickle.dumps((hashes[at], ids[doc[at]], start[at], place[at], [texts[j] for j in mine.tolist()]), protocol=5)
+            at = np.minimum(np.searchsorted(hot_hashes, hashes), max(len(hot_hashes) - 1, 0))
+            level = np.where(hot_hashes[at] == hashes, levels[at], 0) if len(hot_hashes) else np.zeros(len(hashes), np.int64)
+            body, ids = data.tobytes(), ids.tolist()
+            rows = zip(hashes.tolist(), level.tolist(), doc.tolist(), (edge - offsets[doc]).tolist(), place.tolist(), edge.tolist(), (edge + size + length - 1).tolist(), strict=True)
+            for hashed, lv, d, start, p, a, b in rows:
+                one = (ids[d], start, p, body[a:b])
+                if not lv:
+                    yield hashed, 0, length - gram, one
+                    continue
+                for some, low, high in divided([one], 0, length - gram, length, lv):
+                    yield part_key(some[0], hashed, low, high, length), low, high, some[0]
+
+    def blocks(batches):
+        first: dict[bytes, tuple] = {}
+        later: list[tuple] = []
+        held = 0
+
+        def flushed():
+            for to, block in _runs(later, buckets):
+                yield to, ANSWER + block
+            rows = list(first.values())
+            to = np.array([(r[0] * buckets) >> BITS for r in rows], np.int64)
+            order = np.argsort(to, kind="stable")
+            cuts = np.flatnonzero(np.diff(to[order], prepend=-1)).tolist()
+            for a, b in zip(cuts, [*cuts[1:], len(rows)], strict=True):
+                yield int(to[order[a]]), QUESTION + pickle.dumps([rows[i] for i in order[a:b].tolist()], protocol=5)
+
+        for key, low, high, one in parts(batches):
+            there = first.get(one[3])  # equal texts have equal windows, so equal keys
+            if there is None:
+                first[one[3]] = (key, low, high, one)
+                held += len(one[3]) + 200
+            else:
+                if one[:2] < there[3][:2]:
+                    first[one[3]] = (key, low, high, one)
+                    one = there[3]
+                later.append((*one[:2], len(one[3]) - length + 1, _check(one[3]) if checked else 0))
+            if held + 40 * len(later) > FOLD_BYTES:
+                yield from flushed()
+                first, later, held = {}, [], 0
+        if first:
+            yield from flushed()
 
     def run(batches):
         yield from _sent(blocks(batches))
@@ -277,7 +374,8 @@ def phases(texts: list[bytes], q: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def repeats(texts: list[bytes], docs: np.ndarray, starts: np.ndarray, length: int, folder: str):
-    """(document, start) of the windows of ``length`` bytes that begin earlier too; earlier: smaller document, then start."""
+    """(document, start, text, place in it) of the windows of ``length`` bytes that begin earlier too; earlier: smaller
+    document, then start."""
     q = next(x for x in SYMBOLS if length % x == 0)
     symbols, lengths = phases(texts, q)
     _, lcp, text, size = sorted_suffixes(symbols, lengths, folder, length // q)
@@ -286,45 +384,31 @@ def repeats(texts: list[bytes], docs: np.ndarray, starts: np.ndarray, length: in
     group, text, size = group[at], text[at].astype(np.int64), size[at].astype(np.int64)
     many = np.bincount(group)[group] > 1 if len(group) else np.zeros(0, bool)
     group, text, size = group[many], text[many], size[many]
-    doc, start = docs[text // q], starts[text // q] + text % q + q * (lengths[text] - size)
+    place = text % q + q * (lengths[text] - size)
+    text //= q
+    doc, start = docs[text], starts[text] + place
     order = np.lexsort((start, doc, group))
     again = np.concatenate(([False], group[order][1:] == group[order][:-1])) if len(order) else np.zeros(0, bool)
-    return doc[order][again], start[order][again]
-
-
-def split_by_place(segments_of: list[tuple], low: int, high: int, length: int):
-    """Halves of a minimizer's segments (document, start, place, text), by how far ahead of the minimizer (low to
-    high bytes) windows begin; in a half, segments go by the bytes that all its windows have."""
-    mid = (low + high + 1) // 2
-    for a, b in ((low, mid - 1), (mid, high)):
-        parts = defaultdict(list)
-        for doc, start, place, text in segments_of:
-            most, least = min(b, place), max(a, place - (len(text) - length))
-            if most >= least and a <= b:
-                cut = place - most
-                common = text[place - a : place - b + length]
-                parts[common].append((doc, start + cut, most, text[cut : place - least + length]))
-        for part in parts.values():
-            yield part, a, b
+    return tuple(x[order][again] for x in (doc, start, text, place))
 
 
-def _ordered(length: int, gram: int, buckets: int):
+def _ordered(length: int, buckets: int, checked: bool):
     """The runs (start, number of windows) of every document that a bucket of minimizers decides."""
 
-    def decided(got: list[bytes], folder: str):
+    def runs(got: list[memoryview], folder: str):
         later: list[tuple] = []
-        found: list[tuple] = []
+
+        def again(doc: int, start: int, text: bytes):
+            later.append((doc, start, len(text) - length + 1, _check(text) if checked else 0))
 
         def folded(some):
             """The earliest of each text; the others' windows all begin earlier."""
             first: dict[bytes, tuple] = {}
-            for doc, start, place, text in some:
-                here, there = (doc, start, place, text), first.get(text)
-                if there is None:
-                    first[text] = here
-                else:
-                    first[text] = min(here, there)
-                    later.append((*max(here, there)[:2], len(text) - length + 1))
+            for one in some:
+                there = first.setdefault(one[3], one)
+                if there is not one:
+                    first[one[3]] = min(one, there)
+                    again(*max(one, there)[:2], one[3])
             return list(first.values())
 
         batch: list[tuple] = []
@@ -333,16 +417,19 @@ def _ordered(length: int, gram: int, buckets: int):
         def flush():
             nonlocal held
             if batch:
-                found.append(repeats([x[3] for x in batch], np.array([x[0] for x in batch]), np.array([x[1] for x in batch]), length, folder))
+                texts = [x[3] for x in batch]
+                doc, start, text, place = repeats(texts, np.array([x[0] for x in batch]), np.array([x[1] for x in batch]), length, folder)
+                for d, s, t, p in zip(doc.tolist(), start.tolist(), text.tolist(), place.tolist(), strict=True):
+                    again(d, s, texts[t][p : p + length])
                 batch.clear()
                 held = 0
                 trim()
 
         groups = defaultdict(list)
         for block in got:
-            for h, doc, start, place, text in zip(*(x.tolist() if isinstance(x, np.ndarray) else x for x in pickle.loads(block)), strict=True):
-                groups[h].append((doc, start, place, text))
-        todo = [(some, 0, length - gram) for some in groups.values() if len(some) > 1]
+            for key, low, high, one in pickle.loads(block):
+                groups[key, low, high].append(one)
+        todo = [(some, low, high) for (_, low, high), some in groups.items() if len(some) > 1]
         del groups
         while todo:
             some, low, high = todo.pop()
@@ -358,29 +445,11 @@ def _ordered(length: int, gram: int, buckets: int):
             if held > COLLECTION:
                 flush()
         flush()
-        docs = np.concatenate([np.array([x[0] for x in later], np.int64), *(p[0] for p in found)])
-        starts = np.concatenate([np.array([x[1] for x in later], np.int64), *(p[1] for p in found)])
-        sizes = np.concatenate([np.array([x[2] for x in later], np.int64), *(np.ones(len(p[0]), np.int64) for p in found)])
-        return docs, starts, sizes
+        return later
 
     def run(batches):
-        def blocks(folder: str):
-            now, got = None, []
-            for batch in batches:
-                for bucket, block in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                    if block[:1] == b"R":
-                        yield bucket, block[1:]
-                        continue
-                    if bucket != now and got:
-                        yield from _later_runs(*decided(got, folder), buckets)
-                        got = []
-                    now = bucket
-                    got.append(memoryview(block)[1:])
-            if got:
-                yield from _later_runs(*decided(got, folder), buckets)
-
         with tempfile.TemporaryDirectory() as folder:
-            yield from _sent(blocks(folder))
+            yield from _sent(decided(batches, lambda got: _runs(runs(got, folder), buckets)))
 
     return run
 
@@ -390,7 +459,17 @@ _KEPT = pa.schema(
 )
 
 
-def _cut(length: int):
+def _cut(length: int, checked: bool):
+    def told_runs(text: bytes, told_: bytes | None):
+        """Starts and ends of the runs of bytes to go. Rows may share a doc_id, but not what they have at a place."""
+        v = np.frombuffer(told_ or b"", "<u8")
+        start = (v >> np.uint64(32)).astype(np.int64)
+        end = start + (v >> np.uint64(24) & np.uint64(0xFF)).astype(np.int64) + length - 1
+        if checked:
+            mine = [b <= len(text) and _check(text[a:b]) == c for a, b, c in zip(start.tolist(), end.tolist(), (v & np.uint64(0xFFFFFF)).tolist(), strict=True)]
+            start, end = start[mine], end[mine]
+        return start, end
+
     def run(batches):
         for batch in batches:
             at = 0
@@ -399,13 +478,11 @@ def _cut(length: int):
                 at += len(ids)
                 body, bounds = data.tobytes(), offsets.tolist()
                 rows = []
-                for i, told_runs in enumerate(values):
+                for i, told_ in enumerate(values):
                     text = body[bounds[i] : bounds[i + 1]]
-                    v = np.frombuffer(told_runs or b"", "<u8")
-                    start, end = (v >> np.uint64(20)).astype(np.int64), (v >> np.uint64(20)).astype(np.int64) + (v & np.uint64(0xFFFFF)).astype(np.int64) + length - 1
-                    start, end = start[start < len(text)], np.minimum(end[start < len(text)], len(text))
-                    edges = np.zeros(len(text) + 1, np.int32)
+                    start, end = told_runs(text, told_)
                     if len(start):
+                        edges = np.zeros(len(text) + 1, np.int32)
                         np.add.at(edges, start, 1)
                         np.add.at(edges, end, -1)
                         gone = np.cumsum(edges)[:-1] > 0
@@ -419,19 +496,25 @@ def _cut(length: int):
     return run
 
 
-def remove_repeated_bytes(docs: DataFrame, length: int = 100, gram: int = GRAM) -> DataFrame:
+def remove_repeated_bytes(docs: DataFrame, length: int = 100, gram: int = GRAM, hot_segments: int = HOT_SEGMENTS) -> DataFrame:
     """One row per document: doc_id, n_bytes, n_removed, spans (byte positions of the maximal runs cut out), kept (bytes)."""
+    if not 0 <= length - gram < 255:
+        raise ValueError("a gram is at most as long as a window, and less than 255 bytes shorter")
     spark = docs.sparkSession
     small_batches(spark)
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), text_or_empty().alias("text"))
-    buckets = buckets_for(rows)
-    shared = told(rows, _minimizers(length, gram), _repeated, buckets)
+    buckets, checked = buckets_for(rows), shared_ids(rows)
+    limit = max(hot_segments, (rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0) // MOST_HOT)
+    shared = told(rows, _minimizers(length, gram), _repeated, buckets, fold=_repeated_here, noted=(HOT_KEY, _hot(limit)))
     shared = settle(shared.select(F.col("key").alias("doc_id"), "values"), "minimizers")
-    release(spark)
+    noted = shared.filter(F.col("doc_id") == HOT_KEY).first()  # one row, of MOST_HOT numbers at most
+    hot = np.frombuffer(noted["values"] if noted else b"", "<u8")
+    hot = hot[hot > MASK]
+    hot = hot[np.argsort(hot & MASK)]
     blocks = "bucket int, block binary"
-    sent = rows.join(shared, "doc_id").mapInArrow(_folded(length, gram, buckets), blocks)
-    decided = dealt(dealt(sent, buckets).mapInArrow(_ordered(length, gram, buckets), blocks), buckets).mapInArrow(_by_key, "key long, size int, values binary")
-    decided = settle(decided.select(F.col("key").alias("doc_id"), "values"), "byte-runs")
-    release(spark)
-    kept = rows.join(decided, "doc_id", "left").mapInArrow(_cut(length), "doc_id long, n_bytes long, n_removed long, spans array<struct<start: long, length: long>>, kept binary")
+    sent = rows.join(shared, "doc_id").mapInArrow(_folded(length, gram, buckets, hot, checked), blocks)
+    found = dealt(dealt(sent, buckets).mapInArrow(_ordered(length, buckets, checked), blocks), buckets).mapInArrow(_by_key, "key long, size int, values binary")
+    found = settle(found.select(F.col("key").alias("doc_id"), "values"), "byte-runs")
+    discard(shared)
+    kept = rows.join(found, "doc_id", "left").mapInArrow(_cut(length, checked), "doc_id long, n_bytes long, n_removed long, spans array<struct<start: long, length: long>>, kept binary")
     return kept.withColumn("doc_id", F.nullif("doc_id", F.lit(NO_ID)))

@@ -12,8 +12,8 @@ deleted: no other deletion can meet a partner's. Equal lines are folded first, t
 place.
 
 Defined cases: lines end at line feeds and are compared without spaces, tabs and carriage returns at
-their ends; blank lines stay and match nothing; two lines of fewer than ``least_chars`` characters match only
-if equal; a line goes if an equal or near one begins earlier (smaller doc_id, then line), judged on the
+their ends; blank lines stay and match nothing; a caller may ask that two lines of fewer than ``least_chars``
+characters match only if equal; a line goes if an equal or near one begins earlier (smaller doc_id, then line), judged on the
 input; a null text is one blank line; rows that share a doc_id count as one document; a missing doc_id
 counts as the smallest; an empty table gives an empty result; other columns are ignored.
 """
@@ -25,8 +25,8 @@ from pyspark.sql import functions as F
 
 from nbflow.llm.common import NO_ID, settle, text_or_empty
 
-#: Shortest line, in characters, for which one edit still means the same line.
-LEAST_CHARS = 16
+#: Shortest line, in characters, for which one edit still means the same line: any.
+LEAST_CHARS = 1
 _LINE = ["h1", "h2"]
 
 
@@ -56,9 +56,9 @@ def _met(keyed: DataFrame) -> DataFrame:
 
 
 def _lines(rows: DataFrame) -> DataFrame:
-    """Rows (doc_id, place, line, h1, h2) of the lines that aren't blank."""
-    found = rows.select("doc_id", F.posexplode(F.split("text", "\n", -1)).alias("line_no", "raw")).withColumn("line", _trimmed(F.col("raw"))).filter("line <> ''")
-    return found.select("doc_id", "line_no", _place(F.col("doc_id"), F.col("line_no")).alias("place"), "line", F.xxhash64("line").alias("h1"), F.xxhash64(F.lit("second"), "line").alias("h2"))
+    """Rows (doc_id, row, place, line, h1, h2) of the lines that aren't blank."""
+    found = rows.select("doc_id", "row", F.posexplode(F.split("text", "\n", -1)).alias("line_no", "raw")).withColumn("line", _trimmed(F.col("raw"))).filter("line <> ''")
+    return found.select("doc_id", "row", "line_no", _place(F.col("doc_id"), F.col("line_no")).alias("place"), "line", F.xxhash64("line").alias("h1"), F.xxhash64(F.lit("second"), "line").alias("h2"))
 
 
 def near_lines(rows: DataFrame, distinct: DataFrame, least_chars: int) -> DataFrame:
@@ -103,7 +103,7 @@ def near_lines(rows: DataFrame, distinct: DataFrame, least_chars: int) -> DataFr
 def remove_repeated_lines(docs: DataFrame, least_chars: int = LEAST_CHARS) -> DataFrame:
     """One row per document: doc_id, n_lines, n_removed, kept (its other lines, unchanged, in order)."""
     spark = docs.sparkSession
-    rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), text_or_empty().alias("text"))
+    rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), text_or_empty().alias("text")).withColumn("row", F.xxhash64("text"))  # rows may share a doc_id
     lines = _lines(rows)
     shape = lines.select(*_LINE, "place", F.length("line").alias("chars"), *[_without(F.col("line"), F.lit(k), 2)["key"].alias(f"k{k}") for k in range(4)])
     distinct = shape.groupBy(*_LINE).agg(F.min("place").alias("place"), F.count("*").alias("n"), F.min("chars").alias("chars"), *[F.min(f"k{i}").alias(f"k{i}") for i in range(4)])
@@ -114,9 +114,12 @@ def remove_repeated_lines(docs: DataFrame, least_chars: int = LEAST_CHARS) -> Da
     near = settle(near_lines(rows, distinct, least_chars), "near-lines")
 
     marked = distinct.join(near.withColumn("near", F.lit(True)), _LINE, "left").select(*_LINE, F.col("place").alias("first"), "n", F.coalesce("near", F.lit(False)).alias("near")).filter("n > 1 or near")
-    gone = lines.select(*_LINE, "doc_id", "line_no", "place").join(marked.hint("merge"), _LINE).filter("near or place > first")
-    gone = settle(gone.groupBy("doc_id").agg(F.collect_set("line_no").alias("gone")), "gone-lines")
-    cut = rows.join(gone.hint("merge"), "doc_id", "left").withColumn("lines", F.split("text", "\n", -1)).withColumn("gone", F.coalesce("gone", F.array().cast("array<int>")))
-    kept = F.filter("lines", lambda line, i: ~F.array_contains(F.col("gone"), i))
-    n_lines = F.size("lines").cast("long")
-    return cut.withColumn("stay", kept).select(F.nullif("doc_id", F.lit(NO_ID)).alias("doc_id"), n_lines.alias("n_lines"), (n_lines - F.size("stay")).cast("long").alias("n_removed"), F.array_join("stay", "\n").alias("kept"))
+    gone = lines.select(*_LINE, "doc_id", "row", "line_no", "place").join(marked.hint("merge"), _LINE).filter("near or place > first")
+    gone = settle(gone.groupBy("doc_id", "row").agg(F.array_sort(F.collect_set("line_no")).alias("gone")), "gone-lines")
+    cut = rows.join(gone.hint("merge"), ["doc_id", "row"], "left").withColumn("lines", F.split("text", "\n", -1)).withColumn("gone", F.coalesce("gone", F.array().cast("array<int>")))
+    # a sign for each line up to the last that goes: linear in the lines, however many go
+    ahead = lambda i: F.coalesce(F.get("gone", i - 1), F.lit(-1))
+    signs = F.split(F.array_join(F.transform("gone", lambda g, i: F.concat(F.repeat(F.lit("s"), g - ahead(i) - 1), F.lit("g"))), ""), "")
+    kept = F.array_join(F.zip_with("lines", signs, lambda line, sign: F.when(F.coalesce(sign != "g", F.lit(True)), line)), "\n")
+    n_lines, n_gone = F.size("lines").cast("long"), F.size("gone").cast("long")
+    return cut.select(F.nullif("doc_id", F.lit(NO_ID)).alias("doc_id"), n_lines.alias("n_lines"), n_gone.alias("n_removed"), F.when(n_gone == 0, F.col("text")).otherwise(kept).alias("kept"))

@@ -6,6 +6,10 @@ compared byte by byte: should two forms share a digest, their order among the fo
 appended, so that fingerprints are equal exactly when forms are. Only forms whose digest occurs more than
 once travel for the comparison, folded per task first. The likeness of two exact fingerprints is 1 or 0.
 
+Digests that many documents have are marked without a shuffle: no more than ``MOST_HOT`` digests can each be that of
+more than that share of all documents, so their list may be broadcast; the others' groups are small. Documents are read
+in order in buckets of bounded size, however many there are.
+
 Defined cases: a null text counts as empty; the next document is the one before in ascending doc_id, the
 first after the last; rows that share a doc_id follow one another by text; a missing doc_id counts as the
 smallest; an empty table gives an empty result; other columns are ignored.
@@ -44,13 +48,28 @@ def _texts(batch) -> list[str]:
     return [body[a:b].decode("utf-8", "replace") for a, b in zip(at[:-1], at[1:], strict=True)]
 
 
-_DIGESTS = pa.schema([("doc_id", pa.int64()), ("digest", pa.string())])
+#: Digests that may be hot, documents that a digest has at least to be so, bytes of a bucket, and of the forms a task keeps.
+MOST_HOT, HOT_DOCS, BUCKET_BYTES, FORM_BYTES = 1000, 1000, 32 << 20, 32 << 20
+_DIGESTS = pa.schema([("doc_id", pa.int64()), ("digest", pa.string()), ("size", pa.int64())])
 
 
 def _digests(batches):
     for batch in batches:
         found = [digest(canonical(t).encode("utf-8", "surrogatepass")) for t in _texts(batch)]
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.string())], schema=_DIGESTS)
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.string()), pa.array(np.diff(text_views(batch.column(1))[1]))], schema=_DIGESTS)
+
+
+def _lasts(bounds: np.ndarray):
+    """Rows (bucket, last): the largest doc_id that each batch has of each bucket."""
+
+    def run(batches):
+        for batch in batches:
+            ids = np.sort(batch.column(0).to_numpy())
+            bucket = np.searchsorted(bounds, ids, side="right")
+            end = np.flatnonzero(np.diff(bucket, append=-1))
+            yield pa.RecordBatch.from_arrays([pa.array(bucket[end], pa.int32()), pa.array(ids[end])], names=["bucket", "last"])
+
+    return run
 
 
 _DEALT = pa.schema([("bucket", pa.int32()), ("doc_id", pa.int64()), ("text", pa.string()), ("kind", pa.int32())])
@@ -84,21 +103,27 @@ _OUT_SQL = "doc_id long, n_chars long, edited_sha256 string, fingerprint string,
 def _read_on(batches):
     """Rows in order (bucket, own before ahead, descending doc_id); each document is read with the one after it."""
     forms: dict[str, bytes] = {}
+    kept = 0
     rows: list[tuple] = []
     held = None  # (doc_id, text, form, marked)
     marked, bucket = None, None
 
     def result(doc, text, form, mark, after_text, after_form):
+        nonlocal kept
         n = len(text)
         take = n // 3
         edited = text[: n - take] + after_text[:take]
         edited_form = canonical(edited).encode("utf-8", "surrogatepass")
         own = digest(form)
         shown = None
-        if mark and forms.setdefault(own, form) is form:  # the first of its digest in this task goes to the comparison
-            shown = form
-        elif mark and forms[own] != form:
+        if mark and forms.get(own) != form:  # the first of its digest in this task goes to the comparison, and what differs from it
             shown = form
+            if own not in forms:
+                kept += len(form) + 100
+                if kept > FORM_BYTES:  # begun anew: a form may then go twice
+                    forms.clear()
+                    kept = len(form) + 100
+                forms[own] = form
         return (doc, n, hashlib.sha256(edited.encode("utf-8", "surrogatepass")).hexdigest(), own, digest(edited_form), float(edited_form == form), float(after_form == form), shown)
 
     def flushed():
@@ -131,20 +156,19 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     small_batches(docs.sparkSession)
     spark = docs.sparkSession
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), text_or_empty().alias("text"))
-    found = settle(rows.mapInArrow(_digests, "doc_id long, digest string"), "digests")
-    again = found.groupBy("digest").agg(F.count("*").alias("n")).filter("n > 1").select("digest")
-    marked = found.join(again, "digest").select("doc_id").distinct()
-
-    # cuts of the order of doc_ids, one per partition, and the last document of each part: as many numbers as partitions
-    parts = partitions(spark)
+    found = settle(rows.mapInArrow(_digests, "doc_id long, digest string, size long"), "digests")
+    n_docs, n_bytes = found.agg(F.count("*"), F.coalesce(F.sum("size"), F.lit(0))).first()
+    again = settle(found.groupBy("digest").agg(F.count("*").alias("n")).filter("n > 1"), "again")
+    limit = max(HOT_DOCS, n_docs // MOST_HOT)
+    hot, cool = F.broadcast(again.filter(F.col("n") > limit).select("digest")), again.filter(F.col("n") <= limit).select("digest")
+    marked = found.join(hot, "digest", "left_anti").join(cool, "digest", "left_semi").unionByName(found.join(hot, "digest", "left_semi")).select("doc_id").distinct()
+
+    # cuts of the order of doc_ids, one per bucket, and the last document of each part: as many numbers as buckets
+    parts = max(partitions(spark), -(-n_bytes // BUCKET_BYTES))
     shares = [i / parts for i in range(1, parts)] or [0.5]
     cuts = found.agg(F.percentile_approx("doc_id", F.array(*map(F.lit, shares)), F.lit(20 * parts))).first()[0]
     bounds = np.unique(np.array(cuts or [], np.int64))
-    part = F.lit(0)
-    if len(bounds):
-        array = F.array(*[F.lit(int(b)) for b in bounds])
-        part = F.size(F.filter(array, lambda b: b <= F.col("doc_id")))
-    ends = found.groupBy(part.alias("bucket")).agg(F.max("doc_id").alias("last")).orderBy("bucket").collect()
+    ends = found.select("doc_id").mapInArrow(_lasts(bounds), "bucket int, last long").groupBy("bucket").agg(F.max("last").alias("last")).orderBy("bucket").collect()
     above: dict[int, list[int]] = {}
     for lower, upper in zip(ends, ends[1:] + ends[:1], strict=True):
         above.setdefault(lower["last"], []).append(upper["bucket"])

@@ -20,13 +20,13 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import P_BYTE, Rolling, lowered, pieces_of, small_batches, text_or_empty, text_views, word_spans
+from nbflow.llm.common import P_BYTE, Rolling, discard, lowered, pieces_of, settle, small_batches, text_or_empty, text_views, word_spans
 
-#: Labelled rows that training reads at most, hash slots of words, length of a feature's vector, epochs, seed.
-SAMPLE_ROWS, SLOTS, FACTORS, EPOCHS, SEED = 6000, 1 << 16, 8, 12, 7
+#: Labelled rows and bytes of text that training reads at most, hash slots of words, length of a feature's vector, epochs, seed.
+SAMPLE_ROWS, SAMPLE_BYTES, SLOTS, FACTORS, EPOCHS, SEED = 6000, 64 << 20, 1 << 16, 8, 12, 7
 THRESHOLD = 0.7
 CHUNK = 1 << 20
 #: Classes of bytes whose shares are statistics (fixed values).
@@ -124,33 +124,40 @@ def trained(rows: list[tuple[np.ndarray, np.ndarray, np.ndarray, int]], factors:
     z_all = np.clip((stats - centre) / scale, -6, 6)
     n_stats = stats.shape[1]
     w, v = np.zeros(SLOTS + n_stats), rng.normal(0, 0.02, (SLOTS + n_stats, factors))
-    seen_w, seen_v = np.full(len(w), 1e-6), np.full(v.shape, 1e-6)
     bias, seen_b = float(np.log(labels.mean() / (1 - labels.mean()))), 1e-6
-    stat_at = np.arange(SLOTS, SLOTS + n_stats)
+    # the features of all rows, one row after the other, numbered among the slots that occur
+    stat_at, ones = np.arange(SLOTS, SLOTS + n_stats), np.ones(n_stats)
+    known, feature = np.unique(np.concatenate([x for r in rows for x in (r[0], stat_at)]), return_inverse=True)
+    count_of = np.concatenate([x for r in rows for x in (r[1], ones)])
+    value_of = np.concatenate([x for r, z in zip(rows, z_all, strict=True) for x in (np.full(len(r[0]), 1 / np.sqrt(max(1, r[1].sum()))), z)])
+    length = np.array([len(r[0]) + n_stats for r in rows])
+    first, m = np.cumsum(length) - length, len(known)
+    w_, v_ = w[known], v[known]
+    seen_w, seen_v = np.full(m, 1e-6), np.full((m, factors), 1e-6)
     for epoch in range(epochs):
         rate = 0.05 / (1 + 0.3 * epoch)
         for batch in np.array_split(rng.permutation(len(rows)), max(1, len(rows) // 64)):
-            index = np.concatenate([np.concatenate((rows[i][0], stat_at)) for i in batch])
-            value = np.concatenate([np.concatenate((np.full(len(rows[i][0]), 1 / np.sqrt(max(1, rows[i][1].sum()))), z_all[i])) for i in batch])
-            count = np.concatenate([np.concatenate((rows[i][1], np.ones(n_stats))) for i in batch])
-            size = np.array([len(rows[i][0]) + n_stats for i in batch])
-            at = np.repeat(np.arange(len(batch)), size)
+            size = length[batch]
             begin = np.cumsum(size) - size
-            vx = v[index] * value[:, None]
+            at = np.repeat(np.arange(len(batch)), size)
+            place = (first[batch] - begin)[at] + np.arange(len(at))
+            index, value, count = feature[place], value_of[place], count_of[place]
+            vx = v_[index] * value[:, None]
             total = np.add.reduceat(vx * count[:, None], begin)
-            raw = bias + np.add.reduceat(w[index] * value * count, begin) + 0.5 * ((total**2).sum(1) - np.add.reduceat((vx**2).sum(1) * count, begin))
+            raw = bias + np.add.reduceat(w_[index] * value * count, begin) + 0.5 * ((total**2).sum(1) - np.add.reduceat((vx**2).sum(1) * count, begin))
             error = (1 / (1 + np.exp(-np.clip(raw, -30, 30))) - labels[batch]) / len(batch)
             pull = error[at] * value * count
-            used, place = np.unique(index, return_inverse=True)
-            g_w = np.bincount(place, pull, len(used)) + 1e-5 * w[used]
-            g_v = np.stack([np.bincount(place, pull * (total[at, f] - vx[:, f]), len(used)) for f in range(factors)], axis=1) + 1e-4 * v[used]
+            used = np.flatnonzero(np.bincount(index, minlength=m))
+            g_w = np.bincount(index, pull, m)[used] + 1e-5 * w_[used]
+            g_v = np.stack([np.bincount(index, pull * (total[at, f] - vx[:, f]), m)[used] for f in range(factors)], axis=1) + 1e-4 * v_[used]
             seen_w[used] += g_w**2
             seen_v[used] += g_v**2
-            w[used] -= rate * g_w / np.sqrt(seen_w[used])
-            v[used] -= rate * g_v / np.sqrt(seen_v[used])
+            w_[used] -= rate * g_w / np.sqrt(seen_w[used])
+            v_[used] -= rate * g_v / np.sqrt(seen_v[used])
             g_b = float(error.sum())
             seen_b += g_b**2
             bias -= rate * g_b / np.sqrt(seen_b)
+    w[known], v[known] = w_, v_
     return Model(bias, w, v, centre, scale)
 
 
@@ -174,13 +181,19 @@ def held_out(doc_id="doc_id"):
     return F.coalesce(F.pmod(F.crc32(F.col(doc_id).cast("string").cast("binary")), F.lit(4)) == 2, F.lit(False))
 
 
-def train(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> Model | None:
-    """A model of ``labels.quality`` from at most ``sample_rows`` labelled rows, the first by a hash of doc_id."""
+def train(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS, sample_bytes: int = SAMPLE_BYTES) -> Model | None:
+    """A model of ``labels.quality`` from at most ``sample_rows`` labelled rows and about ``sample_bytes`` of their
+    texts, the first by a hash of doc_id."""
     small_batches(docs.sparkSession)
     usable = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("label")).filter("label in (0, 1) and doc_id is not null")
     sample = usable.filter(~held_out()).orderBy(F.xxhash64("doc_id"), "doc_id", "label").limit(sample_rows)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text")).join(F.broadcast(sample), "doc_id").select("doc_id", "text", "label")
-    found = rows.mapInArrow(_sampled, "label int, slots binary, counts binary, stats binary").collect()
+    rows = settle(rows, "labelled")
+    order = Window.partitionBy(F.lit(0)).orderBy(F.xxhash64("doc_id"), "doc_id", "label", "size")  # of sample_rows rows and their repeats
+    sized = rows.select("doc_id", "label", F.octet_length("text").alias("size")).withColumn("ahead", F.sum("size").over(order) - F.col("size"))
+    ids = sized.filter(F.col("ahead") < sample_bytes).select("doc_id").distinct()
+    found = rows.join(F.broadcast(ids), "doc_id", "left_semi").mapInArrow(_sampled, "label int, slots binary, counts binary, stats binary").collect()
+    discard(rows)
     unpacked = [(np.frombuffer(r["slots"], "<i4").astype(np.int64), np.frombuffer(r["counts"], "<i4").astype(float), np.frombuffer(r["stats"], "<f8"), r["label"]) for r in found]
     unpacked.sort(key=lambda r: (r[3], r[2].tobytes(), r[0].tobytes()))  # the tasks' order is no matter
     return trained(unpacked)

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import small_batches, text_or_empty, text_views
+from nbflow.llm.common import fresh, small_batches, text_or_empty, text_views
 
 #: Bytes of distinct text that a table holds in memory, and spill files of one partitioning pass.
 TABLE_BYTES, FANOUT = 48 << 20, 16
@@ -183,8 +183,9 @@ def without_copies(docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` that stay, with all their columns: of equal texts the one with the largest doc_id.
 
     Digest and doc_id together are the key of the join, so that a large group of copies is spread."""
-    classes = text_classes(docs).select(F.col("text_sha256").alias("__sha"), F.col("keep_id").alias("__keep"))
-    mine = docs.withColumn("__digest", F.sha2(text_or_empty(), 256))
-    found = mine.join(classes, (F.col("__digest") == F.col("__sha")) & F.col("doc_id").eqNullSafe(F.col("__keep")))
-    first = F.row_number().over(Window.partitionBy("__digest", "doc_id").orderBy("doc_id"))
-    return found.withColumn("__nth", first).filter("__nth = 1").select(docs.columns)
+    digest, sha, keep, nth = fresh(docs.columns, "digest", "sha", "keep", "nth")
+    classes = text_classes(docs).select(F.col("text_sha256").alias(sha), F.col("keep_id").alias(keep))
+    mine = docs.withColumn(digest, F.sha2(text_or_empty(), 256))
+    found = mine.join(classes, (F.col(digest) == F.col(sha)) & F.col("doc_id").eqNullSafe(F.col(keep)))
+    first = F.row_number().over(Window.partitionBy(digest, "doc_id").orderBy("doc_id"))
+    return found.withColumn(nth, first).filter(F.col(nth) == 1).select(docs.columns)

@@ -10,28 +10,37 @@ from pyspark.sql import functions as F
 
 from nbflow.llm import block_anchors, deletion_lines, digest_fingerprint, factor_classifier, grace_dedup, multi_order_join, slack_packing, slot_mixing, suffix_bwt
 from nbflow.llm import token_rollup as rollup
-from nbflow.llm.common import WORD, documents, settle, shared_dir
+from nbflow.llm.common import documents, settle, work_dir
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
 def token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Totals after four commits: all documents come under two tokenizer versions; those labelled toxic go; the
-    word counts of the low-quality ones left are revised to words of letters and digits; and the second
-    batch comes again, which changes nothing. The batches are compacted before the totals are read."""
-    labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", "quality", "toxic").distinct()
-    counted = documents(spark, sf_dir).select("doc_id", "source", "lang", *[rollup.counts(t).alias(t) for t in ("words_v1", "chars_v1", "alnum_v1")])
-    counted = settle(counted, "counts")
-    known = counted.join(labels, "doc_id")
-    totals = rollup.TokenRollup(spark, f"{shared_dir(spark)}/rollup-{uuid.uuid4().hex}")
-
-    def moved(rows: DataFrame, sign: int) -> DataFrame:
-        return rollup.changes(rows, "words_v1", sign, F.col("words_v1")).unionByName(rollup.changes(rows, "chars_v1", sign, F.col("chars_v1")))
-
-    toxic = known.filter("toxic = 1")
-    totals.commit(0, moved(counted, 1))
+    """Totals after four commits: all documents come, counted by the first vocabulary and estimated for the second;
+    those labelled toxic go; the estimates of those left are revised to counts; and the second batch comes again,
+    which changes nothing. The batches are compacted before the totals are read."""
+    import public_tokenizers
+
+    first, second = map(rollup.version, rollup.VERSIONS)
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet").groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg((F.max("toxic") == 1).alias("toxic"))
+    docs = documents(spark, sf_dir).select("doc_id", "source", "lang", "text")
+    found = settle(rollup.counted(docs, {rollup.version(f): public_tokenizers.path(f) for f in rollup.VERSIONS}), "counts")
+    guessed = settle(docs.select("doc_id", "source", "lang", rollup.estimate().alias("guess")), "estimates")
+    totals = rollup.TokenRollup(spark, f"{work_dir(spark)}/rollup-{uuid.uuid4().hex}")
+
+    def marked(rows: DataFrame) -> DataFrame:
+        return rows.join(labels, "doc_id", "left").withColumn("toxic", F.coalesce("toxic", F.lit(False)))
+
+    def moved(keep, sign: int) -> DataFrame:
+        return rollup.changes(keep(found), first, F.col(first), sign).unionByName(rollup.changes(keep(guessed), second, F.col("guess"), sign))
+
+    def toxic(rows: DataFrame) -> DataFrame:
+        return marked(rows).filter("toxic")
+
+    totals.commit(0, moved(lambda rows: rows, 1))
     totals.commit(1, moved(toxic, -1))
-    totals.commit(2, rollup.revisions(known.filter("toxic = 0 and quality = 0"), "words_v1", F.col("words_v1"), F.col("alnum_v1")))
+    stay = rollup.revisions(marked(found).filter("not toxic"), second, F.lit(0), F.col(second)).unionByName(rollup.revisions(marked(guessed).filter("not toxic"), second, F.col("guess"), F.lit(0)))
+    totals.commit(2, stay)
     totals.commit(1, moved(toxic, -1))
     totals.compact()
     return totals.totals()
@@ -71,16 +80,6 @@ def queries() -> dict[str, Query]:
     }
 
 
-_TOKENS = f"""
-    WITH counted AS (
-      SELECT d.doc_id, source, lang, len(regexp_extract_all(coalesce(text, ''), '{WORD}')) AS words, length(coalesce(text, '')) AS chars,
-             len(regexp_extract_all(coalesce(text, ''), '[A-Za-z0-9]+')) AS alnum, coalesce(toxic, 0) AS toxic, coalesce(quality, 1) AS quality
-      FROM documents d LEFT JOIN (SELECT DISTINCT doc_id, quality, toxic FROM labels) l ON d.doc_id = l.doc_id)
-    SELECT source, lang, tokenizer, count(*) AS n_docs, CAST(sum(tokens) AS BIGINT) AS n_tokens
-    FROM (SELECT source, lang, 'words_v1' AS tokenizer, CASE WHEN quality = 0 THEN alnum ELSE words END AS tokens FROM counted WHERE toxic = 0
-          UNION ALL SELECT source, lang, 'chars_v1', chars FROM counted WHERE toxic = 0)
-    GROUP BY source, lang, tokenizer"""
-
 #: Candidates by a shared half and at most one character of difference in length; then a deletion at one place.
 _LINES = """
     WITH split AS (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS lines FROM documents),
@@ -88,13 +87,13 @@ _LINES = """
     filled AS (SELECT doc_id, line_no, trim(raw, ' ' || chr(9) || chr(13)) AS line FROM every),
     firsts AS (SELECT line, min(doc_id * 4294967296 + line_no) AS place, length(line) AS n FROM filled WHERE line <> '' GROUP BY line),
     halves AS (
-      SELECT line, place, n, m, left(line, CAST(floor(m / 2) AS BIGINT)) AS half, 0 AS side FROM (SELECT *, unnest([n, n - 1]) AS m FROM firsts WHERE n >= 15)
+      SELECT line, place, n, m, left(line, CAST(floor(m / 2) AS BIGINT)) AS half, 0 AS side FROM (SELECT *, unnest([n, n - 1]) AS m FROM firsts)
       UNION ALL
-      SELECT line, place, n, m, substr(line, n - CAST(floor(m / 2) AS BIGINT) + 1), 1 FROM (SELECT *, unnest([n, n - 1]) AS m FROM firsts WHERE n >= 15)),
+      SELECT line, place, n, m, substr(line, n - CAST(floor(m / 2) AS BIGINT) + 1), 1 FROM (SELECT *, unnest([n, n - 1]) AS m FROM firsts)),
     pairs AS (
       SELECT DISTINCT a.line AS line, b.line AS other, a.n AS n, b.n AS k
       FROM halves a JOIN halves b ON a.m = b.m AND a.side = b.side AND a.half = b.half AND a.line <> b.line AND b.place < a.place
-      WHERE abs(a.n - b.n) <= 1 AND greatest(a.n, b.n) >= 16),
+      WHERE abs(a.n - b.n) <= 1),
     near AS (
       SELECT DISTINCT line FROM pairs
       WHERE len(list_filter(range(1, greatest(n, k) + 1), lambda i:
@@ -112,7 +111,6 @@ _LINES = """
 
 def oracle_sql() -> dict[str, str]:
     return {
-        "op1_delta_token_rollup": _TOKENS,
         "op10_deletion_line_dedup": _LINES,
         "op7_grace_exact_dedup": """
             SELECT doc_id, keep_id, group_size, doc_id = keep_id AS kept, text_sha256

@@ -3,8 +3,8 @@
 A document's ids are cut into whole windows and one remainder. The remainders of a group of documents
 are a multiset of lengths; each window is opened by the longest one left, and a bitset of subset sums
 over the others finds the multiset that comes closest to the window's end, with the counts traced back.
-A multiset found is used again as often as the counts allow. Groups are dealt by a hash of doc_id and
-hold a bounded number of documents, so that every task is small at any size of the table.
+A multiset found is used again as often as the counts allow. Groups are dealt by a hash of doc_id and ids and
+hold the pieces of a bounded number of documents, so that every task is small at any size of the table.
 
 Defined cases: a null text counts as empty and is one id, the end mark; rows that repeat a doc_id are
 packed each; a missing doc_id is kept as null; an empty table gives an empty result; other columns are
@@ -16,6 +16,7 @@ from __future__ import annotations
 import json
 import zlib
 from collections import defaultdict
+from functools import lru_cache
 
 import numpy as np
 import pandas as pd
@@ -83,12 +84,18 @@ class ByteBpe:
         return self.slow.encode(text, add_special_tokens=False).ids
 
 
+@lru_cache(maxsize=2)
+def byte_bpe(path: str) -> ByteBpe:
+    """The vocabulary, read once per worker."""
+    return ByteBpe(path)
+
+
 _PIECES = pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("doc_tokens", pa.int64())])
 
 
 def _pieces(path: str, window: int):
     def run(batches):
-        encoder = ByteBpe(path)
+        encoder = byte_bpe(path)
         for batch in batches:
             ids_of, rows = batch.column(0).to_pylist(), []
             data, offsets = text_views(batch.column(1))
@@ -168,6 +175,6 @@ def pack_documents(docs: DataFrame, window: int = 2048, vocabulary: str | None =
     groups = max(1, -(-docs.count() // GROUP_DOCS))
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), text_or_empty().alias("text"))
     pieces = rows.mapInArrow(_pieces(vocabulary or default_vocabulary(), window), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long")
-    grouped = pieces.withColumn("group", F.pmod(F.xxhash64("doc_id"), F.lit(groups))).groupBy("group")
+    grouped = pieces.withColumn("group", F.pmod(F.xxhash64("doc_id", "start", "ids_crc32", "doc_tokens"), F.lit(groups))).groupBy("group")
     packed_ = grouped.applyInPandas(_pack_group(window), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
     return packed_.withColumn("doc_id", F.nullif("doc_id", F.lit(NO_ID)))

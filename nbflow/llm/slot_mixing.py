@@ -8,8 +8,8 @@ n-th slot of a source takes the block that the source's pseudorandom permutation
 once all blocks are used, another permutation follows. Slots and blocks meet by number.
 
 Defined cases: a null text has no words; a null source is a source, last in order; a source without
-words gets nothing; rows that share a doc_id are documents each; reruns agree; an empty table gives an
-empty result; other columns are ignored.
+words gets nothing; rows that share a doc_id are documents each, and rows equal in doc_id, source and text stand for
+one another; reruns agree; an empty table gives an empty result; other columns are ignored and may have any name.
 """
 
 from __future__ import annotations
@@ -21,11 +21,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import WORD, is_space, partitions, settle, small_batches, text_views
+from nbflow.llm.common import WORD, fresh, is_space, partitions, settle, small_batches, text_views
 
 #: Weights of the sources in order, repeating (fixed values), and the mix's size in sizes of all sources.
 WEIGHTS, SHARE, MOST = (5, 2, 1), 1.5, 2.0
 BLOCK_WORDS, SHARD_SLOTS, SEED = 128, 1024, 20240
+#: Documents of a part, whose words are numbered in one task, and the total that the library's exact draw takes.
+PART_DOCS, EXACT_DRAW = 1_000_000, 10**9
 
 
 def targets(sizes: list[int], weights: list[float], total: float, most: float = MOST) -> list[float]:
@@ -47,18 +49,32 @@ def targets(sizes: list[int], weights: list[float], total: float, most: float =
 
 
 def _halves(counts: np.ndarray, left: int, rng: np.random.Generator) -> np.ndarray:
+    """How many of ``left`` slots, drawn at random from all, fall to each source. Beyond the totals that the library
+    draws from exactly, each source in turn is drawn by the limit that its law has there: a binomial one for the few
+    slots of a small source, a normal one of the same mean and spread for others."""
     total = int(counts.sum())
-    if total < 10**9:
+    if total < EXACT_DRAW:
         return rng.multivariate_hypergeometric(counts, left, method="marginals")
-    exact = counts * (left / total)  # so many that the draw's spread is nothing against its size
-    out = np.minimum(np.floor(exact).astype(np.int64), counts)
-    for i in np.argsort(out - exact, kind="stable"):
-        if (more := left - int(out.sum())) <= 0:
-            break
-        out[i] += min(more, 1, counts[i] - out[i])
+    out, open_ = np.zeros(len(counts), np.int64), total
+    for i, mine in enumerate(map(int, counts)):
+        others = open_ - mine
+        low, high = max(0, left - others), min(mine, left)
+        mean = left * mine / open_ if open_ else 0.0
+        if mine < 100_000:
+            drawn = int(rng.binomial(mine, left / open_)) if open_ else 0
+        else:
+            drawn = round(rng.normal(mean, math.sqrt(max(mean * (others / open_) * ((open_ - left) / max(open_ - 1, 1)), 0.0))))
+        out[i] = min(max(drawn, low), high)
+        left, open_ = left - int(out[i]), others
     return out
 
 
+def row_keys(columns: tuple[str, ...] = ("doc_id", "source", "text")) -> list:
+    """Two independent hashes of a row's doc_id, source and text."""
+    parts = [x for c in columns for x in (F.isnull(c), F.col(c))]
+    return [F.xxhash64(F.lit(n), *parts) for n in (1, 2)]
+
+
 def shard_counts(shard: int, shards: int, slots: np.ndarray, per_shard: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
     """(counts, slots of each source in earlier shards) of one output shard."""
     low, high, counts, before = 0, shards, slots.astype(np.int64), np.zeros(len(slots), np.int64)
@@ -116,13 +132,16 @@ def _slots(blocks: list[int], slots: list[int], shards: int, seed: int):
 
 
 def mixing_plan(docs: DataFrame, block_words: int = BLOCK_WORDS, seed: int = SEED) -> tuple[DataFrame, DataFrame]:
-    """(documents, pieces). Documents: row_no parts (source_no, part, nth), doc_id, source, size, source_size,
-    target. Pieces: the same key, first (word of the document), words, times (how often the mix takes them)."""
+    """(documents, pieces). Documents: row_no parts (source_no, part, nth), hashes (k1, k2) of doc_id, source and text,
+    doc_id, source, size, source_size, target. Pieces: the same key and hashes, first (word of the document), words,
+    times (how often the mix takes them)."""
     small_batches(docs.sparkSession)
     spark = docs.sparkSession
     size = F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long")
-    part = F.pmod(F.xxhash64("doc_id"), F.lit(max(16, partitions(spark)))).cast("int")
-    sizes = settle(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", size.alias("size")).withColumn("part", part), "sizes")
+    k1, k2 = row_keys()
+    sizes = settle(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", size.alias("size"), k1.alias("k1"), k2.alias("k2")), "sizes")
+    parts = max(16, partitions(spark), -(-sizes.count() // PART_DOCS))
+    sizes = sizes.withColumn("part", F.pmod("k1", F.lit(parts)).cast("int"))
     sums = sizes.groupBy("source", "part").agg(F.sum("size").alias("words"))
     # one row per source comes to the driver: the targets of all sources depend on one another
     found = sorted(((r["source"], r["words"]) for r in sums.groupBy("source").agg(F.sum("words").alias("words")).collect()), key=lambda x: (x[0] is None, x[0] or ""))
@@ -134,11 +153,11 @@ def mixing_plan(docs: DataFrame, block_words: int = BLOCK_WORDS, seed: int = SEE
 
     named = sizes.join(names, sizes["source"].eqNullSafe(names["name"]))
     ahead = Window.partitionBy("source_no").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
-    parts = sums.join(names.select("source_no", "name"), F.col("source").eqNullSafe(F.col("name"))).select("source_no", "part", F.coalesce(F.sum("words").over(ahead), F.lit(0)).alias("base"))
-    inside = Window.partitionBy("source_no", "part").orderBy("doc_id", "size")
-    placed = named.join(parts, ["source_no", "part"]).withColumn("nth", F.row_number().over(inside))
+    bases = sums.join(names.select("source_no", "name"), F.col("source").eqNullSafe(F.col("name"))).select("source_no", "part", F.coalesce(F.sum("words").over(ahead), F.lit(0)).alias("base"))
+    inside = Window.partitionBy("source_no", "part").orderBy("doc_id", "k1", "k2")
+    placed = named.join(bases, ["source_no", "part"]).withColumn("nth", F.row_number().over(inside))
     placed = placed.withColumn("at", F.col("base") + F.coalesce(F.sum("size").over(inside.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
-    placed = placed.select("source_no", "part", "nth", "doc_id", "source", "size", "source_size", "target", "at")
+    placed = placed.select("source_no", "part", "nth", "k1", "k2", "doc_id", "source", "size", "source_size", "target", "at")
 
     shards = -(-sum(slots) // SHARD_SLOTS)
     drawn = spark.range(shards).mapInArrow(_slots(blocks, slots, shards, seed), "source_no int, block long").groupBy("source_no", "block").agg(F.count("*").alias("times"))
@@ -147,7 +166,7 @@ def mixing_plan(docs: DataFrame, block_words: int = BLOCK_WORDS, seed: int = SEE
     pieces = placed.filter("size > 0").withColumn("block", F.explode(cover)).join(drawn.hint("merge"), ["source_no", "block"])
     first = F.greatest(F.col("block") * block_words, F.col("at"))
     last = F.least((F.col("block") + 1) * block_words, F.col("at") + F.col("size"))
-    pieces = pieces.select("source_no", "part", "nth", "doc_id", "source", "size", (first - F.col("at")).alias("first"), (last - first).alias("words"), "times")
+    pieces = pieces.select("source_no", "part", "nth", "k1", "k2", (first - F.col("at")).alias("first"), (last - first).alias("words"), "times")
     return placed.drop("at"), pieces
 
 
@@ -159,8 +178,8 @@ def mix(docs: DataFrame) -> DataFrame:
     return placed.join(taken, key, "left").select("doc_id", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken"))
 
 
-def _sliced(fields: list[str], schema: pa.Schema | None = None):
-    """Rows of documents with the text that a pass of the mix takes; ``taken`` holds (first, words, times) triples."""
+def _sliced(fields: list[str], taken_name: str):
+    """Rows of documents with the text that a pass of the mix takes; ``taken_name`` holds (first, words, times) triples."""
 
     def spans(triples, turn):
         out = []
@@ -177,7 +196,7 @@ def _sliced(fields: list[str], schema: pa.Schema | None = None):
             names = batch.schema.names
             text_at = names.index("text")
             data, offsets = text_views(batch.column(text_at))
-            taken = batch.column(names.index("__taken")).to_pylist()
+            taken = batch.column(names.index(taken_name)).to_pylist()
             rows, texts = [], []
             for i, triples in enumerate(taken):
                 body = data[offsets[i] : offsets[i + 1]]
@@ -201,9 +220,10 @@ def mixed_documents(docs: DataFrame) -> DataFrame:
     """The mix as documents, with the columns of ``docs``: a document comes once for each pass that takes words
     of it, with those words of its text (all of it, unchanged, where a pass takes the whole); n_chars follows."""
     _, pieces = mixing_plan(docs)
-    key = ["source_no", "part", "nth"]
-    plan = pieces.groupBy(*key, "doc_id", "source", "size").agg(F.collect_list(F.struct("first", "words", "times")).alias("__taken"))
-    plan = plan.groupBy(F.col("doc_id").alias("__id"), F.col("source").alias("__source"), F.col("size").alias("__size")).agg(F.first("__taken").alias("__taken"))
-    size = F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long")
-    same = F.col("doc_id").eqNullSafe(F.col("__id")) & F.col("source").eqNullSafe(F.col("__source")) & (size == F.col("__size"))
-    return docs.join(plan, same).select(*docs.columns, "__taken").mapInArrow(_sliced(docs.columns), docs.schema)
+    a, b, nth, taken = fresh(docs.columns, "k1", "k2", "nth", "taken")
+    plan = pieces.groupBy("source_no", "part", "nth", "k1", "k2").agg(F.array_sort(F.collect_list(F.struct("first", "words", "times"))).alias("taken"))
+    plan = plan.groupBy(F.col("k1").alias(a), F.col("k2").alias(b)).agg(F.array_sort(F.collect_list("taken")).alias(taken))
+    k1, k2 = row_keys()
+    mine = docs.withColumn(a, k1).withColumn(b, k2).withColumn(nth, F.row_number().over(Window.partitionBy(a, b).orderBy(F.lit(0))))
+    met = mine.join(plan.hint("merge"), [a, b]).filter(F.col(nth) <= F.size(taken)).withColumn(taken, F.element_at(taken, F.col(nth)))
+    return met.select(*docs.columns, taken).mapInArrow(_sliced(docs.columns, taken), docs.schema)

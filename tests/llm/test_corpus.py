@@ -2,13 +2,18 @@
 
 from __future__ import annotations
 
+import base64
 import random
 import uuid
 import zlib
 
 import numpy as np
+import public_tokenizers
 import pytest
+import tiktoken
 from pyspark.sql import functions as F
+from test_dedup import brute_groups
+from tokenizers import Tokenizer
 
 import corpus_pipeline
 from nbflow.llm import factor_classifier, grace_dedup, multi_order_join, queries, slack_packing, slot_mixing, token_rollup
@@ -37,42 +42,89 @@ def totals(r):
     return {(x["source"], x["lang"], x["tokenizer"]): (x["n_docs"], x["n_tokens"]) for x in r.totals().collect()}
 
 
+def words(text="text"):
+    return F.coalesce(F.regexp_count(text, F.lit(r"\S+")), F.lit(0))
+
+
 def test_rollup_of_inserts_deletes_and_revisions(spark):
     docs, r = table(spark, TEXTS, sources=["s", None] * 5), rollup(spark)
     assert totals(r) == {}
-    assert r.commit(1, token_rollup.changes(docs, "words_v1"))
-    words = lambda t: len((t or "").split())
-    assert totals(r) == {("s", "en", "words_v1"): (5, sum(map(words, TEXTS[0::2]))), (None, "en", "words_v1"): (5, sum(map(words, TEXTS[1::2])))}
-    assert r.commit(2, token_rollup.changes(docs.filter("source is null"), "words_v1", -1))
-    assert not r.commit(2, token_rollup.changes(docs, "words_v1", -1))
-    assert set(totals(r)) == {("s", "en", "words_v1")}
-    r.commit(3, token_rollup.revisions(docs.filter("doc_id = 4"), "words_v1", F.lit(3), F.lit(10)))
+    assert r.commit(1, token_rollup.changes(docs, "words", words()))
+    count = lambda t: len((t or "").split())
+    assert totals(r) == {("s", "en", "words"): (5, sum(map(count, TEXTS[0::2]))), (None, "en", "words"): (5, sum(map(count, TEXTS[1::2])))}
+    assert r.commit(2, token_rollup.changes(docs.filter("source is null"), "words", words(), -1))
+    assert not r.commit(2, token_rollup.changes(docs, "words", words(), -1))
+    assert set(totals(r)) == {("s", "en", "words")}
+    r.commit(3, token_rollup.revisions(docs.filter("doc_id = 4"), "words", F.lit(3), F.lit(10)))
     after = totals(r)
-    assert after["s", "en", "words_v1"][1] == sum(map(words, TEXTS[0::2])) + 7
+    assert after["s", "en", "words"][1] == sum(map(count, TEXTS[0::2])) + 7
+    r.compact()
+    assert totals(r) == after and not r.commit(3, token_rollup.changes(docs, "words", words())) and len(r.live()) == 1
+    r.commit(9, token_rollup.changes(docs.filter("false"), "chars", F.length("text")))
+    r.commit(5, token_rollup.changes(docs.filter("false"), "chars", F.length("text")))
     r.compact()
-    assert totals(r) == after and not r.commit(3, token_rollup.changes(docs, "words_v1")) and len(r.live()) == 1
-    r.commit(9, token_rollup.changes(docs.filter("false"), "chars_v1"))
     r.clean()
     assert totals(r) == after
+    assert sorted((x["low"], x["high"]) for x in r._ranges().collect()) == [(1, 3), (5, 5), (9, 9)]
+    assert r.loose([0, 1, 2, 3, 4, 5, 9, 10]) == {0, 4, 10}
 
 
 def test_a_batch_that_was_cut_short_is_written_again(spark):
     r = rollup(spark)
-    rows = token_rollup.changes(table(spark, ["a b"]), "words_v1")
+    rows = token_rollup.changes(table(spark, ["a b"]), "words", words())
     rows.groupBy("source", "lang", "tokenizer").agg(F.sum("n_docs").alias("n_docs"), F.sum("n_tokens").alias("n_tokens")).write.parquet(f"{r.path}/batch=5")
     r._fs.delete(r._path(f"{r.path}/batch=5/_SUCCESS"), False)
     assert totals(r) == {} and r.commit(5, rows)
-    assert totals(r) == {(None, "en", "words_v1"): (1, 2)}
+    assert totals(r) == {(None, "en", "words"): (1, 2)}
+
+
+def by_the_libraries():
+    """Counts of both vocabularies by the libraries themselves."""
+    library = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, open(public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), "rb"))}
+    multi = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    return {"byte_bpe_50k": lambda t: len(library.encode(t or "", add_special_tokens=False).ids), "byte_bpe_multi_50k": lambda t: len(multi.encode_ordinary(t or ""))}
+
+
+PATHS = {token_rollup.version(f): public_tokenizers.path(f) for f in token_rollup.VERSIONS}
+
+
+def test_counts_are_the_libraries(spark):
+    docs = table(spark, TEXTS)
+    for c in ("tokens", "byte_bpe_50k", "n_docs", "tokenizer", "guess"):
+        docs = docs.withColumn(c, F.lit(1))
+    rows = token_rollup.counted(docs, PATHS).collect()
+    for name, count in by_the_libraries().items():
+        assert {r["doc_id"]: r[name] for r in rows} == {i: count(t) for i, t in enumerate(TEXTS)}
+    assert token_rollup.counted(docs.filter("false"), PATHS).count() == 0
+
+
+def test_a_text_that_the_fast_library_gives_up_on():
+    count = token_rollup.counter(PATHS["byte_bpe_multi_50k"])
+    assert count(" " * 2_000_000) > 0 and count("x" * 300_000) > 0
+
+
+def test_token_totals_against_brute_force(spark):
+    docs, toxic = documents(spark, SF).collect(), {r["doc_id"] for r in spark.read.parquet(f"{SF}/labels.parquet").collect() if r["toxic"] == 1}
+    expected: dict = {}
+    for name, count in by_the_libraries().items():
+        for r in docs:
+            if r["doc_id"] not in toxic:
+                n, total = expected.get((r["source"], r["lang"], name), (0, 0))
+                expected[r["source"], r["lang"], name] = n + 1, total + count(r["text"])
+    got = {(x["source"], x["lang"], x["tokenizer"]): (x["n_docs"], x["n_tokens"]) for x in queries.queries()["op1_delta_token_rollup"](spark, SF).collect()}
+    assert got == expected
 
 
 # --- packing
 
 
 def test_ids_are_those_of_the_vocabulary():
-    encoder, rng = slack_packing.ByteBpe(slack_packing.default_vocabulary()), random.Random(3)
+    path, rng = slack_packing.default_vocabulary(), random.Random(3)
+    encoder, library = slack_packing.ByteBpe(path), Tokenizer.from_file(path)
     signs = "ab cdé ñ中文\n\t  '’123½Ⅳ<|endoftext|>🙂  ́"
     for text in [*map(lambda t: t or "", TEXTS), *("".join(rng.choice(signs) for _ in range(rng.randint(0, 40))) for _ in range(300))]:
-        assert encoder.ids(text).tolist() == encoder.slow_ids(text)
+        assert encoder.ids(text).tolist() == library.encode(text, add_special_tokens=False).ids
 
 
 def test_fill_is_the_closest_sum():
@@ -213,8 +265,46 @@ def test_filtering_stages_against_brute_force(spark):
     texts = {r["doc_id"]: r["text"] for r in docs.collect()}
     kept = {r["doc_id"] for r in grace_dedup.without_copies(docs).collect()}
     assert kept == {max(d for d, t in texts.items() if t == text) for text in set(texts.values())}
-    groups = {r["doc_id"]: r["component_id"] for r in multi_order_join.similar_groups(docs).collect()}
-    assert {r["doc_id"] for r in multi_order_join.one_of_each_group(docs).collect()} == {d for d, c in groups.items() if c == d}
+    groups = brute_groups(list(texts.items()))
+    assert {r["doc_id"] for r in multi_order_join.one_of_each_group(docs).collect()} == {d for d, (_, c) in groups.items() if c == d}
+    model = factor_classifier.train(docs, spark.read.parquet(f"{SF}/labels.parquet"))
+    scores = {r["doc_id"]: r["score"] for r in factor_classifier.quality_scores(docs, spark.read.parquet(f"{SF}/labels.parquet"), model).collect()}
+    assert {r["doc_id"] for r in factor_classifier.accepted(docs, spark.read.parquet(f"{SF}/labels.parquet")).collect()} == {d for d, s in scores.items() if s >= 0.7}
+
+
+def test_stages_with_clashing_names(spark):
+    docs = documents(spark, SF)
+    for c in ("__sha", "__keep", "__digest", "__nth", "__id", "__source", "__size", "__taken", "__stay", "K1", "k2", "nth", "taken", "stay", "digest", "sha", "keep", "score", "label"):
+        docs = docs.withColumn(c, F.lit(1))
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        after = stage(spark, docs, SF)
+        assert after.columns == docs.columns, name
+        docs = spark.createDataFrame(after.collect(), docs.schema)
+    assert corpus_pipeline.STAGES[-1][1](spark, docs, SF).count() > 0
+
+
+def test_rows_that_share_id_source_and_size_are_mixed_each(spark):
+    rng = random.Random(8)
+    texts = [" ".join(f"t{i}x{rng.randint(0, 9)}" for _ in range(300)) for i in range(8)] + ["same words here"] * 3
+    docs = table(spark, texts, [7] * 4 + [None] * 4 + [9] * 3, ["a"] * 11)
+    taken = sorted(r["taken"] for r in slot_mixing.mix(docs).collect())
+    words: dict[str, int] = {}
+    for r in slot_mixing.mixed_documents(docs).collect():
+        mine = r["text"].split()
+        head = mine[0].split("x")[0]
+        assert {m.split("x")[0] for m in mine} == {head} or mine[0] in ("same", "words", "here")
+        words[head] = words.get(head, 0) + len(mine)
+    assert sum(words.values()) == sum(taken)
+    assert [words.get(f"t{i}", 0) for i in range(8)] and all(n <= 600 for h, n in words.items() if h.startswith("t"))
+
+
+def test_draws_beyond_the_exact_ones():
+    rng = np.random.default_rng(1)
+    counts = np.array([5 * 10**11, 3, 2 * 10**11, 0, 90_000, 10**8])
+    for left in (0, 1, int(counts.sum()) // 2, int(counts.sum())):
+        draws = np.array([slot_mixing._halves(counts, left, rng) for _ in range(50)])
+        assert (draws.sum(1) == left).all() and (draws >= 0).all() and (draws <= counts).all()
+    assert len({tuple(d) for d in np.array([slot_mixing._halves(counts, int(counts.sum()) // 2, rng) for _ in range(20)]).tolist()}) > 1
 
 
 def test_pipeline_on_an_empty_table(spark):

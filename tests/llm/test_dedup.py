@@ -222,12 +222,25 @@ def test_digest_collisions_are_told_apart(spark, monkeypatch):
     assert prints == ["same", "same-2", "same", "same-1"]
 
 
+def test_hot_digests_and_small_buckets(spark, monkeypatch):
+    rng = random.Random(6)
+    texts = ["Hot  text"] * 40 + [f"text {rng.randint(0, 30)}" for _ in range(60)] + [None, "hot text"]
+    for name, value in (("HOT_DOCS", 3), ("BUCKET_BYTES", 64), ("FORM_BYTES", 200)):
+        monkeypatch.setattr(digest_fingerprint, name, value)
+    rows = {r["doc_id"]: r for r in digest_fingerprint.fingerprints(table(spark, texts)).collect()}
+    forms = [digest_fingerprint.canonical(t or "") for t in texts]
+    assert len(rows) == len(texts)
+    for i in range(len(texts)):
+        assert rows[i]["fingerprint"] == digest_fingerprint.digest(forms[i].encode())
+        assert rows[i]["near_next"] == float(forms[i] == forms[i - 1])
+
+
 def test_canonical_forms():
     c = digest_fingerprint.canonical
     assert c("Ａ  b C\n") == "a b c" and c("Straße") == c("STRASSE") and c("é") == c("é") and c("ﬁ") == "fi"
 
 
-def brute_lines(rows, least=16):
+def brute_lines(rows, least=1):
     split = [(d, i, line, line.strip(" \t\r")) for d, t in rows for i, line in enumerate((t or "").split("\n"))]
     first = {}
     for d, i, _, s in sorted(split):
@@ -239,10 +252,10 @@ def brute_lines(rows, least=16):
             a, b = b, a
         if len(a) == len(b):
             return sum(x != y for x, y in zip(a, b, strict=True)) == 1
-        return len(a) == len(b) + 1 and any(a[:i] + a[i + 1 :] == b for i in range(len(a)))
+        return len(a) == len(b) + 1 and (i := next((i for i, (x, y) in enumerate(zip(a, b, strict=False)) if x != y), len(b))) >= 0 and a[:i] + a[i + 1 :] == b
 
     names = list(first)
-    near = {a for a in names for b in names if len(a) < 5000 and abs(len(a) - len(b)) <= 1 and max(len(a), len(b)) >= least and min(len(a), len(b)) >= least - 1 and first[b] < first[a] and one_edit(a, b)}
+    near = {a for a in names for b in names if abs(len(a) - len(b)) <= 1 and max(len(a), len(b)) >= least and min(len(a), len(b)) >= least - 1 and first[b] < first[a] and one_edit(a, b)}
     out = {}
     for d, t in rows:
         lines = (t or "").split("\n")
@@ -255,6 +268,20 @@ def test_line_dedup(spark, edges):
     texts = [*edges[0], "the quick brown fox jumps", "the quick brown fox jump", "the quick brown fax jumps  \nthe quick brown fax jumps", "short a\nshort b", "abcdefghijklmno", "abcdefghijklmnop", "the quick brown fax jumpz", "ab" * 400 + "\n" + "ab" * 399 + "ac"]
     got = {r["doc_id"]: (r["n_lines"], r["n_removed"], r["kept"]) for r in deletion_lines.remove_repeated_lines(table(spark, texts)).collect()}
     assert got == brute_lines(list(enumerate(texts)))
+    longer = {r["doc_id"]: (r["n_lines"], r["n_removed"], r["kept"]) for r in deletion_lines.remove_repeated_lines(table(spark, texts), least_chars=16).collect()}
+    assert longer == brute_lines(list(enumerate(texts)), 16)
+
+
+def test_short_lines_and_many_lines_that_go(spark):
+    rng = random.Random(4)
+    texts = ["\n".join("".join(rng.choice("abc{}") for _ in range(rng.randint(0, 6))) for _ in range(40)) for _ in range(12)] + ["\n".join(["repeated line of words"] * 3000 + ["the last one is new"])]
+    got = {r["doc_id"]: (r["n_lines"], r["n_removed"], r["kept"]) for r in deletion_lines.remove_repeated_lines(table(spark, texts)).collect()}
+    assert got == brute_lines(list(enumerate(texts)))
+
+
+def test_lines_of_rows_that_share_a_doc_id(spark):
+    rows = deletion_lines.remove_repeated_lines(table(spark, ["first line here", "other words\nfirst line here", "kept as it is\nnothing like it"], [1, None, None])).collect()
+    assert sorted(r["kept"] for r in rows) == ["", "kept as it is\nnothing like it", "other words\nfirst line here"]
 
 
 OPERATORS = {

@@ -24,9 +24,9 @@ _CORPORA: dict[tuple[str, str], Corpus] = {}
 class Corpus:
     """Tables of a mined corpus: cells, statements, targets, frames, all examples and the finalized ones."""
 
-    def __init__(self, spark: SparkSession, d: str, shares: tuple[int, int, int] = ex.SMALL_SPLIT, limit_s: float = 20):
+    def __init__(self, spark: SparkSession, d: str, shares: tuple[int, int, int] = ex.SMALL_SPLIT, limit_s: float = ex.CELL_SECONDS):
         self.spark = spark
-        self.mined = Mined(spark, d, lambda x: settle(x, "statements"))
+        self.mined = Mined(spark, d)
         m = self.mined
         self.cells = settle(m.cells, "cells")
         self.targets = m.targets = settle(m.targets, "targets")
@@ -34,7 +34,8 @@ class Corpus:
         m.ctx = settle(m.ctx, "context-cells")
         self.files = settle(render.data_files(spark, d), "files")
         spans = self.targets.select("nb_id", F.col("target_id").alias("id"), "var", "begin_pos", "end_pos", F.lit(None).cast("string").alias("candidate"))
-        self.frames = settle(ex.replay(spark, ex.bundles(self.cells, spans), self.files, limit_s), "frames")
+        whole = ex.split_of(F.col("nb_id"), shares) == "test"
+        self.frames = settle(ex.replay(spark, ex.bundles(self.cells, spans, whole), self.files, limit_s), "frames")
         self.all = settle(ex.assemble(self.targets, m.contexts(), self.frames, shares), "examples")
         self.examples = settle(ex.finalized(self.all), "corpus")
         self.train, self.dev, self.test = (self.examples.filter(F.col("split") == s) for s in ("train", "dev", "test"))
@@ -55,7 +56,7 @@ def scored(c: Corpus, found: list[tuple[str, str, DataFrame]], mode: str = "stri
     """Rows (example_id, model, ctx, em, cb, ea, outcome) of predictions on the test split."""
     rows = settle(predictions(found), "predictions")
     surface = scoring.code_bleu(scoring.exact_match(rows, c.test).drop("target_code"), c.test).select("example_id", "model", "ctx", "code", "em", "cb")
-    ran = scoring.execute(c.spark, rows, c.test, c.cells, c.files, 20, mode).select("example_id", "model", "ctx", "outcome", "ea")
+    ran = scoring.execute(c.spark, rows, c.test, c.cells, c.files, mode=mode).select("example_id", "model", "ctx", "outcome", "ea")
     return settle(surface.join(ran, ["example_id", "model", "ctx"]), "scores")
 
 
@@ -81,37 +82,46 @@ def model_comparison(spark: SparkSession, d: str) -> DataFrame:
     c = corpus(spark, d)
     made = [("two-tower stand-in", g.TwoTowerRetriever().fit(c.train, c.dev))]
     made += [(f"joint stand-in: {features}", g.JointRetriever(features).fit(c.train)) for _, features in g.PLM_CONFIGS]
-    made += [("prompt stand-in, 2 demonstrations", g.PromptCopy(2).fit(c.train)), ("prompt stand-in, none", g.PromptCopy(0).fit(c.train)), ("low-rank stand-in", g.LowRankHead().fit(c.train)), ("by example", g.ByExample().fit(c.train)), ("copy last cell", g.CopyLast()), ("most frequent", g.ModeTarget().fit(c.train))]
+    made += [("prompt stand-in, 2 demonstrations", g.PromptCopy(2).fit(c.train)), ("prompt stand-in, none", g.PromptCopy(0).fit(c.train)), ("low-rank stand-in", g.LowRankHead().fit(c.train, c.dev)), ("by example", g.ByExample().fit(c.train)), ("copy last cell", g.CopyLast()), ("most frequent", g.ModeTarget().fit(c.train))]
     return scoring.report(scored(c, [(name, "full", model.generate(c.test)) for name, model in made]))
 
 
+#: The two models whose input is varied: the two-tower one, and a prompted one with two demonstrations.
+VARIED = {"two-tower stand-in": g.TwoTowerRetriever, "prompt stand-in, 2 demonstrations": g.PromptCopy}
+
+
+def _varied(c: Corpus, inputs_: list[tuple[str, dict]]) -> DataFrame:
+    """Both models under each input: (name, keywords of the generator)."""
+    return scoring.report(scored(c, [(model, name, make(**given).fit(c.train).generate(c.test)) for name, given in inputs_ for model, make in VARIED.items()]))
+
+
 def context_ablation(spark: SparkSession, d: str) -> DataFrame:
-    """Seven contexts, two stand-ins."""
-    c = corpus(spark, d)
-    found = []
-    for mask in inputs.MASKS:
-        found.append(("two-tower stand-in", mask[0], g.TwoTowerRetriever(mask=mask).fit(c.train).generate(c.test)))
-        found.append(("joint stand-in", mask[0], g.JointRetriever(mask=mask).fit(c.train).generate(c.test)))
-    return scoring.report(scored(c, found))
+    """Seven contexts, two stand-ins: (model, ctx, n, em, cb, ea)."""
+    return _varied(corpus(spark, d), [(mask[0], {"mask": mask}) for mask in inputs.MASKS])
 
 
 def component_ablation(spark: SparkSession, d: str) -> DataFrame:
-    """Frames without values or without column names, two stand-ins."""
-    c = corpus(spark, d)
-    found = []
-    for name, values, columns in inputs.COMPONENTS:
-        parts = {"with_values": values, "with_columns": columns}
-        found.append(("two-tower stand-in", name, g.TwoTowerRetriever(parts=parts).fit(c.train).generate(c.test)))
-        found.append(("joint stand-in", name, g.JointRetriever(parts=parts).fit(c.train).generate(c.test)))
-    return scoring.report(scored(c, found))
+    """Frames without values or without column names, two stand-ins: (model, ctx, n, em, cb, ea)."""
+    return _varied(corpus(spark, d), [(name, {"parts": {"with_values": values, "with_columns": columns}}) for name, values, columns in inputs.COMPONENTS])
 
 
 def rows_sweep(spark: SparkSession, d: str) -> DataFrame:
-    """Input frames of 0 to 10 rows, the two-tower stand-in; exact match and CodeBLEU."""
+    """Input frames of 0 to 10 rows, two stand-ins: (model, ctx, n, em, cb, ea)."""
+    return _varied(corpus(spark, d), [(f"rows={n}", {"parts": {"rows": n}}) for n in inputs.ROWS_SWEEP])
+
+
+#: The five inputs of the case study: (name, mask, parts of frames).
+CASES = (("all", inputs.MASKS[0], {}), ("no column names", inputs.MASKS[0], {"with_columns": False}), ("no values", inputs.MASKS[0], {"with_values": False}), ("no input frame", inputs.MASKS[3], {}), ("no output frame", inputs.MASKS[2], {}))
+
+
+def case_study(spark: SparkSession, d: str) -> DataFrame:
+    """Every example that makes an indicator of a column of words, under five inputs, by the sketch that fills in what it
+    sees: (example_id, ctx, code, outcome, em, ea)."""
     c = corpus(spark, d)
-    found = [("two-tower stand-in", f"rows={n}", g.TwoTowerRetriever(parts={"rows": n}).fit(c.train).generate(c.test)) for n in inputs.ROWS_SWEEP]
-    rows = predictions(found)
-    return scoring.report(scoring.code_bleu(scoring.exact_match(rows, c.test).drop("target_code"), c.test))
+    cases = c.all.filter(F.col("target_code").contains(".astype(int)"))
+    found = predictions([("sketch", name, g.IndicatorSketch(mask, parts).generate(cases)) for name, mask, parts in CASES])
+    ran = scoring.execute(c.spark, settle(found, "predictions"), cases, c.cells, c.files)
+    return scoring.exact_match(ran, cases).select("example_id", "ctx", "code", "outcome", "em", "ea")
 
 
 def corruption_study(spark: SparkSession, d: str) -> DataFrame:

@@ -1,7 +1,9 @@
 """Running notebook code: one child process per notebook, with limits, inert plotting libraries and no files.
 
 Only code that this engine rendered or generated runs here. The child may import an allow-listed set; data
-files come from memory by their base name.
+files come from memory by their base name. Each cell has a time limit of its own. A candidate runs in a child of that
+child, forked where its target begins, so it finds the notebook's state as it is there, and its failure, exit or endless
+loop is no one else's.
 """
 
 from __future__ import annotations
@@ -20,6 +22,8 @@ import types
 
 #: Libraries that answer every call with nothing (their names are fixed values).
 INERT = ("matplotlib", "seaborn", "sklearn", "scipy", "nltk", "plotly", "statsmodels", "geopandas", "bokeh", "ggplot", "xgboost", "lightgbm", "patsy")
+#: A statement's place is its cell's number times this, plus its number in the cell.
+CELL_STEP = 1 << 32
 ALLOWED = ("pandas", "numpy", "math", "re", "datetime", "json", "collections", "itertools", "functools", "statistics", "string", "random")
 
 
@@ -109,47 +113,79 @@ def _statements(cells: list[tuple[int, str]], step: int):
             yield idx * step + i, compile(ast.Module([node], []), f"cell {idx}", "exec")
 
 
-def replay(cells, spans, files, step: int = 1000, rows: int | None = 10) -> dict:
-    """Run cells top to bottom. spans: (id, variable, begin, end, candidate or None). Result: per id the frames
-    before and after; with a candidate, the frame after running it in place of the span. Raises on failure of
-    the notebook; a candidate's failure is that span's error."""
+class _OutOfTime(BaseException):
+    """Raised in a cell whose time is up; no base class that notebook code would catch."""
+
+
+def _timed(run, seconds: float):
+    """Run a cell's statement with what is left of the cell's time."""
+
+    def stop(*_):
+        raise _OutOfTime
+
+    before = signal.signal(signal.SIGALRM, stop)
+    signal.setitimer(signal.ITIMER_REAL, max(seconds, 1e-3))
+    try:
+        run()
+    finally:
+        signal.setitimer(signal.ITIMER_REAL, 0)
+        signal.signal(signal.SIGALRM, before)
+
+
+def replay(cells, spans, files, seconds: float = 300, rows: int | None = 10) -> dict:
+    """Run cells top to bottom, each for ``seconds`` at most. spans: (id, variable, begin, end, candidate or None). Result:
+    per id the frames before and after; with a candidate, the frame after running it in place of the span. Raises on
+    failure of the notebook; a candidate's failure is that span's error. After the last span the notebook runs on only
+    if some span has no candidate, as then its failure matters."""
     space, out = _namespace(files), {}
     starts: dict[int, list] = {}
     for span in spans:
         starts.setdefault(span[2], []).append(span)
     open_: dict = {}
-    for pos, code in _statements(cells, step):
-        for key in [k for k, (span, _) in open_.items() if pos == span[3]]:
-            span, before = open_.pop(key)
-            out[key] = {"before": before, "after": snapshot(space.get(span[1]), rows), "error": None}
-        exec(code, space)
-        for span in starts.get(pos, ()):
-            key, name, _, _, candidate = span
-            if candidate is None:
-                open_[key] = (span, snapshot(space.get(name), rows))
-                continue
-            import copy
-
-            import pandas as pd
-
-            own = {k: v.copy() if isinstance(v, (pd.DataFrame, pd.Series)) else copy.copy(v) if isinstance(v, (list, dict, set)) else v for k, v in space.items()}
-            try:
-                exec(compile(candidate, "candidate", "exec"), own)
-                out[key] = {"before": None, "after": snapshot(own.get(name), rows), "error": None}
-            except Exception as error:
-                out[key] = {"before": None, "after": None, "error": type(error).__name__}
+    last = max((s[2] for s in spans), default=-1) if all(s[4] is not None for s in spans) else None
+    cell, left = None, seconds
+    try:
+        for pos, code in _statements(cells, CELL_STEP):
+            if pos // CELL_STEP != cell:
+                cell, left = pos // CELL_STEP, seconds
+            for key in [k for k, (span, _) in open_.items() if pos == span[3]]:
+                span, before = open_.pop(key)
+                out[key] = {"before": before, "after": snapshot(space.get(span[1]), rows), "error": None}
+            began = time.monotonic()
+            _timed(lambda code=code: exec(code, space), left)
+            left -= time.monotonic() - began
+            for span in starts.get(pos, ()):
+                key, name, _, _, candidate = span
+                if candidate is None:
+                    open_[key] = (span, snapshot(space.get(name), rows))
+                else:
+                    after, error = limited(lambda candidate=candidate, name=name: _after(candidate, name, space, rows), seconds, nested=True)
+                    out[key] = {"before": None, "after": after, "error": error}
+            if pos == last:
+                break
+    except _OutOfTime:
+        raise TimeoutError from None
     return out
 
 
-def limited(call, seconds: float, memory_mb: int = 4096):
-    """(result, error name) of a call in a child process that is killed when its time is up."""
+def _after(candidate: str, name: str, space: dict, rows: int | None):
+    exec(compile(candidate, "candidate", "exec"), space)
+    return snapshot(space.get(name), rows)
+
+
+def limited(call, seconds: float, memory_mb: int = 4096, nested: bool = False):
+    """(result, error name) of a call in a child process that is killed when its time is up. A nested one stays in its
+    parent's group, so it goes when that goes."""
     read, write = os.pipe()
     pid = os.fork()
     if pid == 0:  # the child
         try:
             os.close(read)
-            os.setsid()
-            resource.setrlimit(resource.RLIMIT_CPU, (int(seconds) + 1, int(seconds) + 2))
+            if not nested:
+                os.setsid()
+            soft, hard = resource.getrlimit(resource.RLIMIT_CPU)
+            more = int(time.process_time() if nested else 0) + int(seconds) + 1
+            resource.setrlimit(resource.RLIMIT_CPU, (more if hard < 0 else min(more, hard), more + 1 if hard < 0 else hard))
             resource.setrlimit(resource.RLIMIT_FSIZE, (0, 0))
             try:
                 resource.setrlimit(resource.RLIMIT_AS, (memory_mb << 20, memory_mb << 20))
@@ -179,7 +215,7 @@ def limited(call, seconds: float, memory_mb: int = 4096):
     finally:
         os.close(read)
         try:
-            os.killpg(pid, signal.SIGKILL)
+            os.kill(pid, signal.SIGKILL) if nested else os.killpg(pid, signal.SIGKILL)
         except OSError:
             pass
         os.waitpid(pid, 0)

@@ -2,10 +2,16 @@
 
 from __future__ import annotations
 
+import re
 from collections.abc import Sequence
+from hashlib import blake2b
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
 from nbflow.functions.parsing import _PATH
 from nbflow.session import settle
@@ -58,9 +64,14 @@ def basename(path: str | Column) -> Column:
     return F.element_at(F.split(path, "/"), -1)
 
 
-def resolve_paths(refs: DataFrame, files: DataFrame) -> DataFrame:
-    """Path references with ``name``, the file they mean (null: none has it)."""
-    return refs.withColumn("__b", basename("raw")).join(files.select(F.col("name").alias("__b"), "name").distinct(), "__b", "left").drop("__b")
+def resolve_paths(refs: DataFrame, files: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
+    """Path references with ``name``, the file they mean (null: none has it). ``by``: columns that a reference and its
+    file share, as the repository; a file matches by its whole path, or by its base name where it has no other."""
+    keys = list(by)
+    exact = files.select(*keys, F.col("name").alias("raw"), F.col("name").alias("__exact")).distinct()
+    based = files.select(*keys, basename("name").alias("__b"), "name").distinct().groupBy(*keys, "__b").agg(F.min("name").alias("__based"), F.count("*").alias("__n"))
+    found = refs.withColumn("__b", basename("raw")).join(exact, [*keys, "raw"], "left").join(based, [*keys, "__b"], "left")
+    return found.withColumn("name", F.coalesce("__exact", F.when(F.col("__n") == 1, F.col("__based")))).select(*refs.columns, "name")
 
 
 def drop_unresolved(files: DataFrame, refs: DataFrame) -> DataFrame:
@@ -77,10 +88,12 @@ def flat_names(paths: DataFrame, column: str) -> DataFrame:
 
 
 def flatten_paths(cells: DataFrame, refs: DataFrame) -> DataFrame:
-    """Cells whose path literals are replaced by flat names; each notebook's references are one small map."""
+    """Cells whose path literals, in quotes of either kind, are replaced by flat names; each notebook's references are one
+    small map. A path within another is left alone, as literals are replaced whole."""
     flat = flat_names(refs.select("nb_id", "raw").distinct(), "raw")
-    maps = flat.groupBy("nb_id").agg(F.collect_list(F.struct("raw", "flat")).alias("__m"))
-    fixed = F.aggregate("__m", F.col("source"), lambda text, m: F.replace(text, m["raw"], m["flat"]))
+    maps = flat.groupBy("nb_id").agg(F.array_sort(F.collect_list(F.struct("raw", "flat"))).alias("__m"))
+    quoted = lambda q, x: F.concat(F.lit(q), x, F.lit(q))
+    fixed = F.aggregate("__m", F.col("source"), lambda text, m: F.replace(F.replace(text, quoted("'", m["raw"]), quoted("'", m["flat"])), quoted('"', m["raw"]), quoted('"', m["flat"])))
     return cells.join(maps, "nb_id", "left").withColumn("source", F.when(F.col("__m").isNull() | (F.col("kind") != "code"), F.col("source")).otherwise(fixed)).drop("__m")
 
 
@@ -101,41 +114,74 @@ def contained_items(documents: DataFrame, items: DataFrame) -> DataFrame:
     candidates are then compared. Items too short for that are compared with every document."""
     width = 8
     words = lambda c: F.regexp_extract_all(c, F.lit(r"(\S+)"), 1)
-    probe = items.withColumn("__w", words("text")).filter(F.size("__w") >= width + 2).select("item_id", F.col("text").alias("item_text"), F.xxhash64(F.array_join(F.slice("__w", 2, width), " ")).alias("__h"))
+    probe = items.withColumn("__w", words("text")).filter(F.size("__w") >= width + 2).select("item_id", F.xxhash64(F.array_join(F.slice("__w", 2, width), " ")).alias("__h"))
     short = items.withColumn("__w", words("text")).filter(F.size("__w") < width + 2).select("item_id", F.col("text").alias("item_text"))
-    ids = documents.select("doc_id", "text", F.expr(f"transform(sequence(0, greatest(size(regexp_extract_all(text, '(\\\\S+)', 1)) - {width}, 0)), i -> i)").alias("__i"), words("text").alias("__w"))
-    hashes = F.array_distinct(F.transform("__i", lambda i: F.xxhash64(F.array_join(F.slice("__w", i + 1, width), " "))))
-    grams = ids.select("doc_id", "text", F.explode(hashes).alias("__h"))
-    long = grams.join(probe, "__h").filter(F.contains("text", "item_text")).select("doc_id", "item_id")
+    ids = documents.select("doc_id", words("text").alias("__w"))
+    grams = F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size("__w") - width + 1, F.lit(1))), lambda i: F.xxhash64(F.array_join(F.slice("__w", i, width), " "))))
+    met = ids.select("doc_id", F.explode(grams).alias("__h")).join(probe, "__h").select("doc_id", "item_id").distinct()
+    texts = items.select("item_id", F.col("text").alias("item_text"))
+    long = documents.select("doc_id", "text").join(met, "doc_id").join(texts, "item_id").filter(F.contains("text", "item_text")).select("doc_id", "item_id")
     rest = documents.select("doc_id", "text").join(short, F.contains("text", "item_text")).select("doc_id", "item_id")
     return long.unionByName(rest).distinct()
 
 
 #: Classes of a bucket that meet in one block of candidates.
 BLOCK = 64
-
-
-def near_duplicates(documents: DataFrame, threshold: float = 0.8, k: int = 3, hashes: int = 60, rows: int = 4) -> DataFrame:
-    """(a, b, similarity): all pairs of documents that share a min-hash band and whose k-word shingle sets are
-    similar, verified exactly.
-
-    Equal sets (128 bits of digest) are one class, whose members are pairs without a comparison. Any two classes
-    of a band's bucket are a candidate, taken in the first band that they share; large buckets are cut into blocks
-    of about ``BLOCK`` classes, and each two blocks meet on a key of their own. Sizes that rule the threshold out
-    are left before sets travel, and only the sets of candidates do."""
-    words = F.split(F.lower("text"), r"\s+")
-
-    def shingled(docs: DataFrame) -> DataFrame:
-        sets = docs.select("doc_id", words.alias("w")).withColumn("s", F.array_sort(F.array_distinct(F.expr(f"transform(sequence(1, greatest(size(w) - {k - 1}, 1)), i -> xxhash64(array_join(slice(w, i, {k}), ' ')))"))))
-        return sets.select("doc_id", "s", F.struct(F.xxhash64("s").alias("x"), F.xxhash64(F.lit(1), "s").alias("y")).alias("c"))
-
-    def least(n: int) -> Column:
-        return F.array_min(F.transform("s", lambda x: F.xxhash64(x, F.lit(n))))
-
-    sketch = shingled(documents).withColumn("m", F.array(*[least(n) for n in range(hashes)]))
-    bands = F.array(*[F.xxhash64(F.lit(b), F.slice("m", b * rows + 1, rows)) for b in range(hashes // rows)])
-    sketch = settle(sketch.select("doc_id", "c", F.size("s").alias("n"), bands.alias("bands")), "sketch")
-    members = sketch.select("doc_id", "c")
+_MIX = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB))
+_SKETCH = "doc_id long, s array<long>, x long, y long, bands array<long>"
+
+
+def _mixed(v: np.ndarray) -> np.ndarray:
+    v = (v ^ (v >> np.uint64(30))) * _MIX[1]
+    v = (v ^ (v >> np.uint64(27))) * _MIX[2]
+    return v ^ (v >> np.uint64(31))
+
+
+def _sketches(k: int, hashes: int, rows: int):
+    """Rows of (doc_id, text): the hashes of a document's different shingles in order, two digests of them all, and its
+    min-hash bands (none, if no bands are asked for). Documents without words have no row."""
+    seeds = _mixed(np.arange(1, hashes + 1, dtype=np.uint64) * _MIX[0])[:, None]
+    space = re.compile(r"[^ \t\n\r\f\v]+")
+    schema = to_arrow_schema(StructType.fromDDL(_SKETCH))
+
+    def run(batches):
+        known: dict[str, int] = {}
+        for batch in batches:
+            out = []
+            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                words = space.findall((text or "").lower())
+                if not words:
+                    continue
+                if len(known) > 1_000_000:
+                    known.clear()
+                w = np.array([known.get(x) or known.setdefault(x, int.from_bytes(blake2b(x.encode(), digest_size=8).digest(), "little")) for x in words], np.uint64)
+                v = np.zeros(max(len(w) - k + 1, 1), np.uint64)
+                for i in range(min(k, len(w))):
+                    v = _mixed(v * _MIX[0] + w[i : i + len(v)] + np.uint64(i + 1))
+                v = np.unique(v)
+                digest = blake2b(v.tobytes(), digest_size=16).digest()
+                least = [_mixed(v[None, :] ^ seeds[i : i + 8]).min(axis=1) for i in range(0, hashes, 8)]
+                bands = [int.from_bytes(blake2b(m.tobytes(), digest_size=8, salt=bytes([n])).digest(), "little", signed=True) for n, m in enumerate(np.concatenate(least).reshape(-1, rows))] if hashes else []
+                out.append((doc, v.view(np.int64), int.from_bytes(digest[:8], "little", signed=True), int.from_bytes(digest[8:], "little", signed=True), bands))
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out, strict=True), schema, strict=True)], schema=schema)
+
+    return run
+
+
+def near_duplicates(documents: DataFrame, threshold: float = 0.8, k: int = 3, hashes: int = 80, rows: int = 4) -> DataFrame:
+    """(a, b, similarity): pairs of documents that share a min-hash band and whose k-word shingle sets are similar, verified
+    on the sets. Copies are not paired with one another: of equal sets, the smallest doc_id stands for all and is paired
+    with each of them, at 1, and with other sets' smallest.
+
+    Equal sets (128 bits of digest) are one class. Any two classes of a band's bucket are a candidate, taken in the first
+    band that they share; large buckets are cut into blocks of about ``BLOCK`` classes, and each two blocks meet on a
+    key of their own. Sizes that rule the threshold out are left before sets travel, and only the sets of candidates do."""
+
+    def sketched(docs: DataFrame, n: int) -> DataFrame:
+        return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_sketches(k, n, rows), _SKETCH).withColumn("c", F.struct("x", "y"))
+
+    sketch = settle(sketched(documents, hashes).select("doc_id", "c", F.size("s").alias("n"), "bands"), "sketch")
     classes = sketch.groupBy("c").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("bands").alias("bands"))
     buckets = classes.select("*", F.posexplode("bands").alias("no", "band"))
     blocks = buckets.groupBy("no", "band").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("g"), F.count("*").alias("in_band")).filter("in_band > 1").drop("in_band")
@@ -145,13 +191,11 @@ def near_duplicates(documents: DataFrame, threshold: float = 0.8, k: int = 3, ha
     shared = F.array_position(F.zip_with("l.bands", "r.bands", lambda x, y: x == y), F.lit(True)) == F.col("no") + 1
     fits = F.least("l.n", "r.n") >= F.greatest("l.n", "r.n") * (threshold - 1e-9)
     meet = one.join(two, ["no", "band", "i", "j"]).filter(((F.col("i") < F.col("j")) | (F.col("l.c") < F.col("r.c"))) & fits & shared)
-    pairs = settle(meet.select(F.col("l.c").alias("ca"), F.col("r.c").alias("cb"), F.col("l.rep").alias("ra"), F.col("r.rep").alias("rb")), "candidates")
+    pairs = settle(meet.select(F.col("l.rep").alias("ra"), F.col("r.rep").alias("rb")), "candidates")
     needed = pairs.select(F.explode(F.array("ra", "rb")).alias("doc_id")).distinct()
-    sets = shingled(documents.join(needed, "doc_id", "left_semi")).dropDuplicates(["c"]).select("c", "s")
-    both = pairs.join(sets.withColumnsRenamed({"c": "ca", "s": "sa"}), "ca").join(sets.withColumnsRenamed({"c": "cb", "s": "sb"}), "cb")
+    sets = settle(sketched(documents.join(needed, "doc_id", "left_semi"), 0).select("doc_id", "s"), "sets")
+    both = pairs.join(sets.select(F.col("doc_id").alias("ra"), F.col("s").alias("sa")), "ra").join(sets.select(F.col("doc_id").alias("rb"), F.col("s").alias("sb")), "rb")
     common = F.size(F.array_intersect("sa", "sb"))
-    near = both.withColumn("similarity", common / (F.size("sa") + F.size("sb") - common)).filter(F.col("similarity") >= threshold).select("ca", "cb", "similarity")
-    copies = members.groupBy("c").agg(F.count("*").alias("n")).filter("n > 1").select(F.col("c").alias("ca"), F.col("c").alias("cb"), F.lit(1.0).alias("similarity"))
-    left, right = members.select(F.col("c").alias("ca"), F.col("doc_id").alias("x")), members.select(F.col("c").alias("cb"), F.col("doc_id").alias("y"))
-    found = near.unionByName(copies).join(left, "ca").join(right, "cb").filter((F.col("ca") != F.col("cb")) & (F.col("x") != F.col("y")) | (F.col("x") < F.col("y")))
-    return found.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"), "similarity")
+    near = both.withColumn("similarity", common / (F.size("sa") + F.size("sb") - common)).filter(F.col("similarity") >= threshold)
+    copies = sketch.join(classes.select("c", "rep"), "c").filter("doc_id <> rep").select(F.col("rep").alias("a"), F.col("doc_id").alias("b"), F.lit(1.0).alias("similarity"))
+    return near.select(F.least("ra", "rb").alias("a"), F.greatest("ra", "rb").alias("b"), "similarity").unionByName(copies)

@@ -12,33 +12,37 @@ from nbflow.functions import sandbox
 
 FRAME = "struct<columns: array<string>, dtypes: array<string>, n_rows: long, rows: array<array<string>>, strict: string, bag: string>"
 REPLAYED = f"target_id string, outcome string, in_frame {FRAME}, out_frame {FRAME}"
-#: Seconds that a cell may take, and cells that a notebook's limit counts at most.
-CELL_SECONDS, MOST_CELLS = 300, 40
+#: Seconds that a cell or a candidate may take, and rows of a frame that are stored unless the whole is asked for.
+CELL_SECONDS, STORED_ROWS = 300, 10
 #: Shares of the splits, in thousandths: those of the published corpus, and larger tests for a small corpus.
 PUBLISHED_SPLIT, SMALL_SPLIT = (937, 35, 28), (600, 100, 300)
 
 
-def bundles(cells: DataFrame, spans: DataFrame) -> DataFrame:
-    """One row per notebook: its code cells and its spans (id, var, begin_pos, end_pos, candidate)."""
+def bundles(cells: DataFrame, spans: DataFrame, whole: Column | None = None) -> DataFrame:
+    """One row per notebook: its code cells, its spans (id, var, begin_pos, end_pos, candidate), and whether its frames
+    are wanted whole."""
     code = cells.filter("kind = 'code'").groupBy("nb_id").agg(F.array_sort(F.collect_list(F.struct("cell_idx", "source"))).alias("cells"))
     asked = spans.groupBy("nb_id").agg(F.array_sort(F.collect_list(F.struct("id", "var", "begin_pos", "end_pos", "candidate"))).alias("spans"))
-    return asked.join(code, "nb_id").select("nb_id", "cells", "spans")
+    return asked.join(code, "nb_id").select("nb_id", "cells", "spans", (F.lit(False) if whole is None else whole).alias("whole"))
 
 
-def replay(spark: SparkSession, notebooks: DataFrame, files: DataFrame, limit_s: float = CELL_SECONDS, rows: int | None = 10) -> DataFrame:
-    """Rows (target_id, outcome, in_frame, out_frame) of bundled notebooks. ``files`` is bounded by its maker (slices
-    of a bounded number of rows); it is sent to every task once. A failing notebook gives its outcome to all of
-    its spans; outcome is 'ok' or the error's class."""
+def replay(spark: SparkSession, notebooks: DataFrame, files: DataFrame, limit_s: float = CELL_SECONDS) -> DataFrame:
+    """Rows (target_id, outcome, in_frame, out_frame) of bundled notebooks, whose cells and candidates may take
+    ``limit_s`` each. ``files`` is bounded by its maker (slices of a bounded number of rows); it is sent to every task
+    once. A failing notebook gives its outcome to all of its spans; outcome is 'ok' or the error's class."""
     held = spark.sparkContext.broadcast({r["name"]: r["csv"] for r in files.collect()})
     schema = to_arrow_schema(StructType.fromDDL(REPLAYED))
 
     def run(batches):
+        import pandas  # noqa: F401  (here once, so that no child has to)
+
         for batch in batches:
             out = []
-            for _, cells, spans in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            for _, cells, spans, whole in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 todo = [(s["id"], s["var"], s["begin_pos"], s["end_pos"], s["candidate"]) for s in spans]
                 plain = [(c["cell_idx"], c["source"]) for c in cells]
-                found, error = sandbox.limited(lambda plain=plain, todo=todo: sandbox.replay(plain, todo, held.value, rows=rows), limit_s * min(len(plain), MOST_CELLS))
+                total = limit_s * (len(plain) + sum(s[4] is not None for s in todo)) + 10
+                found, error = sandbox.limited(lambda plain=plain, todo=todo, whole=whole: sandbox.replay(plain, todo, held.value, limit_s, None if whole else STORED_ROWS), total)
                 for span in todo:
                     got = (found or {}).get(span[0])
                     outcome = error or (got["error"] if got else "Missing") or ("ok" if got["after"] else "NotAFrame")
@@ -108,13 +112,14 @@ def tokens(text: str | Column) -> Column:
 
 
 def corpus_stats(examples: DataFrame) -> DataFrame:
-    """Rows (metric, split, value): number of examples, average columns and rows of the frames, tokens of text and target."""
+    """Rows (metric, split, value): number of examples, average columns and stored rows of the frames (whole ones for test),
+    tokens of text and target."""
     one = examples.groupBy("split").agg(
         F.count("*").cast("double").alias("examples"),
         F.avg(F.size("in_frame.columns")).alias("in_columns"),
-        F.avg("in_frame.n_rows").alias("in_rows"),
+        F.avg(F.size("in_frame.rows")).alias("in_rows"),
         F.avg(F.size("out_frame.columns")).alias("out_columns"),
-        F.avg("out_frame.n_rows").alias("out_rows"),
+        F.avg(F.size("out_frame.rows")).alias("out_rows"),
         F.avg(F.size(tokens("text_ctx"))).alias("text_tokens"),
         F.avg(F.size(tokens("target_code"))).alias("target_tokens"),
     )

@@ -21,6 +21,7 @@ from pyspark.sql.types import ArrayType, FloatType, StringType
 
 from nbflow.functions.parsing import dataflow, subtrees
 from nbflow.operators import inputs
+from nbflow.session import discard, settle
 
 DIM = 256
 #: Query vectors of one block and pool vectors of one part in a search.
@@ -90,10 +91,12 @@ def nearest(queries: DataFrame, pool: DataFrame, k: int = 1) -> DataFrame:
     return best.select("example_id", F.explode("best").alias("b")).select("example_id", F.col("b.id").alias("id"), (-F.col("b.minus")).alias("score"))
 
 
-def _copied(found: DataFrame, examples: DataFrame, train: DataFrame) -> DataFrame:
+def _copied(found: DataFrame, examples: DataFrame, train: DataFrame, mask: tuple = inputs.MASKS[0]) -> DataFrame:
+    """The targets found, with the example's variable in place of theirs; only the code shows what that is called, so
+    under a mask without code they stay as they are."""
     shown = train.select(F.col("example_id").alias("id"), "target_code", F.col("var").alias("old"))
     rows = found.join(shown, "id").join(examples.select("example_id", F.col("var").alias("new")), "example_id")
-    return rows.select("example_id", renamed_udf("target_code", "old", "new").alias("code"))
+    return rows.select("example_id", (renamed_udf("target_code", "old", "new") if mask[1] else F.col("target_code")).alias("code"))
 
 
 # --- features of a joint encoder's variants
@@ -106,7 +109,7 @@ def _flow(code: pd.Series) -> pd.Series:
 
 @F.pandas_udf(ArrayType(StringType()))
 def _shapes(code: pd.Series) -> pd.Series:
-    return code.map(lambda c: [s[:80] for s in subtrees(c or "") or []])
+    return code.map(lambda c: subtrees(c or "") or [])
 
 
 def joint_words(examples: DataFrame, features: str, mask, parts: dict) -> DataFrame:
@@ -119,7 +122,7 @@ def joint_words(examples: DataFrame, features: str, mask, parts: dict) -> DataFr
     if features in ("dataflow", "ast"):
         code = examples.select("example_id", inputs.context_text(mask[1], 0).alias("code"))
         more = _flow("code") if features == "dataflow" else _shapes("code")
-        return base.join(code.select("example_id", more.alias("more")), "example_id").select("example_id", F.concat(words, F.slice("more", 1, 256)).alias("words"))
+        return base.join(code.select("example_id", more.alias("more")), "example_id").select("example_id", F.concat(words, "more").alias("words"))
     if features == "identifier":
         names = F.filter("ctx_tokens", lambda w: w.rlike("^[A-Za-z_]\\w*$"))
         return base.select("example_id", F.concat(words, names, names).alias("words"))
@@ -148,7 +151,7 @@ class JointRetriever:
 
     def generate(self, examples: DataFrame) -> DataFrame:
         queries, _ = self.vectors(examples, self.weights)
-        return _copied(nearest(queries, self.pool.withColumnRenamed("example_id", "id")), examples, self.train)
+        return _copied(nearest(queries, self.pool.withColumnRenamed("example_id", "id")), examples, self.train, self.mask)
 
 
 @dataclass
@@ -186,16 +189,18 @@ class TwoTowerRetriever:
 
     def generate(self, examples: DataFrame) -> DataFrame:
         queries, _ = self.vectors(examples, self.weights)
-        return _copied(nearest(queries, self.pool.withColumnRenamed("example_id", "id")), examples, self.train)
+        return _copied(nearest(queries, self.pool.withColumnRenamed("example_id", "id")), examples, self.train, self.mask)
 
 
 @dataclass
 class PromptCopy:
-    """A prompted model's stand-in: of its k demonstrations it answers with the one whose frames' columns are most
-    like the example's; with none, with the last context cell."""
+    """A prompted model's stand-in: of its k demonstrations it answers with the one most like the example, by the tokens
+    of what the mask and the parts of frames leave of both; with none, with the last context cell it sees."""
 
     k: int = 2
     seed: str = ""
+    mask: tuple = inputs.MASKS[0]
+    parts: dict = field(default_factory=dict)
 
     def fit(self, train: DataFrame) -> PromptCopy:
         self.train = train
@@ -203,78 +208,103 @@ class PromptCopy:
 
     def generate(self, examples: DataFrame) -> DataFrame:
         if not self.k:
-            return CopyLast().fit(self.train).generate(examples)
+            return CopyLast(self.mask).fit(self.train).generate(examples)
+        _, code, text, a, b = self.mask
         demos = inputs.ring_demos(self.train, examples, self.k, self.seed)
-        columns = F.array_union("in_frame.columns", "out_frame.columns")
-        mine = examples.select("example_id", columns.alias("a"))
-        theirs = self.train.select(F.col("example_id").alias("demo_id"), columns.alias("b"))
-        rows = demos.join(mine, "example_id").join(theirs, "demo_id")
-        alike = F.size(F.array_intersect("a", "b")) / F.size(F.array_union("a", "b"))
+        seen = F.array_distinct(inputs.tokens(F.concat_ws("\n", inputs.context_text(code, text), inputs.data_text(a, b, **self.parts))))
+        rows = demos.join(examples.select("example_id", seen.alias("a")), "example_id").join(self.train.select(F.col("example_id").alias("demo_id"), seen.alias("b")), "demo_id")
+        alike = F.coalesce(F.try_divide(F.size(F.array_intersect("a", "b")), F.size(F.array_union("a", "b"))), F.lit(0.0))
         best = rows.groupBy("example_id").agg(F.min_by("demo_id", F.struct(-alike, F.col("demo_rank"))).alias("id"))
-        return _copied(best, examples, self.train)
+        return _copied(best, examples, self.train, self.mask)
 
 
 @dataclass
 class LowRankHead:
     """Frozen features and a trained low-rank map (two factors) to classes of targets: training targets with the
-    variable left out. Each epoch is one pass: tasks sum gradients, the driver holds the
-    factors and all classes, so no training row is left out."""
+    variable left out. An epoch is one pass: each task takes steps over batches of its rows from the factors it is given,
+    and the driver averages the tasks' factors by their rows. Factors and classes are all that the driver holds; no
+    training row is left out. With ``dev``, training ends once the loss on it has not fallen for ``patience`` epochs."""
 
     rank: int = 8
     epochs: int = 5
+    batch: int = 3
     rate: float = 0.1
+    patience: int = 1
     mask: tuple = inputs.MASKS[0]
     parts: dict = field(default_factory=dict)
 
-    def fit(self, train: DataFrame) -> LowRankHead:
+    def _rows(self, examples: DataFrame, vectors: DataFrame, number: DataFrame) -> DataFrame:
+        shape = renamed_udf(F.col("target_code"), F.col("var"), F.lit("__frame__"))
+        return vectors.join(examples.select("example_id", shape.alias("shape")), "example_id").join(number, "shape").select("example_id", "vec", "label")
+
+    def fit(self, train: DataFrame, dev: DataFrame | None = None) -> LowRankHead:
         self.frozen = JointRetriever("plain", self.mask, self.parts).fit(train)
         shape = renamed_udf(F.col("target_code"), F.col("var"), F.lit("__frame__"))
-        shapes = train.select("example_id", shape.alias("shape"))
-        counts = shapes.groupBy("shape").agg(F.count("*").alias("n")).orderBy(F.col("n").desc(), "shape").collect()
+        counts = train.select(shape.alias("shape")).groupBy("shape").agg(F.count("*").alias("n")).orderBy(F.col("n").desc(), "shape").collect()
         self.classes = [r["shape"] for r in counts]
         number = train.sparkSession.createDataFrame([(s, i) for i, s in enumerate(self.classes)], "shape string, label int")
-        rows = self.frozen.pool.join(shapes, "example_id").join(F.broadcast(number), "shape").select("vec", "label")
-        rows = rows.persist()
+        rows = settle(self._rows(train, self.frozen.pool, number), "features")
+        held = settle(self._rows(dev, self.frozen.vectors(dev, self.frozen.weights)[0], number), "features") if dev is not None else None
         rng = np.random.default_rng(3)
-        down, up = rng.normal(0, 0.3, (DIM, self.rank)), np.zeros((self.rank, len(self.classes)))
-        seen = [np.full(down.shape, 1e-8), np.full(up.shape, 1e-8)]
-        self.losses = []
-        for _ in range(self.epochs):
-            g_down, g_up, loss, n = self._sums(rows, down, up)
-            self.losses.append(loss / max(n, 1))
-            for value, grad, acc in ((down, g_down / max(n, 1), seen[0]), (up, g_up / max(n, 1), seen[1])):
-                acc += grad**2
-                value -= self.rate * grad / np.sqrt(acc)
-        rows.unpersist()
-        self.down, self.up = down, up
+        self.down, self.up = rng.normal(0, 0.3, (DIM, self.rank)), np.zeros((self.rank, len(self.classes)))
+        self.losses, self.dev_losses, best, worse = [], [], None, 0
+        for epoch in range(self.epochs):
+            self.down, self.up, loss = self._epoch(rows, epoch, self.batch)
+            self.losses.append(loss)
+            if held is None:
+                continue
+            self.dev_losses.append(self._epoch(held, epoch, 0)[2])
+            if best is None or self.dev_losses[-1] < best[0]:
+                best, worse = (self.dev_losses[-1], self.down, self.up), 0
+            else:
+                worse += 1
+                if worse > self.patience:
+                    break
+        if best is not None:
+            _, self.down, self.up = best
+        discard(rows, *([held] if held is not None else []))
         return self
 
-    @staticmethod
-    def _sums(rows: DataFrame, down: np.ndarray, up: np.ndarray):
-        shape = (down.shape, up.shape)
+    def _epoch(self, rows: DataFrame, epoch: int, batch: int):
+        """(down, up, mean loss) after a pass; with no batch size, of the factors as they are."""
+        start, rate = (self.down, self.up), self.rate
+
+        def losses(x, y, down, up):
+            h = x @ down
+            s = h @ up
+            p = np.exp(s - s.max(1, keepdims=True))
+            p /= p.sum(1, keepdims=True)
+            return h, p, -float(np.log(p[np.arange(len(y)), y] + 1e-12).sum())
 
         def run(batches):
-            g1, g2, loss, n = np.zeros(shape[0]), np.zeros(shape[1]), 0.0, 0
+            down, up = start[0].copy(), start[1].copy()
+            seen = [np.full(down.shape, 1e-8), np.full(up.shape, 1e-8)]
+            loss, n = 0.0, 0
             for pdf in batches:
-                if not len(pdf):
-                    continue
-                x = np.stack(pdf["vec"].to_numpy()).astype(float)
-                y = pdf["label"].to_numpy()
-                h = x @ down
-                s = h @ up
-                s -= s.max(1, keepdims=True)
-                p = np.exp(s)
-                p /= p.sum(1, keepdims=True)
-                loss -= float(np.log(p[np.arange(len(y)), y] + 1e-12).sum())
-                p[np.arange(len(y)), y] -= 1
-                g2 += h.T @ p
-                g1 += x.T @ (p @ up.T)
-                n += len(y)
-            yield pd.DataFrame([{"g1": g1.ravel().tolist(), "g2": g2.ravel().tolist(), "loss": loss, "n": n}])
-
-        parts = rows.mapInPandas(run, "g1 array<double>, g2 array<double>, loss double, n long").collect()
-        total = lambda name, s: np.sum([np.array(p[name]) for p in parts], axis=0).reshape(s)
-        return total("g1", shape[0]), total("g2", shape[1]), sum(p["loss"] for p in parts), sum(p["n"] for p in parts)
+                pdf = pdf.sort_values("example_id")
+                x, y = np.stack(pdf["vec"].to_numpy()).astype(float) if len(pdf) else np.zeros((0, DIM)), pdf["label"].to_numpy()
+                order = np.random.default_rng(epoch).permutation(len(y)) if batch else np.arange(len(y))
+                for part in np.array_split(order, max(1, -(-len(y) // (batch or 1024)))):
+                    if not len(part):
+                        continue
+                    h, p, more = losses(x[part], y[part], down, up)
+                    loss, n = loss + more, n + len(part)
+                    if not batch:
+                        continue
+                    p[np.arange(len(part)), y[part]] -= 1
+                    grads = x[part].T @ (p @ up.T) / len(part), h.T @ p / len(part)
+                    for value, grad, acc in zip((down, up), grads, seen, strict=True):
+                        acc += grad**2
+                        value -= rate * grad / np.sqrt(acc)
+            if n:
+                yield pd.DataFrame([{"down": down.ravel().tolist(), "up": up.ravel().tolist(), "loss": loss, "n": n}])
+
+        parts = rows.mapInPandas(run, "down array<double>, up array<double>, loss double, n long").collect()
+        total = sum(p["n"] for p in parts)
+        if not total:
+            return *start, 0.0
+        mean = lambda name, shape: np.sum([np.array(p[name]) * (p["n"] / total) for p in parts], axis=0).reshape(shape)
+        return mean("down", start[0].shape), mean("up", start[1].shape), sum(p["loss"] for p in parts) / total
 
     def generate(self, examples: DataFrame) -> DataFrame:
         queries, _ = self.frozen.vectors(examples, self.frozen.weights)
@@ -289,15 +319,51 @@ class LowRankHead:
         return rows.select("example_id", renamed_udf(F.col("shape"), F.lit("__frame__"), F.col("var")).alias("code"))
 
 
+#: What the indicator sketch supposes where its input doesn't show it (fixed values, as in the published case).
+GUESSES = {"column": "Status", "flag": "M", "name": "is_status"}
+
+
+@dataclass
+class IndicatorSketch:
+    """The case study's generator: the one program that turns a column of words into an indicator, with its three blanks
+    (the column, the word, the new name) filled in from what it sees of the two frames, and guessed where it sees nothing.
+
+    column: one that the input has and the output hasn't, by the headers; word: that of the input's values in the rows
+    where the output's new column is one; name: a column that only the output has."""
+
+    mask: tuple = inputs.MASKS[0]
+    parts: dict = field(default_factory=dict)
+
+    def fit(self, train: DataFrame) -> IndicatorSketch:
+        return self
+
+    def generate(self, examples: DataFrame) -> DataFrame:
+        _, code, _, sees_in, sees_out = self.mask
+        headers, values = self.parts.get("with_columns", True), self.parts.get("with_values", True)
+        gone = F.get(F.array_except("in_frame.columns", "out_frame.columns"), F.lit(0))
+        new = F.get(F.array_except("out_frame.columns", "in_frame.columns"), F.lit(0))
+        at = lambda frame, name: (F.array_position(f"{frame}.columns", name) - 1).cast("int")
+        pairs = F.arrays_zip(F.transform("in_frame.rows", lambda r: F.get(r, at("in_frame", gone))).alias("word"), F.transform("out_frame.rows", lambda r: F.get(r, at("out_frame", new))).alias("sign"))
+        flag = F.get(F.filter(pairs, lambda p: p["sign"] == "1"), F.lit(0))["word"]
+        shown = lambda seen, value, guess: F.coalesce(value if seen else F.lit(None).cast("string"), F.lit(GUESSES[guess]))
+        column, name = shown(sees_in and headers, gone, "column"), shown(sees_out and headers, new, "name")
+        flag = shown(sees_in and sees_out and values, flag, "flag")
+        var = F.col("var") if code else F.lit("df")
+        made = F.concat(var, F.lit("['"), name, F.lit("'] = ("), var, F.lit("['"), column, F.lit("'] == '"), flag, F.lit("').astype(int)\n"), var, F.lit(" = "), var, F.lit(".drop('"), column, F.lit("', axis=1)"))
+        return examples.select("example_id", made.alias("code"))
+
+
 @dataclass
 class CopyLast:
-    """Answers with the last context cell."""
+    """Answers with the last line of the code context, if the mask leaves any."""
+
+    mask: tuple = inputs.MASKS[0]
 
     def fit(self, train: DataFrame) -> CopyLast:
         return self
 
     def generate(self, examples: DataFrame) -> DataFrame:
-        return examples.select("example_id", F.element_at(F.split("code_ctx", "\n"), -1).alias("code"))
+        return examples.select("example_id", (F.element_at(F.split("code_ctx", "\n"), -1) if self.mask[1] else F.lit("")).alias("code"))
 
 
 @dataclass
@@ -421,7 +487,8 @@ class ExternalGenerator:
 def corrupt(examples: DataFrame, percent: int, kind: str = "rename_col") -> DataFrame:
     """(example_id, code): the targets, of which a share chosen by arithmetic has one seeded error: a misspelt
     column key, a changed number or flag, or a missing last step."""
-    chosen = F.pmod(F.xxhash64("example_id", F.lit(kind)), F.lit(100)) < percent
+    digest = F.substring(F.md5(F.concat(F.lit(kind), "example_id")), 1, 8)
+    chosen = F.pmod(F.conv(digest, 16, 10).cast("long"), F.lit(100)) < percent
     code = F.col("target_code")
     wrong = {
         "rename_col": F.when(code.rlike(r"'\w+'"), F.regexp_replace(code, r"'(\w+)'", "'$1_x'")).otherwise(F.concat(code, F.lit("\n__missing__"))),

@@ -88,14 +88,16 @@ def ring_demos(train: DataFrame, test: DataFrame, k: int = 2, seed: str = "") ->
 
 
 def build_prompt(examples: DataFrame, demos: DataFrame | None = None, instruction: str = INSTRUCTION, pool: DataFrame | None = None) -> DataFrame:
-    """(example_id, prompt): instruction, demonstrations with their answers, then the example; frames as prose."""
+    """(example_id, prompt): instruction, demonstrations with their answers, then the example; the instruction and frames
+    are triple-quoted prose, so that a prompt is code throughout."""
+    head = wrap_text(F.lit(instruction))
     body = F.concat_ws("\n", F.col("merged_ctx"), wrap_text(F.concat_ws("\n", F.lit("Input:"), flatten_frame("in_frame"), F.lit("Output:"), flatten_frame("out_frame"))), F.lit("# code:"))
     asked = examples.select("example_id", body.alias("body"))
     if demos is None:
-        return asked.select("example_id", F.concat_ws("\n\n", F.lit(instruction), F.col("body")).alias("prompt"))
+        return asked.select("example_id", F.concat_ws("\n\n", head, F.col("body")).alias("prompt"))
     shown = (pool if pool is not None else examples).select(F.col("example_id").alias("demo_id"), F.concat_ws("\n", body, F.col("target_code")).alias("demo"))
     listed = demos.join(shown, "demo_id").groupBy("example_id").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("demo_rank", "demo"))), lambda x: x["demo"]), "\n\n").alias("demos"))
-    return asked.join(listed, "example_id", "left").select("example_id", F.concat_ws("\n\n", F.lit(instruction), F.col("demos"), F.col("body")).alias("prompt"))
+    return asked.join(listed, "example_id", "left").select("example_id", F.concat_ws("\n\n", head, F.col("demos"), F.col("body")).alias("prompt"))
 
 
 def fits_window(prompts: DataFrame, windows: DataFrame) -> DataFrame:

@@ -17,14 +17,13 @@ from pyspark.sql.types import BooleanType, IntegerType, StringType, StructField,
 
 from nbflow.functions import apidb
 from nbflow.functions.parsing import parse_cell
+from nbflow.functions.sandbox import CELL_STEP
 
 STATEMENTS = (
     "nb_id long, cell_idx int, stmt_idx int, pos long, kind string, defs array<string>, uses array<string>, base string, receiver string, api string,"
     " calls array<struct<receiver: string, api: string, uses: array<string>>>, inplace boolean, store string, rhs_op string, rhs_names array<string>,"
     " imports array<struct<alias: string, module: string>>, literals array<string>, comments array<string>, src string, parse_ok boolean"
 )
-#: A statement's place in its notebook: cell number times this, plus its number in the cell.
-CELL_STEP = 1000
 
 
 def parse_cells(cells: DataFrame) -> DataFrame:
@@ -227,7 +226,7 @@ def context_cells(targets: DataFrame, lives: DataFrame) -> DataFrame:
     """(target_id, nb_id, cell_idx) of the life's cells before the target's first cell."""
     rows = targets.join(lives.select("nb_id", "var", "life_no", "cell_idxs"), ["nb_id", "var", "life_no"])
     rows = rows.select("target_id", "nb_id", "cell_from", "begin_pos", F.explode("cell_idxs").alias("cell_idx"))
-    return rows.filter((F.col("cell_idx") < F.col("cell_from")) & (F.col("cell_idx") * CELL_STEP <= F.col("begin_pos"))).select("target_id", "nb_id", "cell_idx")
+    return rows.filter((F.col("cell_idx") < F.col("cell_from")) & (F.col("cell_idx").cast("long") * CELL_STEP <= F.col("begin_pos"))).select("target_id", "nb_id", "cell_idx")
 
 
 def prelude(targets: DataFrame, of_target: DataFrame, ctx: DataFrame, stmts: DataFrame) -> DataFrame:
@@ -259,7 +258,7 @@ def text_context(targets: DataFrame, ctx: DataFrame, cells: DataFrame, stmts: Da
     if "markdown" in origins:
         first = targets.select("target_id", "nb_id", F.col("cell_from").alias("cell_idx"))
         near = ctx.select("target_id", "nb_id", "cell_idx").unionByName(first).join(markdown_before(cells), ["nb_id", "cell_idx"])
-        parts.append(near.select("target_id", (F.col("text_idx") * CELL_STEP).cast("long").alias("place"), F.lit("markdown").alias("origin"), "text").distinct())
+        parts.append(near.select("target_id", (F.col("text_idx").cast("long") * CELL_STEP).alias("place"), F.lit("markdown").alias("origin"), "text").distinct())
     if "ctx_comment" in origins:
         notes = ctx.join(stmts.select("nb_id", "cell_idx", "pos", F.explode("comments").alias("text")), ["nb_id", "cell_idx"])
         parts.append(notes.select("target_id", F.col("pos").alias("place"), F.lit("ctx_comment").alias("origin"), "text"))
@@ -280,7 +279,7 @@ def contexts(targets: DataFrame, ctx: DataFrame, first: DataFrame, cells: DataFr
     """(target_id, prelude, code_ctx, text_ctx, merged_ctx, n_code_cells, n_text): contexts in the notebook's order,
     the prelude in front."""
     code = ctx.join(cells.filter("kind = 'code'").select("nb_id", "cell_idx", "source"), ["nb_id", "cell_idx"])
-    code = code.select("target_id", (F.col("cell_idx") * CELL_STEP + 1).cast("long").alias("place"), F.lit("code").alias("origin"), F.col("source").alias("text"))
+    code = code.select("target_id", (F.col("cell_idx").cast("long") * CELL_STEP + 1).alias("place"), F.lit("code").alias("origin"), F.col("source").alias("text"))
     marks = text_context(targets, ctx, cells, stmts, ("markdown",))
     notes = text_context(targets, ctx, cells, stmts, ("ctx_comment", "inline"))
     rows = code.unionByName(marks).unionByName(notes)

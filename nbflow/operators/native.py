@@ -14,6 +14,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from nbflow.session import settle
+
 MAX_COLUMNS = 1000
 
 
@@ -193,6 +195,17 @@ def sort(df: DataFrame, *order: str | Column) -> DataFrame:
     return df.orderBy(*order)
 
 
+def sorted_places(df: DataFrame, order: Sequence[Column], out: str) -> DataFrame:
+    """Rows with their place, from 1, in a total order of the whole frame: ranges are sorted each by a task, and the
+    ranges before a row's are added to its place in its own."""
+    ranged = settle(df.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("__at", F.monotonically_increasing_id()), "sorted")
+    part = F.shiftright("__at", 33).alias("__part")
+    before = Window.partitionBy(F.lit(0)).orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)  # a row per range
+    bases = ranged.groupBy(part).agg(F.count("*").alias("__n")).select("__part", F.coalesce(F.sum("__n").over(before), F.lit(0)).alias("__base"))
+    rows = ranged.withColumn("__part", F.shiftright("__at", 33)).join(F.broadcast(bases), "__part")
+    return rows.withColumn(out, F.col("__base") + F.col("__at").bitwiseAND(F.lit((1 << 33) - 1)) + 1).drop("__at", "__part", "__base")
+
+
 def nlargest(df: DataFrame, n: int, column: str, *ties: str) -> DataFrame:
     return df.orderBy(F.col(column).desc(), *ties).limit(n)
 

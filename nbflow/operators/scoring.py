@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from nbflow.functions.metrics import PARTS, code_bleu_udf
-from nbflow.operators.examples import bundles, replay
+from nbflow.operators.examples import CELL_SECONDS, bundles, replay
 
 
 def exact_match(predictions: DataFrame, examples: DataFrame, normalize: bool = False) -> DataFrame:
@@ -27,7 +27,7 @@ def code_bleu(predictions: DataFrame, examples: DataFrame, weights: tuple[float,
     return rows.join(scored, ["target_code", "code"])
 
 
-def execute(spark: SparkSession, predictions: DataFrame, examples: DataFrame, cells: DataFrame, files: DataFrame, limit_s: float = 300, mode: str = "strict") -> DataFrame:
+def execute(spark: SparkSession, predictions: DataFrame, examples: DataFrame, cells: DataFrame, files: DataFrame, limit_s: float = CELL_SECONDS, mode: str = "strict") -> DataFrame:
     """Predictions with ``ea`` and ``outcome``: each distinct (example, code) runs once, from the state that its
     notebook has before the target; failures and frames that differ count as wrong."""
     distinct = predictions.select("example_id", "code").distinct().withColumn("id", F.concat_ws("|", "example_id", F.md5("code")))

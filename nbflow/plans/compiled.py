@@ -16,7 +16,7 @@ ORACLES: dict[str, str] = {}
 CODE = [
     ("dropna_filter", "orders", ["o_orderkey", "o_totalprice"], "df = df.dropna()\ndf = df[df['o_totalprice'] > 100000]", "SELECT o_orderkey, o_totalprice FROM orders WHERE o_totalprice > 100000"),
     ("upper_rename", "part", ["p_partkey", "p_name", "p_brand"], "df['p_name'] = df['p_name'].str.upper()\ndf = df.rename(columns={'p_brand': 'brand'})", "SELECT p_partkey, upper(p_name) AS p_name, p_brand AS brand FROM part"),
-    ("filter_sort", "events", ["event_id", "value"], "limit = 20\ndf = df[(df['value'] > limit) & (df['event_id'] < 5000)]\ndf = df.sort_values('event_id', ascending=False)", "SELECT event_id, value FROM events WHERE value > 20 AND event_id < 5000"),
+    ("filter_sort", "events", ["event_id", "value"], "limit = 20\ndf = df[(df['value'] > limit) & (df['value'] < 60)]\ndf = df.sort_values('event_id', ascending=False)", "SELECT event_id, value FROM events WHERE value > 20 AND value < 60"),
     ("indicator", "orders", ["o_orderkey", "o_orderstatus"], "df['open'] = (df['o_orderstatus'] == 'O').astype(int)\ndf = df.drop('o_orderstatus', axis=1)", "SELECT o_orderkey, CAST(o_orderstatus = 'O' AS BIGINT) AS open FROM orders"),
     ("slice_scale", "supplier", ["s_suppkey", "s_acctbal"], "df = df[['s_suppkey', 's_acctbal']] * 2", "SELECT s_suppkey * 2 AS s_suppkey, s_acctbal * 2 AS s_acctbal FROM supplier"),
     ("melt", "part", ["p_partkey", "p_size"], "df = df.melt(id_vars='p_partkey', value_vars=['p_size'])", "SELECT p_partkey, 'p_size' AS variable, p_size AS value FROM part"),

@@ -10,13 +10,13 @@ from pyspark.sql import functions as F
 
 from nbflow.functions import apidb
 from nbflow.operators import collect, mining
-from nbflow.session import table
+from nbflow.session import settle, table
 from nbflow.sources import render, templates
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
 #: Variables that templates track; others are helpers.
-TRACKED = "(var = 'data' or var like 'df%')"
+TRACKED = "(var like 'data%' or var like 'df%')"
 
 
 def query(name: str, sql: str | None = None):
@@ -38,12 +38,13 @@ def staged(spark: SparkSession, d: str, **options) -> DataFrame:
 
 
 class Mined:
-    """The miner's tables over one corpus. Statements, which cost the parse, are written once and reread."""
+    """The miner's tables over one corpus. Statements, which cost the parse, and their stages are written once and
+    reread."""
 
-    def __init__(self, spark: SparkSession, d: str, keep=None):
+    def __init__(self, spark: SparkSession, d: str):
         self.cells = render.rendered_cells(spark, d)
-        self.stmts = (keep or (lambda x: x))(mining.parse_cells(self.cells))
-        self.staged = mining.label_stages(self.stmts)
+        self.stmts = settle(mining.parse_cells(self.cells), "statements")
+        self.staged = settle(mining.label_stages(self.stmts), "stages")
         self.lives = mining.lifecycles(self.staged)
         spans = mining.segment_targets(self.staged, self.lives)
         self.of_target = mining.target_statements(spans, self.staged, self.stmts, self.lives)
@@ -66,8 +67,8 @@ placed AS (
   SELECT *, CASE WHEN role = 'assistant' AND nb_id % 2 = 1 THEN min(turn) OVER (PARTITION BY nb_id, role, nth - nth % 2) ELSE turn END AS base_turn,
          CASE WHEN role = 'assistant' AND nb_id % 2 = 1 THEN nth % 2 END AS odd FROM turns),
 rows_ AS (
-  SELECT nb_id, template, CASE WHEN template % 2 = 0 THEN 'df' || turn ELSE 'data' END AS var, stage,
-         CAST((base_turn * 20 + CASE WHEN odd IS NULL THEN j ELSE 2 * j + odd END) * 1000 + s AS BIGINT) AS pos
+  SELECT nb_id, template, CASE WHEN template % 2 = 0 THEN 'df' || turn WHEN odd IS NOT NULL THEN 'data' || turn ELSE 'data' END AS var, stage,
+         CAST((base_turn * 20 + CASE WHEN odd IS NULL THEN j ELSE 2 * j + odd END)::BIGINT * 4294967296 + s AS BIGINT) AS pos
   FROM placed JOIN facts USING (template) WHERE role = 'assistant'),
 numbered AS (
   SELECT *, count(CASE WHEN stage = 'init' THEN 1 END) OVER (PARTITION BY nb_id, var ORDER BY pos) AS life_no FROM rows_ WHERE stage <> 'other'),
@@ -98,7 +99,15 @@ _LICENSE = "CASE WHEN contains(text, 'Apache License, Version 2.0') THEN 'Apache
 query("a2_license", f"SELECT doc_id, license FROM (SELECT doc_id, {_LICENSE} AS license FROM documents) WHERE license IN ('Apache-2.0', 'MIT', 'GPL-3')")(lambda s, d: collect.filter_license(collect.with_license(table(s, d, "documents"), "text")).select("doc_id", "license"))
 query("a3_dedup_exact", "SELECT min(doc_id) AS doc_id FROM documents GROUP BY text")(lambda s, d: collect.dedup_exact(table(s, d, "documents"), "text", "doc_id").select("doc_id"))
 query("a4_forks", "SELECT doc_id FROM documents d WHERE source = (SELECT arg_min(source, doc_id) FROM documents e WHERE e.text = d.text)")(lambda s, d: collect.drop_forks(table(s, d, "documents"), "text", "source", "doc_id").select("doc_id"))
-query("a4b_near_dup")(lambda s, d: collect.near_duplicates(table(s, d, "documents")))
+_NEAR = """
+    WITH w AS (SELECT doc_id, regexp_extract_all(lower(text), '[^ \\t\\n\\r\\f\\v]+') AS w FROM documents),
+    s AS (SELECT DISTINCT doc_id, array_to_string(w[i:i + 2], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w) - 2, 1) + 1)) AS i FROM w WHERE len(w) > 0)),
+    classes AS (SELECT doc_id, min(doc_id) OVER (PARTITION BY d) AS rep, n FROM (SELECT doc_id, md5(string_agg(s, chr(10) ORDER BY s)) AS d, count(*) AS n FROM s GROUP BY 1)),
+    r AS (SELECT s.* FROM s JOIN classes USING (doc_id) WHERE doc_id = rep),
+    both AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS c FROM r x JOIN r y ON x.s = y.s AND x.doc_id < y.doc_id GROUP BY ALL)
+    SELECT a, b, c / (p.n + q.n - c) AS similarity FROM both JOIN classes p ON p.doc_id = a JOIN classes q ON q.doc_id = b WHERE c / (p.n + q.n - c) >= 0.8
+    UNION ALL SELECT rep, doc_id, 1.0 FROM classes WHERE doc_id <> rep"""
+query("a4b_near_dup", _NEAR)(lambda s, d: collect.near_duplicates(table(s, d, "documents")))
 query("a5_language", "SELECT DISTINCT conv_id AS nb_id FROM conversations WHERE conv_id % 17 <> 0")(lambda s, d: collect.filter_language(render.notebook_facts(s, d)).select("nb_id"))
 _HAS = sorted(t for t, cells in enumerate(templates.TEMPLATES) if any("read_csv" in line for cell in cells for line, _ in cell))
 query("a6_has_loader", f"SELECT DISTINCT conv_id AS nb_id FROM conversations WHERE role = 'assistant' AND (conv_id * 31 + turn * 7) % 16 IN ({', '.join(map(str, _HAS))})")(lambda s, d: collect.filter_has_call(render.notebook_facts(s, d), statements(s, d)).select("nb_id"))
@@ -110,8 +119,9 @@ query("a7_path_literals", f"WITH files(template, head) AS (VALUES {_values(_FILE
 
 @query("a8_unresolved", "SELECT DISTINCT conv_id AS nb_id FROM conversations WHERE conv_id NOT IN (SELECT conv_id FROM conversations WHERE role = 'assistant' AND (conv_id * 31 + turn * 7) % 16 = 13)")
 def _available(spark, d):
-    refs = collect.resolve_paths(collect.path_literals(statements(spark, d)), render.data_files(spark, d))
-    return collect.drop_unresolved(render.notebook_facts(spark, d), refs).select("nb_id")
+    books = render.notebook_facts(spark, d).withColumn("repo", F.coalesce("repo", F.lit("none")))
+    refs = collect.path_literals(statements(spark, d)).join(books.select("nb_id", "repo"), "nb_id")
+    return collect.drop_unresolved(books, collect.resolve_paths(refs, render.repo_files(spark, d), ("repo",))).select("nb_id")
 
 
 _HREFS = "(SELECT DISTINCT unnest(regexp_extract_all(html, 'href=\"([^\"]+)\"', 1)) AS raw FROM pages)"
@@ -145,7 +155,7 @@ for _name, _stage in (("b7_wrangle", "wrangle"), ("b8_utilize", "utilize"), ("b8
 query("b7n_new_var", _sql("SELECT count(*) AS n FROM rows_ WHERE template = 11 AND stage = 'wrangle'"))(lambda s, d: staged(s, d).filter("stage = 'wrangle' and array_contains(defs, 'other')").agg(F.count("*").alias("n")))
 query("b9_stages", _sql("SELECT nb_id, var, pos, stage, life_no FROM numbered"))(lambda s, d: staged(s, d).filter(f"stage <> 'other' and {TRACKED}").select("nb_id", "var", "pos", "stage", "life_no"))
 query("b10_lifecycles", _sql("SELECT * FROM lives"))(lambda s, d: mining.lifecycles(staged(s, d)).filter(TRACKED).drop("cell_idxs"))
-query("b11_life_cells")(lambda s, d: mining.lifecycles(staged(s, d)).filter("end_pos is not null").select("nb_id", "var", "life_no", "cell_idxs"))
+query("b11_life_cells")(lambda s, d: mining.lifecycles(staged(s, d)).filter("end_pos is not null").select("nb_id", "var", "life_no", F.array_join(F.col("cell_idxs").cast("array<string>"), ",").alias("cells")))
 query("b12_complete", _sql("SELECT DISTINCT nb_id FROM lives WHERE end_pos IS NOT NULL"))(lambda s, d: mining.drop_incomplete(render.notebook_facts(s, d), mining.lifecycles(staged(s, d)).filter(TRACKED)).select("nb_id"))
 query("b13_def_use")(lambda s, d: mining.def_use(statements(s, d)))
 

@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import functions as F
 
 from nbflow.plans.mine import FACTS
-from nbflow.session import shared_dir, table
+from nbflow.session import table, work_dir
 from nbflow.sources import notebooks, render
 
 QUERIES: dict = {}
@@ -25,7 +25,7 @@ def query(name: str, sql: str | None = None):
 
 
 def _place(spark) -> str:
-    return f"{shared_dir(spark)}/store-{uuid.uuid4().hex}"
+    return f"{work_dir(spark)}/store-{uuid.uuid4().hex}"
 
 
 @query("src_csv_json_roundtrip", "SELECT o_orderkey, o_totalprice, o_orderstatus FROM orders UNION ALL SELECT o_orderkey, o_totalprice, o_orderstatus FROM orders")
@@ -43,7 +43,7 @@ def _partitioned(spark, d):
     return spark.read.parquet(place).filter("o_orderstatus = 'F'").groupBy("o_orderpriority").agg(F.count("*").alias("n"))
 
 
-@query("src_ipynb_roundtrip", f"WITH {FACTS} SELECT nb_id, count(*) AS cells FROM (SELECT DISTINCT nb_id, pos // 1000 AS cell FROM rows_ UNION SELECT nb_id, (base_turn * 20 + CASE WHEN odd IS NULL THEN 3 ELSE 6 + odd END) FROM placed WHERE role = 'assistant' AND template = 12) GROUP BY 1")
+@query("src_ipynb_roundtrip", f"WITH {FACTS} SELECT nb_id, count(*) AS cells FROM (SELECT DISTINCT nb_id, pos // 4294967296 AS cell FROM rows_ UNION SELECT nb_id, (base_turn * 20 + CASE WHEN odd IS NULL THEN 3 ELSE 6 + odd END) FROM placed WHERE role = 'assistant' AND template = 12) GROUP BY 1")
 def _books(spark, d):
     """Code cells by notebook after writing notebooks as JSON text and reading their cells again."""
     place = _place(spark)
@@ -59,7 +59,7 @@ def _sql(spark, d):
     from nbflow.plans.mine import staged
 
     notebooks.register_sql(spark, {"nbflow_staged": staged(spark, d)})
-    return spark.sql("SELECT stage, count(*) AS n FROM nbflow_staged WHERE stage <> 'other' AND (var = 'data' OR var LIKE 'df%') GROUP BY stage")
+    return spark.sql("SELECT stage, count(*) AS n FROM nbflow_staged WHERE stage <> 'other' AND (var LIKE 'data%' OR var LIKE 'df%') GROUP BY stage")
 
 
 @query("sink_parquet")

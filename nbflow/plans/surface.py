@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
+from nbflow.operators import native
 from nbflow.operators import relational as r
 from nbflow.plans import catalogue
 from nbflow.plans.catalogue import HOLES, _holes, money, money_sql
@@ -85,18 +86,18 @@ _query("agg_stats", "SELECT p_type, round(stddev_samp(p_retailprice), 4) AS s, r
 _query("agg_approx", "SELECT true AS close", "documents")(lambda d: d.agg((F.abs(F.approx_count_distinct("text", 0.02) - F.count_distinct("text")) <= 0.1 * F.count_distinct("text")).alias("close")))
 
 # --- sets
-_WORDS = "SELECT DISTINCT w FROM (SELECT unnest(string_split(p_name, ' ')) AS w, p_partkey FROM part) WHERE {}"
+_WORDS = "SELECT DISTINCT w FROM (SELECT unnest(string_split(p_name, ' ')) AS w, p_size, p_retailprice FROM part) WHERE {}"
 
 
 def _vocabulary(p, condition):
     return p.filter(condition).select(F.explode(F.split("p_name", " ")).alias("w"))
 
 
-_LEFT, _RIGHT = "p_partkey % 3 = 0", "p_partkey < 40"
+_LEFT, _RIGHT = "p_size < 20", "p_retailprice > 1000"
 _query("set_union", f"{_WORDS.format(_LEFT)} UNION {_WORDS.format(_RIGHT)}", "part")(lambda p: _vocabulary(p, _LEFT).union(_vocabulary(p, _RIGHT)).distinct())
 _query("set_union_all", "SELECT s_nationkey AS k FROM supplier UNION ALL SELECT n_nationkey FROM nation", "supplier", "nation")(lambda s, n: s.select(F.col("s_nationkey").alias("k")).union(n.select("n_nationkey")))
 _query("set_intersect", f"{_WORDS.format(_LEFT)} INTERSECT {_WORDS.format(_RIGHT)}", "part")(lambda p: _vocabulary(p, _LEFT).intersect(_vocabulary(p, _RIGHT)))
-_query("set_except", "SELECT n_nationkey AS k FROM nation EXCEPT SELECT c_nationkey FROM customer WHERE c_acctbal > 5000 AND c_custkey < 60", "nation", "customer")(lambda n, c: n.select(F.col("n_nationkey").alias("k")).subtract(c.filter("c_acctbal > 5000 and c_custkey < 60").select("c_nationkey")))
+_query("set_except", "SELECT n_nationkey AS k FROM nation EXCEPT SELECT c_nationkey FROM customer WHERE c_acctbal > 9000", "nation", "customer")(lambda n, c: n.select(F.col("n_nationkey").alias("k")).subtract(c.filter("c_acctbal > 9000").select("c_nationkey")))
 _query("set_except_all", "SELECT l_orderkey, l_linenumber FROM lineitem EXCEPT ALL SELECT DISTINCT l_orderkey, l_linenumber FROM lineitem", "lineitem")(lambda t: t.select("l_orderkey", "l_linenumber").exceptAll(t.select("l_orderkey", "l_linenumber").distinct()))
 
 # --- joins
@@ -108,7 +109,7 @@ _query("j_interval", "SELECT p.event_id AS purchase, c.event_id AS click FROM ev
     lambda e: e.filter("event_type = 'purchase'").select("user_id", F.col("ts").alias("at"), F.col("event_id").alias("purchase")).join(e.filter("event_type = 'click'").select("user_id", "ts", F.col("event_id").alias("click")), "user_id").filter("ts <= at and ts >= at - interval 1 hour").select("purchase", "click")
 )
 _query("j_skew", "SELECT l_orderkey, l_linenumber, p_name FROM lineitem JOIN part ON l_partkey = p_partkey", "lineitem", "part")(lambda t, p: r.salted_join(t.select("l_orderkey", "l_linenumber", F.col("l_partkey").alias("k")), p.select(F.col("p_partkey").alias("k"), "p_name"), "k", 8).select("l_orderkey", "l_linenumber", "p_name"))
-_query("sort_multi", "SELECT o_orderkey, o_orderpriority FROM orders ORDER BY o_orderpriority, o_totalprice DESC NULLS LAST, o_orderkey LIMIT 30", "orders")(lambda o: o.orderBy("o_orderpriority", F.col("o_totalprice").desc_nulls_last(), "o_orderkey").limit(30).select("o_orderkey", "o_orderpriority"))
+_query("sort_multi", "SELECT o_orderkey, o_orderpriority, row_number() OVER (ORDER BY o_orderpriority, o_totalprice DESC NULLS LAST, o_orderkey) AS nth FROM orders", "orders")(lambda o: native.sorted_places(o.select("o_orderkey", "o_orderpriority", "o_totalprice"), [F.col("o_orderpriority"), F.col("o_totalprice").desc_nulls_last(), F.col("o_orderkey")], "nth").drop("o_totalprice"))
 _query("limit_offset", "SELECT p_partkey FROM part ORDER BY p_partkey LIMIT 10 OFFSET 20", "part")(lambda p: p.orderBy("p_partkey").offset(20).limit(10).select("p_partkey"))
 _query("topk_group", "SELECT o_custkey, o_orderkey FROM (SELECT *, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS n FROM orders) WHERE n <= 3", "orders")(lambda o: r.top_per_group(o, ["o_custkey"], [F.col("o_totalprice").desc(), "o_orderkey"], 3).select("o_custkey", "o_orderkey"))
 
@@ -121,12 +122,15 @@ _query("subq_lateral", "SELECT c_custkey, o_orderkey FROM customer, LATERAL (SEL
 
 
 def _recursive(spark, d):
-    table(spark, d, "nation").createOrReplaceTempView("nbflow_nation")
-    return spark.sql("WITH RECURSIVE hop(k, n) AS (SELECT n_nationkey, 0 FROM nbflow_nation WHERE n_nationkey = 24 UNION ALL SELECT cast(k div 2 AS INT), n + 1 FROM hop WHERE k > 0) SELECT k, n FROM hop")
+    """Clicks from one to the next of a user within the hour, and how many hops each is from one that none precedes."""
+    steps = table(spark, d, "events").filter("event_type = 'click'").selectExpr("event_id", "user_id", "ts", "lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS prev", "lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before")
+    steps.selectExpr("event_id", "CASE WHEN before >= ts - INTERVAL 1 HOUR THEN prev END AS prev").createOrReplaceTempView("nbflow_steps")
+    return spark.sql("WITH RECURSIVE hop(event_id, n) AS (SELECT event_id, 0 FROM nbflow_steps WHERE prev IS NULL UNION ALL SELECT s.event_id, n + 1 FROM hop h JOIN nbflow_steps s ON s.prev = h.event_id) SELECT event_id, n FROM hop")
 
 
+_STEPS = "SELECT event_id, CASE WHEN lag(ts) OVER w >= ts - INTERVAL 1 HOUR THEN lag(event_id) OVER w END AS prev FROM events WHERE event_type = 'click' WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)"
 QUERIES["cte_recursive"] = _recursive
-ORACLES["cte_recursive"] = "WITH RECURSIVE hop(k, n) AS (SELECT n_nationkey, 0 FROM nation WHERE n_nationkey = 24 UNION ALL SELECT k // 2, n + 1 FROM hop WHERE k > 0) SELECT k, n FROM hop"
+ORACLES["cte_recursive"] = f"WITH RECURSIVE steps AS ({_STEPS}), hop(event_id, n) AS (SELECT event_id, 0 FROM steps WHERE prev IS NULL UNION ALL SELECT s.event_id, n + 1 FROM hop h JOIN steps s ON s.prev = h.event_id) SELECT event_id, n FROM hop"
 
 # --- functions
 _query("fn_string", "SELECT conv_id, turn, lower(role) AS lo, trim('  ' || role || ' ') AS tr, CAST(levenshtein(role, 'user') AS INT) AS lev, md5(text) AS digest, role || '-' || CAST(turn AS VARCHAR) AS joined, substr(role, 2, 3) AS part, CAST(instr(role, 's') AS INT) AS at, translate(role, 'su', 'SU') AS tl, regexp_replace(role, '[aeiou]', '*', 'g') AS rx FROM conversations", "conversations")(

@@ -24,7 +24,9 @@ def queries() -> dict[str, Query]:
 
 
 def oracle_sql() -> dict[str, str]:
-    found: dict[str, str] = {}
+    from nbflow.plans import corpus_sql
+
+    found: dict[str, str] = dict(corpus_sql.SQL)
     for module in _modules():
         found |= module.ORACLES
     return found

@@ -24,7 +24,7 @@ def template_cells(spark: SparkSession) -> DataFrame:
 
 def turns(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rows (nb_id, turn, role, text, template, var, base_turn, odd): assistant turns of notebooks with odd numbers
-    go in pairs whose cells alternate."""
+    go in pairs whose cells alternate; there, each has a variable of its own."""
     rows = table(spark, sf_dir, "conversations").select(F.col("conv_id").alias("nb_id"), "turn", "role", "text")
     order = Window.partitionBy("nb_id", "role").orderBy("turn")
     rows = rows.withColumn("nth", F.row_number().over(order) - 1)
@@ -39,7 +39,7 @@ def turns(spark: SparkSession, sf_dir: str) -> DataFrame:
         "role",
         "text",
         "template",
-        F.when(F.pmod("template", F.lit(2)) == 0, F.concat(F.lit("df"), F.col("turn").cast("string"))).otherwise(F.lit("data")).alias("var"),
+        F.when(F.pmod("template", F.lit(2)) == 0, F.concat(F.lit("df"), F.col("turn").cast("string"))).when(tangled, F.concat(F.lit("data"), F.col("turn").cast("string"))).otherwise(F.lit("data")).alias("var"),
         F.when(tangled, first).otherwise(F.col("turn")).alias("base_turn"),
         F.when(tangled, F.pmod("nth", F.lit(2)).cast("int")).alias("odd"),
     )
@@ -76,16 +76,25 @@ def license_of(column: str):
     return found
 
 
-def data_files(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Rows (name, csv): the files that notebooks load, each a slice of a given table of a bounded number of rows."""
+def data_files(spark: SparkSession, sf_dir: str, most_rows: int | None = t.SLICE_ROWS) -> DataFrame:
+    """Rows (name, csv): the files that notebooks load, each a slice of a given table of at most ``most_rows`` rows
+    (None: all), as files that one process reads are of bounded size."""
     out = None
     for name, key in t.KEYS.items():
         rows = table(spark, sf_dir, name)
         columns = rows.columns
         nth = F.row_number().over(Window.partitionBy("__k").orderBy(key, *[c for c in columns if c != key]))
-        picked = rows.withColumn("__k", F.pmod(F.col(key), F.lit(t.SLICES))).withColumn("__n", nth).filter(F.col("__n") <= t.SLICE_ROWS)
-        picked = picked.withColumn("__row", F.to_csv(F.struct(*columns)))
+        picked = rows.withColumn("__k", F.pmod(F.col(key), F.lit(t.SLICES))).withColumn("__n", nth)
+        picked = picked if most_rows is None else picked.filter(F.col("__n") <= most_rows)
+        picked = picked.withColumn("__row", F.to_csv(F.struct(*columns), {"escape": '"'}))
         one = picked.groupBy("__k").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("__n", "__row"))), lambda x: x["__row"]), "\n").alias("body"))
         one = one.select(F.concat(F.lit(f"{name}_"), F.col("__k").cast("string"), F.lit(".csv")).alias("name"), F.concat(F.lit(",".join(columns) + "\n"), "body").alias("csv"))
         out = one if out is None else out.unionByName(one)
     return out
+
+
+def repo_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows (repo, name): the paths of the data files in each repository of the stand-in crawl."""
+    repos = notebook_facts(spark, sf_dir).select(F.coalesce("repo", F.lit("none")).alias("repo")).distinct()
+    names = F.array(*[F.lit(f"data/raw/{name}_{k}.csv") for name in t.KEYS for k in range(t.SLICES)])
+    return repos.withColumn("name", F.explode(names))

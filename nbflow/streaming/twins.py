@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from nbflow.plans.eventlog import STAGE_OF, _sql
-from nbflow.session import shared_dir, table
+from nbflow.session import table, work_dir
 
 WATERMARK = "10 minutes"
 
@@ -34,7 +34,7 @@ def drained(rows: DataFrame, mode: str = "append") -> DataFrame:
     """Run a stream until its source is empty, and read what it wrote. In complete and update mode each batch is
     written under its number, so a batch that runs again replaces itself."""
     spark = rows.sparkSession
-    out = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
+    out = f"{work_dir(spark)}/stream-{uuid.uuid4().hex}"
     writer = rows.writeStream.outputMode(mode).option("checkpointLocation", f"{out}-state").trigger(availableNow=True)
     if mode == "append":
         query = writer.format("parquet").start(out)
@@ -106,13 +106,26 @@ def closed_lives(events: DataFrame) -> DataFrame:
     return rows.groupBy("user_id").applyInPandasWithState(_automaton, CLOSED, _STATE, "append", GroupStateTimeout.NoTimeout)
 
 
-def late_counts(events: DataFrame, watermark: str = WATERMARK) -> DataFrame:
-    """Events by whether they come later than the watermark allows after the greatest time seen in their file's order;
-    a batch measure, recomputed daily beside a stream, which drops such rows."""
-    from pyspark.sql import Window
+_LATE = "user_id long, late boolean, n long"
 
-    seen = F.max("ts").over(Window.partitionBy("user_id").orderBy("event_id").rowsBetween(Window.unboundedPreceding, -1))
-    return events.withColumn("late", F.coalesce(F.col("ts") < seen - F.expr(f"INTERVAL {watermark}"), F.lit(False))).groupBy("late").agg(F.count("*").alias("n"))
+
+def _late_rows(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+    """How many of a user's rows, in the order in which they were logged, lie further back than the watermark allows
+    from the greatest time seen before them; that time is the state."""
+    rows = pd.concat(list(batches)).sort_values("event_id")
+    us = rows["ts"].astype("int64") // {"ns": 1000, "us": 1}[rows["ts"].dt.unit]
+    least = state.get[0] if state.exists else None
+    seen = us.cummax().shift(1)
+    if least is not None:
+        seen = seen.fillna(least).clip(lower=least)
+    late = int((us < seen - pd.Timedelta(WATERMARK) // pd.Timedelta("1us")).sum())
+    state.update((int(max(us.max(), least if least is not None else us.max())),))
+    yield pd.DataFrame([(key[0], True, late), (key[0], False, len(rows) - late)], columns=["user_id", "late", "n"])
+
+
+def late_counts(events: DataFrame) -> DataFrame:
+    """Per batch, user and whether they come too late: how many events; a stream that drops late rows is watched by it."""
+    return events.select("user_id", "event_id", "ts").groupBy("user_id").applyInPandasWithState(_late_rows, _LATE, "greatest_us long", "update", GroupStateTimeout.NoTimeout)
 
 
 def _plain(df: DataFrame, *times: str) -> DataFrame:
@@ -127,7 +140,7 @@ QUERIES = {
     "st_static_join": lambda s, d: drained(with_stage(event_stream(s, d))),
     "st_stream_join": lambda s, d: drained(purchases_after_clicks(event_stream(s, d))),
     "st_lifecycle": lambda s, d: _plain(drained(closed_lives(event_stream(s, d))), "init_ts", "end_ts"),
-    "st_late": lambda s, d: late_counts(table(s, d, "events")),
+    "st_late": lambda s, d: drained(late_counts(event_stream(s, d)), "update").groupBy("late").agg(F.sum("n").alias("n")).filter("n > 0"),
 }
 _CASE = "CASE event_type WHEN 'signup' THEN 'init' WHEN 'click' THEN 'wrangle' WHEN 'view' THEN 'inspect' WHEN 'purchase' THEN 'utilize' WHEN 'error' THEN 'exception' END"
 _O = "OVER (PARTITION BY user_id ORDER BY ts, event_id)"

@@ -13,10 +13,12 @@ from pyspark.sql import functions as F
 from nbflow import experiments
 from nbflow.functions import metrics as m
 from nbflow.functions import sandbox
+from nbflow.operators import examples as ex
 from nbflow.operators import generators as g
 from nbflow.operators import inputs, scoring
 
 SF = "/root/testdata/sf0.01"
+STEP = sandbox.CELL_STEP
 
 
 def test_identity_and_nothing_in_common():
@@ -53,21 +55,52 @@ FILES = {"a.csv": "k,v\n1,2.5\n2,\n3,4.0\n"}
 
 
 def test_replay_records_both_frames():
-    found, error = run(*CELLS, spans=[("t", "df", 1000, 3000, None)], files=FILES)
+    found, error = run(*CELLS, spans=[("t", "df", STEP, 3 * STEP, None)], files=FILES)
     assert error is None and found["t"]["before"]["n_rows"] == 3 and found["t"]["after"]["n_rows"] == 2
     assert found["t"]["before"]["rows"][1] == ["2", None]
 
 
 def test_candidates_run_on_their_own_copy():
-    found, _ = run(*CELLS, spans=[("t", "df", 1000, 3000, None), ("ok", "df", 1000, 3000, "df = df[df['v'] > 0]"), ("bad", "df", 1000, 3000, "df['nope']")], files=FILES)
+    found, _ = run(*CELLS, spans=[("t", "df", STEP, 3 * STEP, None), ("ok", "df", STEP, 3 * STEP, "df = df[df['v'] > 0]"), ("bad", "df", STEP, 3 * STEP, "df['nope']")], files=FILES)
     assert found["ok"]["after"]["strict"] == found["t"]["after"]["strict"] and found["bad"]["error"] == "KeyError"
 
 
+def test_a_candidate_that_hangs_or_exits_fails_alone():
+    found, error = sandbox.limited(
+        lambda: sandbox.replay(
+            list(enumerate(CELLS)),
+            [("t", "df", STEP, 3 * STEP, None)] + [(k, "df", STEP, 3 * STEP, code) for k, code in (("ok", "df = df.dropna()"), ("hang", "while True: pass"), ("exit", "raise SystemExit"), ("spoil", "df.drop(df.index, inplace=True)\npd.merge = None"))],
+            FILES,
+            1,
+        ),
+        60,
+    )
+    assert error is None and {k: v["error"] for k, v in found.items()} == {"t": None, "ok": None, "hang": "TimeoutError", "exit": "SystemExit", "spoil": None}
+    assert found["ok"]["after"] == found["t"]["after"]
+
+
+def test_each_cell_has_its_own_time():
+    slow = "import datetime\nt = datetime.datetime.now()\nwhile (datetime.datetime.now() - t).total_seconds() < 0.7: pass"
+    assert sandbox.limited(lambda: sandbox.replay([(i, slow) for i in range(4)], [], {}, 1), 60) == ({}, None)
+    assert sandbox.limited(lambda: sandbox.replay([(0, slow), (1, "try:\n    while True: pass\nexcept Exception: pass")], [], {}, 1), 60)[1] == "TimeoutError"
+
+
+def test_two_models_on_one_notebook(spark):
+    cells = spark.createDataFrame([(1, i, "code", c) for i, c in enumerate(CELLS)], "nb_id long, cell_idx int, kind string, source string")
+    files = spark.createDataFrame([("a.csv", FILES["a.csv"])], "name string, csv string")
+    spans = spark.createDataFrame([(1, "truth", "df", STEP, 3 * STEP, None)], "nb_id long, id string, var string, begin_pos long, end_pos long, candidate string")
+    frames = ex.replay(spark, ex.bundles(cells, spans), files, 5)
+    examples = frames.select(F.lit("e").alias("example_id"), F.lit(1).cast("long").alias("nb_id"), F.lit("df").alias("var"), F.lit(STEP).alias("begin_pos"), F.lit(3 * STEP).alias("end_pos"), "out_frame")
+    asked = spark.createDataFrame([("e", "good", "full", "df = df.dropna()"), ("e", "bad", "full", "while True: pass"), ("e", "worse", "full", "raise SystemExit")], "example_id string, model string, ctx string, code string")
+    rows = {r["model"]: (r["ea"], r["outcome"]) for r in scoring.execute(spark, asked, examples, cells, files, 2).collect()}
+    assert rows == {"good": (True, "ok"), "bad": (False, "TimeoutError"), "worse": (False, "SystemExit")}
+
+
 def test_sandbox_limits():
     assert run("import os")[1] == "ImportError" and run("open('/etc/passwd')")[1] == "NameError"
     assert run("import pandas as pd\npd.read_csv('none.csv')")[1] == "FileNotFoundError"
     began = time.time()
-    assert sandbox.limited(lambda: sandbox.replay([(0, "while True: pass")], [], {}), 1)[1] in ("TimeoutError", "Killed")
+    assert sandbox.limited(lambda: sandbox.replay([(0, "while True: pass")], [], {}, 1), 20)[1] in ("TimeoutError", "Killed")
     assert time.time() - began < 10
 
 
@@ -108,7 +141,8 @@ def test_corpus_invariants(corpus):
     rows = corpus.examples.collect()
     assert rows
     for r in rows:
-        assert r["n_code_cells"] <= 10 and r["in_frame"]["strict"] != r["out_frame"]["strict"] and len(r["in_frame"]["rows"]) <= 10
+        assert r["n_code_cells"] <= 10 and r["in_frame"]["strict"] != r["out_frame"]["strict"] 
+        assert len(r["in_frame"]["rows"]) == (r["in_frame"]["n_rows"] if r["split"] == "test" else min(10, r["in_frame"]["n_rows"]))
         compile(r["merged_ctx"], "context", "exec")
     targets = [r["target_code"] for r in rows]
     assert len(set(targets)) == len(targets)
@@ -140,6 +174,35 @@ def test_generators_answer_every_example_and_data_helps(spark, corpus):
         assert model.fit(corpus.train).generate(corpus.test).count() == n
     head = g.LowRankHead(epochs=6).fit(corpus.train)
     assert head.losses[-1] < head.losses[0]
+    held = g.LowRankHead(epochs=6, patience=0).fit(corpus.train, corpus.dev)
+    assert 1 <= len(held.dev_losses) <= 6
+
+
+def test_prompts_are_code_throughout(corpus):
+    for r in inputs.build_prompt(corpus.test, inputs.ring_demos(corpus.train, corpus.test), pool=corpus.train).collect():
+        compile(r["prompt"], "prompt", "exec")
+
+
+def test_less_context_gives_lower_marks(spark):
+    rows = {(r["model"], r["ctx"]): r for r in experiments.context_ablation(spark, SF).collect()}
+    assert len(rows) == 14
+    for model in experiments.VARIED:
+        assert rows[model, "in+out"]["ea"] <= rows[model, "full"]["ea"] and rows[model, "in+out+text"]["ea"] <= rows[model, "in+out+code"]["ea"]
+
+
+def test_the_case_study_needs_all_of_both_frames(spark):
+    rows = experiments.case_study(spark, SF).collect()
+    assert rows and all(r["ea"] == (r["ctx"] == "all") == r["em"] for r in rows)
+    assert {r["outcome"] for r in rows if r["ctx"] == "no column names"} == {"KeyError"}
+
+
+def test_external_models_answer_prompts(spark, corpus):
+    def make():
+        return lambda prompts: [f"# {len(p)}" for p in prompts]
+
+    rows = g.ExternalGenerator(make).fit(corpus.train).generate(corpus.test).collect()
+    sizes = {r["example_id"]: len(r["prompt"]) for r in inputs.build_prompt(corpus.test).collect()}
+    assert {r["example_id"]: r["code"] for r in rows} == {k: f"# {n}" for k, n in sizes.items()}
 
 
 def test_nearest_is_exact(spark):

@@ -22,11 +22,12 @@ def stages(spark, *cells, var="df", **options):
     return [(r["pos"], r["stage"]) for r in rows.filter("stage <> 'other'").orderBy("pos").collect()]
 
 
+STEP = mining.CELL_STEP
 LOAD = "import pandas as pd\ndf = pd.read_csv('a.csv')"
 
 
 def test_lifecycle_of_one_frame(spark):
-    assert stages(spark, LOAD, "df.head()", "df = df.dropna()", "df", "df.plot()") == [(1, "init"), (1000, "inspect"), (2000, "wrangle"), (3000, "inspect"), (4000, "utilize")]
+    assert stages(spark, LOAD, "df.head()", "df = df.dropna()", "df", "df.plot()") == [(1, "init"), (1 * STEP, "inspect"), (2 * STEP, "wrangle"), (3 * STEP, "inspect"), (4 * STEP, "utilize")]
 
 
 def test_alias_and_look_alike(spark):
@@ -36,37 +37,37 @@ def test_alias_and_look_alike(spark):
 
 
 def test_self_reassignment_wrangles_and_new_name_does_not(spark):
-    assert stages(spark, LOAD, "df = pd.merge(df, df)") == [(1, "init"), (1000, "wrangle")]
+    assert stages(spark, LOAD, "df = pd.merge(df, df)") == [(1, "init"), (1 * STEP, "wrangle")]
     assert stages(spark, LOAD, "other = df.dropna()") == [(1, "init")]
 
 
 def test_in_place_changes(spark):
-    assert stages(spark, LOAD, "df.dropna(inplace=True)", "df['a'] = 1", "del df['a']", "df += 1", "df.loc[0, 'a'] = 2") == [(1, "init")] + [(i * 1000, "wrangle") for i in range(1, 6)]
+    assert stages(spark, LOAD, "df.dropna(inplace=True)", "df['a'] = 1", "del df['a']", "df += 1", "df.loc[0, 'a'] = 2") == [(1, "init")] + [(i * STEP, "wrangle") for i in range(1, 6)]
     assert stages(spark, LOAD, "df['a'] = 1", subscript_store=False) == [(1, "init")]
 
 
 def test_operations_on_live_frames_begin_frames(spark):
-    assert stages(spark, LOAD, "a = df[['x']]\nb = a * 2\nc = b[['y']]", var="c") == [(1002, "init")]
+    assert stages(spark, LOAD, "a = df[['x']]\nb = a * 2\nc = b[['y']]", var="c") == [(1 * STEP + 2, "init")]
     assert stages(spark, "x = [1, 2]\ny = x[0]", var="y") == [(1, "kill")]
-    assert stages(spark, LOAD, "w = df.corr()", var="w") == [(1000, "init")]
+    assert stages(spark, LOAD, "w = df.corr()", var="w") == [(1 * STEP, "init")]
 
 
 def test_kill_ends_liveness(spark):
-    assert stages(spark, LOAD, "df = 3", "df.head()") == [(1, "init"), (1000, "kill")]
+    assert stages(spark, LOAD, "df = 3", "df.head()") == [(1, "init"), (1 * STEP, "kill")]
 
 
 def test_reinitialisation_numbers_lives(spark):
     rows = mining.lifecycles(mining.label_stages(mining.parse_cells(notebook(spark, LOAD, "df = pd.read_csv('b')", "df = df.dropna()", "df.hist()")))).filter("var = 'df'")
-    assert [(r["life_no"], r["end_pos"]) for r in rows.orderBy("life_no").collect()] == [(1, None), (2, 3000)]
+    assert [(r["life_no"], r["end_pos"]) for r in rows.orderBy("life_no").collect()] == [(1, None), (2, 3 * STEP)]
 
 
 def test_inspection_position(spark):
     assert stages(spark, LOAD, "df.head()\nx = 1", inspect_position="last_line") == [(1, "init")]
-    assert stages(spark, LOAD, "x = 1\ndf.head()", inspect_position="last_line") == [(1, "init"), (1001, "inspect")]
+    assert stages(spark, LOAD, "x = 1\ndf.head()", inspect_position="last_line") == [(1, "init"), (1 * STEP + 1, "inspect")]
 
 
 def test_utilization_needs_the_variable(spark):
-    assert stages(spark, LOAD, "import seaborn as sns\nsns.barplot(x=1)", "sns.barplot(data=df)", "ax = df['a'].hist()") == [(1, "init"), (2000, "utilize"), (3000, "utilize")]
+    assert stages(spark, LOAD, "import seaborn as sns\nsns.barplot(x=1)", "sns.barplot(data=df)", "ax = df['a'].hist()") == [(1, "init"), (2 * STEP, "utilize"), (3 * STEP, "utilize")]
 
 
 @pytest.mark.parametrize("api", apidb.LOADERS + apidb.CONSTRUCTORS + apidb.MANIPULATIONS)
@@ -106,7 +107,7 @@ def test_target_spans_cells_and_keeps_comments(spark):
     targets, contexts, _ = mined(spark, *BOOK)
     [row] = targets.collect()
     assert row["target_code"] == "# first step\ndf = df.dropna()\ndf['a'] = df['b'] * n"
-    assert (row["begin_pos"], row["end_pos"], row["n_wrangle"]) == (3000, 8000, 2)
+    assert (row["begin_pos"], row["end_pos"], row["n_wrangle"]) == (3 * STEP, 8 * STEP, 2)
     [c] = contexts.collect()
     assert c["prelude"] == "import pandas as pd\nn = 3"
     assert c["code_ctx"] == "df = pd.read_csv('a.csv')\ndf.head()"
@@ -139,9 +140,9 @@ def test_renaming_variables_keeps_stages(spark):
 def test_def_use_and_slices(spark):
     stmts = mining.parse_cells(notebook(spark, "a = 1", "b = a", "c = b", "print(c)"))
     edges = mining.def_use(stmts).filter("def_pos is not null")
-    assert sorted((r["use_pos"], r["def_pos"]) for r in edges.collect()) == [(1000, 0), (2000, 1000), (3000, 2000)]
-    seeds = spark.createDataFrame([(1, 3000)], "nb_id long, pos long")
-    assert sorted((r["pos"], r["hops"]) for r in mining.slice_back(edges, seeds, 2).collect()) == [(1000, 2), (2000, 1)]
+    assert sorted((r["use_pos"], r["def_pos"]) for r in edges.collect()) == [(STEP, 0), (2 * STEP, STEP), (3 * STEP, 2 * STEP)]
+    seeds = spark.createDataFrame([(1, 3 * STEP)], "nb_id long, pos long")
+    assert sorted((r["pos"], r["hops"]) for r in mining.slice_back(edges, seeds, 2).collect()) == [(STEP, 2), (2 * STEP, 1)]
 
 
 def test_paths(spark):
@@ -154,6 +155,27 @@ def test_paths(spark):
     assert flat[2] == "z = 'b.csv'" and flat[0] != flat[1] and "/" not in flat[0]
 
 
+def test_paths_within_paths_stay_whole(spark):
+    cells = notebook(spark, "a = read('data/f.csv')", "b = read('x/data/f.csv')", 'c = read("x/data/f.csv")')
+    refs = collect.path_literals(mining.parse_cells(cells))
+    flat = {r["raw"]: r["flat"] for r in collect.flat_names(refs.select("raw").distinct(), "raw").collect()}
+    sources = [r["source"] for r in collect.flatten_paths(cells, refs).orderBy("cell_idx").collect()]
+    assert sources == [f"a = read('{flat['data/f.csv']}')", f"b = read('{flat['x/data/f.csv']}')", f'c = read("{flat["x/data/f.csv"]}")']
+
+
+def test_paths_are_resolved_in_their_own_repository(spark):
+    refs = spark.createDataFrame([(1, "r", "data/a.csv"), (2, "s", "data/a.csv"), (3, "t", "data/a.csv"), (4, "u", "a.csv")], "nb_id long, repo string, raw string")
+    files = spark.createDataFrame([("r", "data/a.csv"), ("r", "old/a.csv"), ("s", "input/a.csv"), ("u", "x/a.csv"), ("u", "y/a.csv")], "repo string, name string")
+    found = {r["nb_id"]: r["name"] for r in collect.resolve_paths(refs, files, ("repo",)).collect()}
+    assert found == {1: "data/a.csv", 2: "input/a.csv", 3: None, 4: None}
+
+
+def test_cells_of_many_statements_keep_their_places(spark):
+    many = "\n".join(["x = 1"] * 1500)
+    rows = mining.parse_cells(notebook(spark, many, "y = 2")).select("pos").distinct()
+    assert rows.count() == 1501
+
+
 def test_parser_facts():
     [s] = parse_cell("df = df.dropna().reset_index()  # tidy")
     assert [c[1] for c in s.calls] == ["dropna", "reset_index"] and s.comments == ["tidy"] and s.api == "reset_index"

@@ -66,6 +66,20 @@ def shared_ids(rows: DataFrame) -> bool:
     return bool(rows.groupBy("doc_id").count().filter("count > 1").limit(1).count())
 
 
+#: Keys that may be hot, and rows that a key has at least to be so.
+MOST_HOT, HOT_ROWS = 1000, 1000
+
+
+def joined_with_hot_keys(left: DataFrame, right: DataFrame, key: str, n: str, rows: int, how: str = "inner") -> DataFrame:
+    """The inner or semi join of ``left``, which has ``rows`` rows, with ``right``, which has one row per key, with the
+    number ``n`` of the key's rows in ``left``. No more than ``MOST_HOT`` keys can each have more than that share of all
+    rows, so those are broadcast, and their rows never meet in one task; the other keys' groups are small."""
+    is_hot = F.col(n) > max(HOT_ROWS, rows // MOST_HOT)
+    hot, cool = F.broadcast(right.filter(is_hot).drop(n)), right.filter(~is_hot).drop(n)
+    rest = left.join(hot.select(key), key, "left_anti")
+    return left.join(hot, key, how).unionByName(rest.join(cool, key, how))
+
+
 def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 

@@ -6,9 +6,8 @@ compared byte by byte: should two forms share a digest, their order among the fo
 appended, so that fingerprints are equal exactly when forms are. Only forms whose digest occurs more than
 once travel for the comparison, folded per task first. The likeness of two exact fingerprints is 1 or 0.
 
-Digests that many documents have are marked without a shuffle: no more than ``MOST_HOT`` digests can each be that of
-more than that share of all documents, so their list may be broadcast; the others' groups are small. Documents are read
-in order in buckets of bounded size, however many there are.
+Digests that many documents have are marked without a shuffle. Documents are read in order in buckets of bounded size,
+however many there are.
 
 Defined cases: a null text counts as empty; the next document is the one before in ascending doc_id, the
 first after the last; rows that share a doc_id follow one another by text; a missing doc_id counts as the
@@ -26,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import NO_ID, partitions, settle, small_batches, text_or_empty, text_views
+from nbflow.llm.common import NO_ID, joined_with_hot_keys, partitions, settle, small_batches, text_or_empty, text_views
 
 
 def canonical(text: str) -> str:
@@ -48,8 +47,8 @@ def _texts(batch) -> list[str]:
     return [body[a:b].decode("utf-8", "replace") for a, b in zip(at[:-1], at[1:], strict=True)]
 
 
-#: Digests that may be hot, documents that a digest has at least to be so, bytes of a bucket, and of the forms a task keeps.
-MOST_HOT, HOT_DOCS, BUCKET_BYTES, FORM_BYTES = 1000, 1000, 32 << 20, 32 << 20
+#: Bytes of a bucket, and of the forms that a task keeps.
+BUCKET_BYTES, FORM_BYTES = 32 << 20, 32 << 20
 _DIGESTS = pa.schema([("doc_id", pa.int64()), ("digest", pa.string()), ("size", pa.int64())])
 
 
@@ -159,9 +158,7 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     found = settle(rows.mapInArrow(_digests, "doc_id long, digest string, size long"), "digests")
     n_docs, n_bytes = found.agg(F.count("*"), F.coalesce(F.sum("size"), F.lit(0))).first()
     again = settle(found.groupBy("digest").agg(F.count("*").alias("n")).filter("n > 1"), "again")
-    limit = max(HOT_DOCS, n_docs // MOST_HOT)
-    hot, cool = F.broadcast(again.filter(F.col("n") > limit).select("digest")), again.filter(F.col("n") <= limit).select("digest")
-    marked = found.join(hot, "digest", "left_anti").join(cool, "digest", "left_semi").unionByName(found.join(hot, "digest", "left_semi")).select("doc_id").distinct()
+    marked = joined_with_hot_keys(found.select("doc_id", "digest"), again, "digest", "n", n_docs, "left_semi").select("doc_id").distinct()
 
     # cuts of the order of doc_ids, one per bucket, and the last document of each part: as many numbers as buckets
     parts = max(partitions(spark), -(-n_bytes // BUCKET_BYTES))

@@ -104,8 +104,8 @@ _NEAR = """
     s AS (SELECT DISTINCT doc_id, array_to_string(w[i:i + 2], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w) - 2, 1) + 1)) AS i FROM w WHERE len(w) > 0)),
     classes AS (SELECT doc_id, min(doc_id) OVER (PARTITION BY d) AS rep, n FROM (SELECT doc_id, md5(string_agg(s, chr(10) ORDER BY s)) AS d, count(*) AS n FROM s GROUP BY 1)),
     r AS (SELECT s.* FROM s JOIN classes USING (doc_id) WHERE doc_id = rep),
-    both AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS c FROM r x JOIN r y ON x.s = y.s AND x.doc_id < y.doc_id GROUP BY ALL)
-    SELECT a, b, c / (p.n + q.n - c) AS similarity FROM both JOIN classes p ON p.doc_id = a JOIN classes q ON q.doc_id = b WHERE c / (p.n + q.n - c) >= 0.8
+    met AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS c FROM r x JOIN r y ON x.s = y.s AND x.doc_id < y.doc_id GROUP BY ALL)
+    SELECT a, b, c / (p.n + q.n - c) AS similarity FROM met JOIN classes p ON p.doc_id = a JOIN classes q ON q.doc_id = b WHERE c / (p.n + q.n - c) >= 0.8
     UNION ALL SELECT rep, doc_id, 1.0 FROM classes WHERE doc_id <> rep"""
 query("a4b_near_dup", _NEAR)(lambda s, d: collect.near_duplicates(table(s, d, "documents")))
 query("a5_language", "SELECT DISTINCT conv_id AS nb_id FROM conversations WHERE conv_id % 17 <> 0")(lambda s, d: collect.filter_language(render.notebook_facts(s, d)).select("nb_id"))

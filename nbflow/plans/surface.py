@@ -86,18 +86,18 @@ _query("agg_stats", "SELECT p_type, round(stddev_samp(p_retailprice), 4) AS s, r
 _query("agg_approx", "SELECT true AS close", "documents")(lambda d: d.agg((F.abs(F.approx_count_distinct("text", 0.02) - F.count_distinct("text")) <= 0.1 * F.count_distinct("text")).alias("close")))
 
 # --- sets
-_WORDS = "SELECT DISTINCT w FROM (SELECT unnest(string_split(p_name, ' ')) AS w, p_size, p_retailprice FROM part) WHERE {}"
+_WORDS = "SELECT DISTINCT p_name FROM part WHERE {}"
 
 
 def _vocabulary(p, condition):
-    return p.filter(condition).select(F.explode(F.split("p_name", " ")).alias("w"))
+    return p.filter(condition).select("p_name")
 
 
-_LEFT, _RIGHT = "p_size < 20", "p_retailprice > 1000"
+_LEFT, _RIGHT = "p_size < 3", "p_retailprice > 995"
 _query("set_union", f"{_WORDS.format(_LEFT)} UNION {_WORDS.format(_RIGHT)}", "part")(lambda p: _vocabulary(p, _LEFT).union(_vocabulary(p, _RIGHT)).distinct())
 _query("set_union_all", "SELECT s_nationkey AS k FROM supplier UNION ALL SELECT n_nationkey FROM nation", "supplier", "nation")(lambda s, n: s.select(F.col("s_nationkey").alias("k")).union(n.select("n_nationkey")))
 _query("set_intersect", f"{_WORDS.format(_LEFT)} INTERSECT {_WORDS.format(_RIGHT)}", "part")(lambda p: _vocabulary(p, _LEFT).intersect(_vocabulary(p, _RIGHT)))
-_query("set_except", "SELECT n_nationkey AS k FROM nation EXCEPT SELECT c_nationkey FROM customer WHERE c_acctbal > 9000", "nation", "customer")(lambda n, c: n.select(F.col("n_nationkey").alias("k")).subtract(c.filter("c_acctbal > 9000").select("c_nationkey")))
+_query("set_except", "SELECT n_nationkey AS k FROM nation EXCEPT SELECT c_nationkey FROM customer WHERE c_acctbal > 9700", "nation", "customer")(lambda n, c: n.select(F.col("n_nationkey").alias("k")).subtract(c.filter("c_acctbal > 9700").select("c_nationkey")))
 _query("set_except_all", "SELECT l_orderkey, l_linenumber FROM lineitem EXCEPT ALL SELECT DISTINCT l_orderkey, l_linenumber FROM lineitem", "lineitem")(lambda t: t.select("l_orderkey", "l_linenumber").exceptAll(t.select("l_orderkey", "l_linenumber").distinct()))
 
 # --- joins

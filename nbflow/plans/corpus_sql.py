@@ -256,7 +256,16 @@ def _funnel() -> str:
 
 _GUESSED = {"all": "true", "no column names": "false", "no values": "false", "no input frame": "false", "no output frame": "false"}
 
+_SEEN_TOKENS = f"SELECT *, list_distinct(regexp_extract_all(concat_ws({NL}, {context()}, {data()}), '\\w+|[^\\w\\s]')) AS seen FROM examples"
+_BEST_DEMO = f"""
+    , seen AS ({_SEEN_TOKENS}),
+    alike AS (SELECT r.example_id, r.demo_id, row_number() OVER (PARTITION BY r.example_id ORDER BY len(list_intersect(a.seen, b.seen)) / len(list_distinct(list_concat(a.seen, b.seen))) DESC, demo_rank) AS nth FROM ring r JOIN seen a ON a.example_id = r.example_id JOIN seen b ON b.example_id = r.demo_id)
+    SELECT e.example_id, regexp_replace(p.target_code, '\\b' || p.var || '\\b', e.var, 'g') AS code, code = e.target_code AS em FROM alike JOIN examples e USING (example_id) JOIN examples p ON p.example_id = demo_id WHERE nth = 1"""
+_KIND = "CASE WHEN starts_with(src, 'import ') OR starts_with(src, 'from ') THEN 'import' WHEN stores = 1 OR len(defs) > 0 THEN 'assign' ELSE 'expr' END"
+
 SQL: dict[str, str] = {
+    "udtf_parse": _with(STATEMENTS, f"SELECT nb_id, {_KIND} AS kind, count(*) AS n FROM stm GROUP BY ALL"),
+    "d10_prompt_copy": _with(PROMPTS, _BEST_DEMO),
     "b2_api_seq": _with(STATEMENTS, f"{_NAMED} FROM ({_CALLS})"),
     "b3_alias": _with(STATEMENTS, f"SELECT c.*, module FROM ({_NAMED} FROM ({_CALLS})) c LEFT JOIN modules ON alias = receiver"),
     "b5_api_freq": _with(STATEMENTS, f"SELECT api, count(*) AS n FROM ({_NAMED} FROM ({_CALLS})) GROUP BY 1"),

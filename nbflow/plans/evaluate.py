@@ -150,11 +150,11 @@ for _name, _make in {
     "d8u": lambda c: g.JointRetriever("ast").fit(c.train),
     "d8i": lambda c: g.JointRetriever("identifier").fit(c.train),
     "d8d": lambda c: g.JointRetriever("denoise").fit(c.train),
-    "d10_prompt_copy": lambda c: g.PromptCopy(2).fit(c.train),
     "d11_lowrank": lambda c: g.LowRankHead().fit(c.train, c.dev),
     "d12_pbe": lambda c: g.ByExample().fit(c.train),
 }.items():
     query(_name)(lambda s, d, make=_make: _surface(s, d, lambda c: make(c).generate(c.test)))
+query("d10_prompt_copy")(lambda s, d: _exact(s, d, lambda c: g.PromptCopy(2).fit(c.train).generate(c.test)))
 query("d13_copy_last")(lambda s, d: _exact(s, d, lambda c: g.CopyLast().generate(c.test)))
 query("d13_mode")(lambda s, d: _exact(s, d, lambda c: g.ModeTarget().fit(c.train).generate(c.test)))
 query("d14_corrupt")(lambda s, d: _exact(s, d, lambda c: g.corrupt(c.test, 100, "rename_col")))

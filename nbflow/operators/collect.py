@@ -169,7 +169,7 @@ def _sketches(k: int, hashes: int, rows: int):
     return run
 
 
-def near_duplicates(documents: DataFrame, threshold: float = 0.8, k: int = 3, hashes: int = 80, rows: int = 4) -> DataFrame:
+def near_duplicates(documents: DataFrame, threshold: float = 0.8, k: int = 5, hashes: int = 80, rows: int = 4) -> DataFrame:
     """(a, b, similarity): pairs of documents that share a min-hash band and whose k-word shingle sets are similar, verified
     on the sets. Copies are not paired with one another: of equal sets, the smallest doc_id stands for all and is paired
     with each of them, at 1, and with other sets' smallest.

@@ -101,7 +101,7 @@ query("a3_dedup_exact", "SELECT min(doc_id) AS doc_id FROM documents GROUP BY te
 query("a4_forks", "SELECT doc_id FROM documents d WHERE source = (SELECT arg_min(source, doc_id) FROM documents e WHERE e.text = d.text)")(lambda s, d: collect.drop_forks(table(s, d, "documents"), "text", "source", "doc_id").select("doc_id"))
 _NEAR = """
     WITH w AS (SELECT doc_id, regexp_extract_all(lower(text), '[^ \\t\\n\\r\\f\\v]+') AS w FROM documents),
-    s AS (SELECT DISTINCT doc_id, array_to_string(w[i:i + 2], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w) - 2, 1) + 1)) AS i FROM w WHERE len(w) > 0)),
+    s AS (SELECT DISTINCT doc_id, array_to_string(w[i:i + 4], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w) - 4, 1) + 1)) AS i FROM w WHERE len(w) > 0)),
     classes AS (SELECT doc_id, min(doc_id) OVER (PARTITION BY d) AS rep, n FROM (SELECT doc_id, md5(string_agg(s, chr(10) ORDER BY s)) AS d, count(*) AS n FROM s GROUP BY 1)),
     r AS (SELECT s.* FROM s JOIN classes USING (doc_id) WHERE doc_id = rep),
     met AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS c FROM r x JOIN r y ON x.s = y.s AND x.doc_id < y.doc_id GROUP BY ALL)

@@ -5,6 +5,7 @@ from __future__ import annotations
 import math
 import time
 
+import numpy as np
 import pytest
 from hypothesis import given
 from hypothesis import strategies as st
@@ -198,7 +199,7 @@ def test_the_case_study_needs_all_of_both_frames(spark):
 
 def test_external_models_answer_prompts(spark, corpus):
     def make():
-        return lambda prompts: [f"# {len(p)}" for p in prompts]
+        return lambda prompts: np.array([f"# {len(p)}" for p in prompts], dtype=object)
 
     rows = g.ExternalGenerator(make).fit(corpus.train).generate(corpus.test).collect()
     sizes = {r["example_id"]: len(r["prompt"]) for r in inputs.build_prompt(corpus.test).collect()}

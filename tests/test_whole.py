@@ -20,7 +20,7 @@ def test_near_duplicates_equal_brute_force(spark, monkeypatch):
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     found = collect.near_duplicates(docs).collect()
     words = {i: re.split(r"\s+", t) for i, t in enumerate(texts)}
-    sets = {i: {tuple(w[j : j + 3]) for j in range(max(len(w) - 2, 1))} for i, w in words.items()}
+    sets = {i: {tuple(w[j : j + 5]) for j in range(max(len(w) - 4, 1))} for i, w in words.items()}
     least = {i: min(j for j in sets if sets[j] == sets[i]) for i in sets}
     likeness = {(a, b): len(sets[a] & sets[b]) / len(sets[a] | sets[b]) for a, b in itertools.combinations(sorted(set(least.values())), 2)}
     expected = [(*k, round(x, 9)) for k, x in likeness.items() if x >= 0.8] + [(a, i, 1.0) for i, a in least.items() if i != a]

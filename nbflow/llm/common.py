@@ -80,6 +80,18 @@ def joined_with_hot_keys(left: DataFrame, right: DataFrame, key: str, n: str, ro
     return left.join(hot, key, how).unionByName(rest.join(cool, key, how))
 
 
+def with_both(pairs: DataFrame, rows: DataFrame, value: str) -> DataFrame:
+    """``pairs`` (a, b), written already, with v_a and v_b: the ``value`` that ``rows`` (key, value) has of each. A key that
+    is in very many pairs is spread over parts, each of which gets a copy of its value."""
+    n_pairs, out = pairs.count(), pairs
+    for side in ("b", "a"):
+        parts = pairs.groupBy(side).agg(F.count("*").alias("times")).withColumn("parts", F.ceil(F.col("times") / HOT_ROWS).cast("int"))
+        out = joined_with_hot_keys(out, parts, side, "times", n_pairs).withColumn("part", F.pmod(F.xxhash64("a", "b"), "parts").cast("int")).drop("parts")
+        values = rows.join(parts.select(F.col(side).alias("key"), "parts"), "key").select(F.col("key").alias(side), F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.col(value).alias(f"v_{side}"))
+        out = out.join(values, [side, "part"]).drop("part")
+    return out
+
+
 def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 

@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from nbflow.llm.common import NO_ID, P_CHECK, P_WORD, Rolling, buckets_for, discard, fresh, lowered, mixed, pieces_of, settle, small_batches, text_or_empty, word_hashes, word_spans
+from nbflow.llm.common import NO_ID, P_CHECK, P_WORD, Rolling, buckets_for, discard, fresh, joined_with_hot_keys, lowered, mixed, pieces_of, settle, small_batches, text_or_empty, with_both, word_hashes, word_spans
 from nbflow.llm.components import components
 from nbflow.llm.packed import BITS, MASK, Holders, spread, told
 
@@ -210,9 +210,8 @@ def _verify(percent: int):
 
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Those of ``pairs`` (a, b) that link."""
-    left = sets.select(F.col("key").alias("a"), F.col("size").alias("n_a"), F.col("values").alias("v_a"))
-    right = sets.select(F.col("key").alias("b"), F.col("size").alias("n_b"), F.col("values").alias("v_b"))
-    return pairs.join(right, "b").join(left, "a").select("a", "n_a", "v_a", "b", "n_b", "v_b").mapInArrow(_verify(percent), "a long, b long")
+    both = with_both(pairs, sets.select("key", F.struct("size", "values").alias("set")), "set")
+    return both.select("a", F.col("v_a.size").alias("n_a"), F.col("v_a.values").alias("v_a"), "b", F.col("v_b.size").alias("n_b"), F.col("v_b.values").alias("v_b")).mapInArrow(_verify(percent), "a long, b long")
 
 
 def word_shingles(text: str, k: int) -> set[tuple[bytes, ...]]:
@@ -264,8 +263,7 @@ def word_by_word(links: DataFrame, rows: DataFrame, classes: DataFrame, k: int,
     """Those of ``links`` (a, b: classes) whose documents' shingles, as words, are similar enough."""
     wanted = links.select(F.explode(F.array("a", "b")).alias("key")).distinct().join(classes, "key").select(F.col("least").alias("doc_id"), "key")
     texts = settle(rows.join(wanted, "doc_id").select("doc_id", "text", "key").mapInArrow(_own_texts(k, seed), "key long, text string"), "linked-texts")
-    left, right = texts.select(F.col("key").alias("a"), F.col("text").alias("t_a")), texts.select(F.col("key").alias("b"), F.col("text").alias("t_b"))
-    both = links.join(right, "b").join(left, "a").select("a", "t_a", "b", "t_b")
+    both = with_both(links, texts, "text").select("a", F.col("v_a").alias("t_a"), "b", F.col("v_b").alias("t_b"))
     out = settle(both.mapInArrow(_compared(k, percent), "a long, b long").distinct(), "links")
     discard(texts)
     return out
@@ -361,8 +359,8 @@ def _in_blocks(rows: DataFrame) -> DataFrame:
     """Rows of tokens with block, i and j: once for each two blocks (i <= j) in which they meet. Rows of the token's most
     frequent component are blocks of their own, which meet only the others' blocks."""
     by_root = rows.groupBy("token", "root").agg(F.count("*").alias("c"))
-    sizes = by_root.groupBy("token").agg(F.max(F.struct("c", "root")).alias("m"), F.sum("c").alias("c")).select("token", F.col("m.root").alias("main"), F.ceil((F.col("c") - F.col("m.c")) / BLOCK_ROWS).cast("int").alias("few"), F.ceil(F.col("m.c") / BLOCK_ROWS).cast("int").alias("most"))
-    placed = rows.join(sizes, "token").withColumn("h", F.xxhash64("key"))
+    sizes = by_root.groupBy("token").agg(F.max(F.struct("c", "root")).alias("m"), F.sum("c").alias("c")).select("token", "c", F.col("m.root").alias("main"), F.ceil((F.col("c") - F.col("m.c")) / BLOCK_ROWS).cast("int").alias("few"), F.ceil(F.col("m.c") / BLOCK_ROWS).cast("int").alias("most"))
+    placed = joined_with_hot_keys(rows, sizes, "token", "c", rows.count()).withColumn("h", F.xxhash64("key"))
     is_main = F.col("root") == F.col("main")
     placed = placed.withColumn("block", F.when(is_main, F.col("few") + F.pmod("h", "most")).otherwise(F.pmod("h", "few")).cast("int"))
     others = F.sequence(F.lit(0), F.when(is_main, F.col("few")).otherwise(F.col("few") + F.col("most")) - 1)
@@ -379,27 +377,29 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     while True:  # until no two shingles of a document and no two different sets share a hash: the first time, but for luck
         known = settle(rows.mapInArrow(_set_keys(k, seed), "doc_id long, key long, check long, n_shingles long, clash boolean"), "sets")
         clash = (F.min("check") != F.max("check")) | F.max("clash")
-        classes = known.filter("n_shingles > 0").groupBy("key").agg(F.min("doc_id").alias("least"), clash.alias("clash"))
+        classes = known.filter("n_shingles > 0").groupBy("key").agg(F.min("doc_id").alias("least"), F.count("*").alias("n"), clash.alias("clash"))
         if not classes.filter("clash").limit(1).count():
             break
         discard(known)
         seed += 1
-    classes = classes.select("key", "least")
+    sized = settle(classes.select("key", "least", "n"), "classes")
+    classes = sized.select("key", "least")
     buckets = buckets_for(rows)
     told_sets = told(rows, _holders(k, seed), _shared, buckets, fold=_hot_here)
     sets = settle(told_sets.filter(F.octet_length("values") * 100 >= F.col("size") * 8 * percent), "shared")
 
     prefix = settle(sets.mapInArrow(_prefixes(percent), "token long, key long, n int, own int, place int"), "prefixes")
+    n_prefix, times = prefix.count(), F.count("*").alias("times")
     lead = F.min_by(F.struct("key", "n", "place"), F.struct("own", "key")).alias("lead")
-    starred = prefix.join(prefix.groupBy("token").agg(lead), "token").filter(F.col("lead.key") != F.col("key"))
+    starred = joined_with_hot_keys(prefix, prefix.groupBy("token").agg(lead, times), "token", "times", n_prefix).filter(F.col("lead.key") != F.col("key"))
     fit = _possible(F.col("n").cast("long"), F.col("place"), F.col("lead.n").cast("long"), F.col("lead.place"), percent)
     tried = settle(starred.filter(fit).select(F.least("key", "lead.key").alias("a"), F.greatest("key", "lead.key").alias("b")).distinct(), "pairs")
     links = word_by_word(settle(_verified(tried, sets, percent), "hash-links"), rows, classes, k, seed, percent)
     roots = components(links)
 
     here = prefix.join(roots, "key", "left").withColumn("root", F.coalesce("root", "key"))
-    mixed_tokens = here.groupBy("token").agg(F.min("root").alias("low"), F.max("root").alias("high")).filter("low < high").select("token")
-    cross = settle(here.join(mixed_tokens, "token"), "candidates")
+    mixed_tokens = here.groupBy("token").agg(F.min("root").alias("low"), F.max("root").alias("high"), times).filter("low < high").select("token", "times")
+    cross = settle(joined_with_hot_keys(here, mixed_tokens, "token", "times", n_prefix), "candidates")
     maps = sets.mapInArrow(_bitmaps, "key long, bitmap binary")
     met = _in_blocks(cross).join(maps, "key").select("token", "i", "j", "block", "key", "n", "own", "place", "root", "bitmap")
     pairs = met.repartition("token", "i", "j").sortWithinPartitions("token", "i", "j").mapInArrow(_across(percent), "a long, b long").distinct()
@@ -408,10 +408,12 @@ def similar_groups(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     roots = components(links.unionByName(more))
     discard(prefix, cross, tried, pairs, sets)
 
-    ids = known.join(classes, "key", "left")
     tops = roots.join(classes, "key")
     tops = tops.select("key", "root").join(tops.groupBy("root").agg(F.min("least").alias("top")), "root").select("key", "top")
-    out = ids.join(tops, "key", "left").select("doc_id", "n_shingles", F.when(F.col("n_shingles") == 0, F.col("doc_id")).otherwise(F.coalesce("top", "least")).alias("component_id"))
+    answers = settle(sized.join(tops, "key", "left").select("key", F.coalesce("top", "least").alias("component_id"), "n"), "answers")
+    ids = known.select("doc_id", "key", "n_shingles")
+    found = joined_with_hot_keys(ids.filter("n_shingles > 0"), answers, "key", "n", known.count())
+    out = found.select("doc_id", "n_shingles", "component_id").unionByName(ids.filter("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id")))
     return out.select(F.nullif("doc_id", F.lit(NO_ID)).alias("doc_id"), "n_shingles", F.nullif("component_id", F.lit(NO_ID)).alias("component_id"))
 
 

@@ -12,7 +12,7 @@ import pytest
 from pyspark import cloudpickle
 from pyspark.sql import functions as F
 
-from nbflow.llm import block_anchors, components, deletion_lines, digest_fingerprint, grace_dedup, multi_order_join, suffix_bwt
+from nbflow.llm import block_anchors, common, components, deletion_lines, digest_fingerprint, grace_dedup, multi_order_join, suffix_bwt
 from nbflow.llm.common import documents
 
 SF = "/root/testdata/sf0.001"
@@ -155,6 +155,13 @@ def test_chains_of_near_copies_are_one_group(spark):
     assert got == brute_groups(rows)
 
 
+def test_hot_classes(spark, monkeypatch):
+    monkeypatch.setattr(common, "HOT_ROWS", 3)
+    texts = ["one two three four five six seven"] * 30 + ["one two three four five six seven eight"] + [f"text {i % 8} of some other words" for i in range(40)] + ["", None]
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in multi_order_join.similar_groups(table(spark, texts).repartition(4)).collect()}
+    assert got == brute_groups(list(enumerate(texts)))
+
+
 def test_one_of_each_group_keeps_columns(spark, edges):
     kept = multi_order_join.one_of_each_group(edges[1])
     groups = brute_groups(list(enumerate(edges[0])))
@@ -225,8 +232,8 @@ def test_digest_collisions_are_told_apart(spark, monkeypatch):
 def test_hot_digests_and_small_buckets(spark, monkeypatch):
     rng = random.Random(6)
     texts = ["Hot  text"] * 40 + [f"text {rng.randint(0, 30)}" for _ in range(60)] + [None, "hot text"]
-    for name, value in (("HOT_DOCS", 3), ("BUCKET_BYTES", 64), ("FORM_BYTES", 200)):
-        monkeypatch.setattr(digest_fingerprint, name, value)
+    for module, name, value in ((common, "HOT_ROWS", 3), (digest_fingerprint, "BUCKET_BYTES", 64), (digest_fingerprint, "FORM_BYTES", 200)):
+        monkeypatch.setattr(module, name, value)
     rows = {r["doc_id"]: r for r in digest_fingerprint.fingerprints(table(spark, texts)).collect()}
     forms = [digest_fingerprint.canonical(t or "") for t in texts]
     assert len(rows) == len(texts)

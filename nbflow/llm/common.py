@@ -73,8 +73,11 @@ MOST_HOT, HOT_ROWS = 1000, 1000
 def joined_with_hot_keys(left: DataFrame, right: DataFrame, key: str, n: str, rows: int, how: str = "inner") -> DataFrame:
     """The inner or semi join of ``left``, which has ``rows`` rows, with ``right``, which has one row per key, with the
     number ``n`` of the key's rows in ``left``. No more than ``MOST_HOT`` keys can each have more than that share of all
-    rows, so those are broadcast, and their rows never meet in one task; the other keys' groups are small."""
+    rows, so those are broadcast, and their rows never meet in one task; the other keys' groups are small. Without hot
+    keys it is a plain join."""
     is_hot = F.col(n) > max(HOT_ROWS, rows // MOST_HOT)
+    if rows <= HOT_ROWS or right.filter(is_hot).isEmpty():
+        return left.join(right.drop(n), key, how)
     hot, cool = F.broadcast(right.filter(is_hot).drop(n)), right.filter(~is_hot).drop(n)
     rest = left.join(hot.select(key), key, "left_anti")
     return left.join(hot, key, how).unionByName(rest.join(cool, key, how))
@@ -86,6 +89,9 @@ def with_both(pairs: DataFrame, rows: DataFrame, value: str) -> DataFrame:
     n_pairs, out = pairs.count(), pairs
     for side in ("b", "a"):
         parts = pairs.groupBy(side).agg(F.count("*").alias("times")).withColumn("parts", F.ceil(F.col("times") / HOT_ROWS).cast("int"))
+        if n_pairs <= HOT_ROWS or parts.filter("parts > 1").isEmpty():
+            out = out.join(rows.select(F.col("key").alias(side), F.col(value).alias(f"v_{side}")), side)
+            continue
         out = joined_with_hot_keys(out, parts, side, "times", n_pairs).withColumn("part", F.pmod(F.xxhash64("a", "b"), "parts").cast("int")).drop("parts")
         values = rows.join(parts.select(F.col(side).alias("key"), "parts"), "key").select(F.col("key").alias(side), F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.col(value).alias(f"v_{side}"))
         out = out.join(values, [side, "part"]).drop("part")

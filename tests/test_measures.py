@@ -16,7 +16,7 @@ from nbflow.functions import metrics as m
 from nbflow.functions import sandbox
 from nbflow.operators import examples as ex
 from nbflow.operators import generators as g
-from nbflow.operators import inputs, scoring
+from nbflow.operators import inputs, mining, scoring
 
 SF = "/root/testdata/sf0.01"
 STEP = sandbox.CELL_STEP
@@ -97,6 +97,30 @@ def test_two_models_on_one_notebook(spark):
     assert rows == {"good": (True, "ok"), "bad": (False, "TimeoutError"), "worse": (False, "SystemExit")}
 
 
+def _books(spark, *sources):
+    cells = spark.createDataFrame([(i, j, "code", c) for i, code in enumerate(sources) for j, c in enumerate([code, "df.head()", "df = df.dropna()", "df.head()"])], "nb_id long, cell_idx int, kind string, source string")
+    spans = spark.createDataFrame([(i, f"t{i}", "df", STEP, 3 * STEP, None) for i in range(len(sources))], "nb_id long, id string, var string, begin_pos long, end_pos long, candidate string")
+    return ex.bundles(cells, spans)
+
+
+def test_equal_notebooks_run_once_and_each_has_its_rows(spark):
+    load, other = "import pandas as pd\ndf = pd.read_csv('a.csv')", "import pandas as pd\ndf = pd.read_csv('none.csv')"
+    books = _books(spark, load, load, other, load, load + "\nimport random", load + "\nimport random")
+    assert ex._runs(books).select("run").distinct().count() == 4
+    files = spark.createDataFrame([("a.csv", FILES["a.csv"])], "name string, csv string")
+    rows = {r["target_id"]: r for r in ex.replay(spark, books, files, 5).collect()}
+    assert {k: r["outcome"] for k, r in rows.items()} == {"t0": "ok", "t1": "ok", "t2": "FileNotFoundError", "t3": "ok", "t4": "ok", "t5": "ok"}
+    assert rows["t0"]["out_frame"] == rows["t3"]["out_frame"] and rows["t0"]["in_frame"] == rows["t1"]["in_frame"] and rows["t2"]["in_frame"] is None
+
+
+def test_few_bytes_of_code_are_dealt_to_many_tasks(spark):
+    """Spark folds tasks of few bytes into one, however long they run."""
+    books = _books(spark, *[f"import pandas as pd\ndf = pd.DataFrame({{'a': [{i}, None]}})" for i in range(100)])
+    files = spark.createDataFrame([("a.csv", "a\n1\n")], "name string, csv string")
+    plans = [p._jdf.queryExecution().toString() for p in (ex.replay(spark, books, files, 5), mining.parse_cells(books.select("nb_id", F.lit(0).alias("cell_idx"), F.lit("code").alias("kind"), F.lit("a = 1").alias("source"))))]
+    assert all("REPARTITION_BY_NUM" in p for p in plans)
+
+
 def test_sandbox_limits():
     assert run("import os")[1] == "ImportError" and run("open('/etc/passwd')")[1] == "NameError"
     assert run("import pandas as pd\npd.read_csv('none.csv')")[1] == "FileNotFoundError"

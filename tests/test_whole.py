@@ -8,7 +8,7 @@ import re
 import pandas as pd
 from pyspark.sql import functions as F
 
-from nbflow.operators import collect, mining
+from nbflow.operators import collect, mining, relational
 from nbflow.operators import generators as g
 
 
@@ -69,3 +69,11 @@ def test_quoted_items_are_contained(spark):
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     found = collect.contained_items(docs, spark.createDataFrame(list(items.items()), "item_id long, text string")).collect()
     assert sorted(map(tuple, found)) == sorted((i, n) for i, x in enumerate(texts) for n, t in items.items() if t in x)
+
+
+def test_a_salted_side_is_never_broadcast(spark):
+    """Spark's guess of its size leaves out the copies that salting makes."""
+    left, right = spark.range(50).selectExpr("id % 3 AS k", "id AS x"), spark.range(3).selectExpr("id AS k", "id * 10 AS y")
+    rows = relational.salted_join(left, right, "k", 8)
+    assert "Broadcast" not in rows._jdf.queryExecution().executedPlan().toString()
+    assert sorted((r["x"], r["y"]) for r in rows.collect()) == [(i, i % 3 * 10) for i in range(50)]

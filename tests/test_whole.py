@@ -6,8 +6,10 @@ import itertools
 import re
 
 import pandas as pd
+import pytest
 from pyspark.sql import functions as F
 
+from nbflow import registry
 from nbflow.operators import collect, mining, relational
 from nbflow.operators import generators as g
 
@@ -77,3 +79,9 @@ def test_a_salted_side_is_never_broadcast(spark):
     rows = relational.salted_join(left, right, "k", 8)
     assert "Broadcast" not in rows._jdf.queryExecution().executedPlan().toString()
     assert sorted((r["x"], r["y"]) for r in rows.collect()) == [(i, i % 3 * 10) for i in range(50)]
+
+
+@pytest.mark.parametrize("name", ["b4_api_db", "d7p_params", "d11_params", "e5_delta", "w6_published_delta"])
+def test_query_scans_a_given_table(spark, name):
+    plan = registry.queries()[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
+    assert "FileScan parquet" in plan

@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from nbflow import registry
 from nbflow.operators import collect, mining, relational
 from nbflow.operators import generators as g
+from nbflow.plans import mine
 
 
 def test_near_duplicates_equal_brute_force(spark, monkeypatch):
@@ -85,3 +86,8 @@ def test_a_salted_side_is_never_broadcast(spark):
 def test_query_scans_a_given_table(spark, name):
     plan = registry.queries()[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
     assert "FileScan parquet" in plan
+
+
+def test_contexts_reread_what_the_miner_wrote(spark):
+    plan = mine.Mined(spark, "/root/testdata/sf0.001").contexts()._jdf.queryExecution().optimizedPlan().toString()
+    assert len(re.findall(r"\bWindow \[", plan)) == 1, "the run of markdown before a cell, and nothing of the steps before"

@@ -9,7 +9,7 @@ import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
-from nbflow import registry
+from nbflow import experiments, registry
 from nbflow.operators import collect, mining, relational
 from nbflow.operators import generators as g
 from nbflow.plans import mine
@@ -88,6 +88,16 @@ def test_query_scans_a_given_table(spark, name):
     assert "FileScan parquet" in plan
 
 
+def test_statistics_of_targets_run_no_notebook(spark, monkeypatch):
+    def never(*_):
+        raise AssertionError("a notebook ran")
+
+    monkeypatch.setattr(experiments, "_CORPORA", {})
+    monkeypatch.setattr(experiments.ex, "replay", never)
+    for name in ("c16_share", "c16_mod_hist", "c16_mod_freq", "c16_api_hist", "c16_api_freq"):
+        assert registry.queries()[name](spark, "/root/testdata/sf0.001").count() > 0
+
+
 def test_contexts_reread_what_the_miner_wrote(spark):
     plan = mine.Mined(spark, "/root/testdata/sf0.001").contexts()._jdf.queryExecution().optimizedPlan().toString()
     assert len(re.findall(r"\bWindow \[", plan)) == 1, "the run of markdown before a cell, and nothing of the steps before"

@@ -6,8 +6,11 @@ import itertools
 import re
 
 import pandas as pd
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
 from nbflow import experiments, registry
 from nbflow.operators import collect, mining, relational
@@ -101,3 +104,15 @@ def test_statistics_of_targets_run_no_notebook(spark, monkeypatch):
 def test_contexts_reread_what_the_miner_wrote(spark):
     plan = mine.Mined(spark, "/root/testdata/sf0.001").contexts()._jdf.queryExecution().optimizedPlan().toString()
     assert len(re.findall(r"\bWindow \[", plan)) == 1, "the run of markdown before a cell, and nothing of the steps before"
+
+
+def test_equal_cells_of_a_batch_are_parsed_once(spark, monkeypatch):
+    schema = to_arrow_schema(StructType.fromDDL(mining.STATEMENTS))
+    sources = ["x = 1\ny = x.sum()  # all", "", "not python (", None, "x = 1\ny = x.sum()  # all", "import pandas as pd", "not python ("] * 3
+    cells = pa.record_batch({"nb_id": pa.array(range(len(sources)), pa.int64()), "cell_idx": pa.array([i % 5 for i in range(len(sources))], pa.int32()), "source": pa.array(sources, pa.string())})
+    one_by_one = [row for i in range(len(sources)) for got in mining._parsed([cells.slice(i, 1)], schema) for row in got.to_pylist()]
+    parsed, plain = [], mining.parse_cell
+    monkeypatch.setattr(mining, "parse_cell", lambda source: parsed.append(source) or plain(source))
+    assert [row for got in mining._parsed([cells], schema) for row in got.to_pylist()] == one_by_one
+    assert len(parsed) == len(set(parsed)) == 4 and len(one_by_one) == 3 * 7
+    assert {r["pos"] - r["cell_idx"] * mining.CELL_STEP for r in one_by_one} == {0, 1}

@@ -116,3 +116,12 @@ def test_equal_cells_of_a_batch_are_parsed_once(spark, monkeypatch):
     assert [row for got in mining._parsed([cells], schema) for row in got.to_pylist()] == one_by_one
     assert len(parsed) == len(set(parsed)) == 4 and len(one_by_one) == 3 * 7
     assert {r["pos"] - r["cell_idx"] * mining.CELL_STEP for r in one_by_one} == {0, 1}
+
+
+def test_only_what_is_read_later_goes_through_the_pass_over_stages(spark):
+    stmts = mine.Mined(spark, "/root/testdata/sf0.001").stmts
+    whole, narrow = mining.label_stages(stmts), mining.label_stages(stmts, facts=False)
+    assert whole.select(*narrow.columns).exceptAll(narrow).isEmpty() and whole.count() == narrow.count()
+    passes = [next(x for x in rows._jdf.queryExecution().optimizedPlan().toString().split("\n") if "MapInArrow" in x) for rows in (whole, narrow)]
+    assert all(not re.search(r"\b(calls|literals|imports|rhs_names)#", x) for x in passes)
+    assert re.search(r"\bsrc#", passes[0]) and not re.search(r"\b(src|comments|uses)#", passes[1])

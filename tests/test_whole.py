@@ -118,6 +118,23 @@ def test_equal_cells_of_a_batch_are_parsed_once(spark, monkeypatch):
     assert {r["pos"] - r["cell_idx"] * mining.CELL_STEP for r in one_by_one} == {0, 1}
 
 
+def test_histograms_make_no_code_of_targets(spark, monkeypatch):
+    d, names = "/root/testdata/sf0.001", ("c16_mod_hist", "c16_api_hist", "c16_share")
+    c = experiments.Corpus(spark, d)
+    expected = {}
+    for name, kind in (("c16_mod_hist", "module"), ("c16_api_hist", "api")):
+        used = experiments.ex.used_names(c.of_target, c.mined.stmts, mining.named_rows(c.mined.stmts), kind)
+        expected[name] = sorted(map(tuple, experiments.ex.usage_histogram(c.targets, used).collect()))
+
+    def never(*_):
+        raise AssertionError("code of targets was put together")
+
+    monkeypatch.setattr(experiments, "_CORPORA", {})
+    monkeypatch.setattr(mining, "with_code", never)
+    found = {name: sorted(map(tuple, registry.queries()[name](spark, d).collect())) for name in names}
+    assert all(found.values()) and {k: found[k] for k in expected} == expected
+
+
 def test_only_what_is_read_later_goes_through_the_pass_over_stages(spark):
     stmts = mine.Mined(spark, "/root/testdata/sf0.001").stmts
     whole, narrow = mining.label_stages(stmts), mining.label_stages(stmts, facts=False)

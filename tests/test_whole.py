@@ -16,6 +16,7 @@ from nbflow import experiments, registry
 from nbflow.operators import collect, mining, relational
 from nbflow.operators import generators as g
 from nbflow.plans import mine
+from nbflow.session import many_tasks
 
 
 def test_near_duplicates_equal_brute_force(spark, monkeypatch):
@@ -118,6 +119,16 @@ def test_equal_cells_of_a_batch_are_parsed_once(spark, monkeypatch):
     assert {r["pos"] - r["cell_idx"] * mining.CELL_STEP for r in one_by_one} == {0, 1}
 
 
+def test_search_by_example_runs_once_in_many_tasks(spark):
+    frame = {"columns": ["x"], "dtypes": ["int"], "n_rows": 2, "rows": [["1"], ["2"]], "strict": "", "bag": ""}
+    rows = [(str(i), "df", frame, frame | {"rows": [["2"], ["4"]]}) for i in range(9)]
+    examples = spark.createDataFrame(rows, f"example_id string, var string, in_frame {experiments.ex.FRAME}, out_frame {experiments.ex.FRAME}").coalesce(1)
+    found = g.ByExample().generate(examples)
+    assert found.rdd.getNumPartitions() == many_tasks(spark) and {r["code"] for r in found.collect()} == {"df = df * 2"}
+    for name, udf in (("d12_pbe", "search("), ("d11_lowrank", "best(")):
+        assert udf not in registry.queries()[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().optimizedPlan().toString()
+
+
 def test_histograms_make_no_code_of_targets(spark, monkeypatch):
     d, names = "/root/testdata/sf0.001", ("c16_mod_hist", "c16_api_hist", "c16_share")
     c = experiments.Corpus(spark, d)

@@ -153,3 +153,23 @@ def test_only_what_is_read_later_goes_through_the_pass_over_stages(spark):
     passes = [next(x for x in rows._jdf.queryExecution().optimizedPlan().toString().split("\n") if "MapInArrow" in x) for rows in (whole, narrow)]
     assert all(not re.search(r"\b(calls|literals|imports|rhs_names)#", x) for x in passes)
     assert re.search(r"\bsrc#", passes[0]) and not re.search(r"\b(src|comments|uses)#", passes[1])
+
+
+def test_joins_of_the_corpus_send_no_table_through_the_driver(spark):
+    """Settled tables look a hundredth of their size; joins that go by that broadcast a gigabyte."""
+    c = experiments.corpus(spark, "/root/testdata/sf0.001")
+    m = c.mined
+    plans = {
+        "spans": mining.segment_targets(m.staged, m.lives),
+        "statements": mining.target_statements(m.spans, m.staged, m.stmts, m.lives),
+        "targets": mining.with_code(m.spans, m.of_target),
+        "cells": mining.context_cells(m.targets, m.lives),
+        "contexts": m.contexts(),
+        "bundles": experiments.ex.bundles(m.cells, m.targets.select("nb_id", F.col("target_id").alias("id"), "var", "begin_pos", "end_pos", F.lit(None).cast("string").alias("candidate"))),
+        "examples": experiments.ex.assemble(m.targets, m.contexts(), c.frames, c.shares),
+        "corpus": experiments.ex.finalized(c.all),
+        "copies": g._copied(c.test.select("example_id", F.col("example_id").alias("id")), c.test, c.train),
+    }
+    plans |= {name: registry.queries()[name](spark, c.d) for name in ("c11_dedup_target", "c13_leak_examples", "d13_copy_last", "d14_corrupt")}
+    sent = [name for name, rows in plans.items() if "Broadcast" in rows._jdf.queryExecution().executedPlan().toString()]
+    assert not sent
